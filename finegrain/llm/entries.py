@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from finegrain.llm import exact_dedup, licences, sharding
+from finegrain.llm import exact_dedup, licences, lm, quality, sharding
 from finegrain.sources.tables import load
 
 
@@ -21,15 +21,25 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return marked.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.quality_scores(load(spark, sf_dir, "documents", ["doc_id", "text"]), load(spark, sf_dir, "labels"))
+
+
 def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.sharded_documents(load(spark, sf_dir, "documents", ["doc_id", "text"]))
 
 
+def op10_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.score_documents(load(spark, sf_dir, "documents", ["doc_id", "text"]))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_license_scan": op2_license_scan,
         "op5_exact_dedup": op5_exact_dedup,
+        "op7_quality": op7_quality,
         "op8_sharding": op8_sharding,
+        "op10_language_model": op10_language_model,
     }
 
 
