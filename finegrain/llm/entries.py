@@ -7,10 +7,27 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from finegrain.llm import exact_dedup, licences, lm, quality, sharding
+from finegrain.llm import exact_dedup, licences, lm, pieces, quality, sharding, token_files
 from finegrain.sources.tables import load
 
 
+def tokenizer_file(name: str) -> str:
+    """Where the public tokenizers keep a vocabulary file."""
+    import public_tokenizers
+
+    return str(public_tokenizers.path(name))
+
+
+def piece_model() -> bytes:
+    """The bytes of the public piece model."""
+    with open(tokenizer_file("piece_bpe_32k.model"), "rb") as source:
+        return source.read()
+
+
+def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.piece_digests(load(spark, sf_dir, "documents", ["doc_id", "text"]), piece_model())
+
+
 def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     scanned = licences.scan_licences(load(spark, sf_dir, "documents", ["doc_id", "text"]))
     return scanned.select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
@@ -21,6 +38,11 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return marked.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
+def op6_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    digests = token_files.token_digests(spark, load(spark, sf_dir, "documents", ["doc_id", "text"]), tokenizer_file("word_bpe_49k.json"))
+    return digests.select("doc_id", "start", "n_tokens", "ids_crc32")
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_scores(load(spark, sf_dir, "documents", ["doc_id", "text"]), load(spark, sf_dir, "labels"))
 
@@ -35,8 +57,10 @@ def op10_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_sentencepiece": op1_sentencepiece,
         "op2_license_scan": op2_license_scan,
         "op5_exact_dedup": op5_exact_dedup,
+        "op6_token_files": op6_token_files,
         "op7_quality": op7_quality,
         "op8_sharding": op8_sharding,
         "op10_language_model": op10_language_model,

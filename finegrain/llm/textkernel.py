@@ -51,6 +51,17 @@ def mix(z: np.ndarray) -> np.ndarray:
         return z ^ (z >> np.uint64(31))
 
 
+def hash_spans(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Hash of every span ``data[starts[i]:ends[i]]``, by its bytes and length."""
+    n = len(data)
+    up, down = _power(n + 1)
+    with np.errstate(over="ignore"):
+        running = np.empty(n + 1, np.uint64)
+        running[0] = 0
+        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[:n], out=running[1:], dtype=np.uint64)
+        return mix((running[ends] - running[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+
+
 @dataclass
 class Words:
     """The words of a block of texts: hash, first and end byte, and where each text's words begin (one entry more than texts)."""
@@ -84,12 +95,7 @@ def words_of(data: np.ndarray, offsets: np.ndarray, member: np.ndarray = ALNUM,
     cut = inner[inside[inner] & inside[inner - 1]] if n else inner
     if len(cut):
         starts, ends = np.sort(np.concatenate([starts, cut])), np.sort(np.concatenate([ends, cut]))
-    up, down = _power(n + 1)
-    with np.errstate(over="ignore"):
-        running = np.empty(n + 1, np.uint64)
-        running[0] = 0
-        np.cumsum(((fold[data] if fold is not None else data).astype(np.uint64) + np.uint64(1)) * up[:n], out=running[1:], dtype=np.uint64)
-        hashes = mix((running[ends] - running[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+    hashes = hash_spans(fold[data] if fold is not None else data, starts, ends)
     return Words(data, offsets, hashes, starts, ends, np.searchsorted(starts, offsets))
 
 
@@ -114,8 +120,47 @@ def blocks(column: pa.Array | pa.ChunkedArray) -> Iterator[tuple[int, np.ndarray
         row += len(chunk)
 
 
-def hash_word(word: str, fold: bool = True) -> int:
-    """The kernel's hash of one word."""
-    data = np.frombuffer(word.encode(), dtype=np.uint8)
-    found = words_of(data, np.array([0, len(data)]), np.ones(256, bool), FOLD if fold else None)
-    return int(found.hashes[0])
+class SpanTable:
+    """Token ids of distinct spans of text, kept from block to block and bounded in number."""
+
+    def __init__(self, encode, most: int = 400_000):
+        self._encode, self._most = encode, most
+        self._clear()
+
+    def _clear(self) -> None:
+        self._row: dict[int, int] = {}
+        self._flat, self._used = np.zeros(1 << 16, np.uint32), 0
+        self._start, self._size = np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def _add(self, hashes: list[int], ids: list[list[int]]) -> None:
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
+        more = int(sizes.sum())
+        while self._used + more > len(self._flat):
+            self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
+        self._flat[self._used : self._used + more] = np.fromiter((x for i in ids for x in i), np.uint32, more)
+        self._row.update(zip(hashes, range(len(self._start), len(self._start) + len(ids)), strict=True))
+        self._start = np.concatenate([self._start, self._used + np.cumsum(sizes) - sizes])
+        self._size = np.concatenate([self._size, sizes])
+        self._used += more
+
+    def lookup(self, hashes: np.ndarray, span_of) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all spans in a row, and how many each span has. ``span_of(i)`` gives the text of span ``i`` when it is new."""
+        distinct, at, inverse = np.unique(hashes, return_index=True, return_inverse=True)
+        if len(self._row) + len(distinct) > self._most and self._row:
+            self._clear()
+        keys = distinct.tolist()
+        rows = np.fromiter((self._row.get(k, -1) for k in keys), np.int64, len(keys))
+        if len(new := np.flatnonzero(rows < 0)):
+            self._add([keys[i] for i in new], self._encode([span_of(int(at[i])) for i in new]))
+            rows[new] = np.arange(len(self._start) - len(new), len(self._start))
+        start, size = self._start[rows][inverse], self._size[rows][inverse]
+        total = int(size.sum())
+        ends = np.cumsum(size)
+        gather = np.repeat(start - (ends - size), size) + np.arange(total)
+        return self._flat[gather], size
+
+
+def per_text_counts(first: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Sums of ``size`` over each text's spans."""
+    running = np.concatenate([[0], np.cumsum(size)])
+    return running[first[1:]] - running[first[:-1]]
