@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from finegrain.llm import exact_dedup, licences, lm, pieces, quality, sharding, token_files
+from finegrain.llm import contamination, exact_dedup, licences, lm, pieces, quality, sharding, token_files
 from finegrain.sources.tables import load
 
 
@@ -51,6 +51,10 @@ def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.sharded_documents(load(spark, sf_dir, "documents", ["doc_id", "text"]))
 
 
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination.contaminated_documents(load(spark, sf_dir, "documents", ["doc_id", "text"]), load(spark, sf_dir, "benchmark", ["item_id", "text"]))
+
+
 def op10_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lm.score_documents(load(spark, sf_dir, "documents", ["doc_id", "text"]))
 
@@ -63,6 +67,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_token_files": op6_token_files,
         "op7_quality": op7_quality,
         "op8_sharding": op8_sharding,
+        "op9_decontamination": op9_decontamination,
         "op10_language_model": op10_language_model,
     }
 
