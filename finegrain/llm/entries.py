@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from finegrain.llm import contamination, exact_dedup, licences, lm, pieces, quality, sharding, token_files
+from finegrain.llm import contamination, exact_dedup, licences, lm, near_dedup, pieces, quality, sharding, token_files
 from finegrain.sources.tables import load
 
 
@@ -33,6 +33,10 @@ def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scanned.select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
 
 
+def op3_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(load(spark, sf_dir, "documents", ["doc_id", "text"]))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     marked = exact_dedup.exact_dedup_digest(load(spark, sf_dir, "documents", ["doc_id", "text"]))
     return marked.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
@@ -63,6 +67,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_sentencepiece": op1_sentencepiece,
         "op2_license_scan": op2_license_scan,
+        "op3_near_dedup": op3_near_dedup,
         "op5_exact_dedup": op5_exact_dedup,
         "op6_token_files": op6_token_files,
         "op7_quality": op7_quality,
