@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from finegrain.llm import contamination, exact_dedup, licences, lm, near_dedup, pieces, quality, sharding, token_files
+from finegrain.llm import contamination, exact_dedup, licences, lm, near_dedup, pieces, quality, sharding, surrogates, token_files
 from finegrain.sources.tables import load
 
 
@@ -37,6 +37,11 @@ def op3_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(load(spark, sf_dir, "documents", ["doc_id", "text"]))
 
 
+def op4_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    changed = surrogates.with_surrogates(load(spark, sf_dir, "documents", ["doc_id", "text"]))
+    return changed.select("doc_id", "text", "n_entities", "entity_kinds")
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     marked = exact_dedup.exact_dedup_digest(load(spark, sf_dir, "documents", ["doc_id", "text"]))
     return marked.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
@@ -68,6 +73,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_sentencepiece": op1_sentencepiece,
         "op2_license_scan": op2_license_scan,
         "op3_near_dedup": op3_near_dedup,
+        "op4_surrogates": op4_surrogates,
         "op5_exact_dedup": op5_exact_dedup,
         "op6_token_files": op6_token_files,
         "op7_quality": op7_quality,
