@@ -198,8 +198,17 @@ def decode_pieces(rows: DataFrame, model: bytes, ids: str = "ids", text: str = "
 
 
 def piece_digests(docs: DataFrame, model: bytes, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+    """As :func:`encoded_digests`, without the ids."""
+    return _digests(docs, model, id_col, text, False)
+
+
+def encoded_digests(docs: DataFrame, model: bytes, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Encode every text, decode its ids again, and report: ids' number and checksum (little-endian unsigned 32-bit), byte pieces,
-    the path's score, and whether decoding gave the text back exactly."""
+    the path's score, whether decoding gave the text back exactly, and the ids."""
+    return _digests(docs, model, id_col, text, True)
+
+
+def _digests(docs: DataFrame, model: bytes, id_col: str, text: str, whole: bool) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -219,11 +228,11 @@ def piece_digests(docs: DataFrame, model: bytes, id_col: str = "doc_id", text: s
                 byte = np.bincount(of, spelt[flat], minlength=len(counts)).astype(np.int64)
                 mine, given = memoryview(back), memoryview(np.ascontiguousarray(data))
                 exact = [mine[a:b] == given[c:d] for a, b, c, d in zip(at[:-1].tolist(), at[1:].tolist(), offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(row, len(counts)), pa.array(counts), pa.array(checks, pa.int64()), pa.array(byte), pa.array(total), pa.array(exact, pa.bool_())],
-                    names=["id", "n_tokens", "ids_crc32", "n_bytes", "path_score", "exact"],
-                )
+                columns = [batch.column(0).slice(row, len(counts)), pa.array(counts), pa.array(checks, pa.int64()), pa.array(byte), pa.array(total), pa.array(exact, pa.bool_())]
+                names = ["id", "n_tokens", "ids_crc32", "n_bytes", "path_score", "exact"]
+                yield pa.RecordBatch.from_arrays([*columns, _lists(flat, counts)] if whole else columns, names=[*names, "ids"] if whole else names)
 
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))
-    return rows.mapInArrow(run, f"id {id_type}, n_tokens long, ids_crc32 long, n_bytes long, path_score double, exact boolean").withColumnRenamed("id", id_col)
+    more = ", ids array<int>" if whole else ""
+    return rows.mapInArrow(run, f"id {id_type}, n_tokens long, ids_crc32 long, n_bytes long, path_score double, exact boolean{more}").withColumnRenamed("id", id_col)
