@@ -29,12 +29,17 @@ def in_table(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return table[keys.view(np.uint64) & np.uint64((1 << TABLE_BITS) - 1)].astype(bool)
 
 
-def without_keys(rows: DataFrame, keys: DataFrame, key: str) -> DataFrame:
-    """``rows`` whose 64-bit ``key`` is not among ``keys``. Rows whose slot is empty pass straight through; only the others shuffle."""
+def split_by_keys(rows: DataFrame, keys: DataFrame, key: str) -> tuple[DataFrame, DataFrame]:
+    """``rows`` whose 64-bit ``key`` is certainly not among ``keys``, and those where it may be; neither shuffles."""
     words = key_words(keys, key)
     slot = F.pmod(F.col(key), F.lit(1 << TABLE_BITS))
     tested = rows.withColumn("_word", F.shiftrightunsigned(slot, 6)).join(F.broadcast(words), "_word", "left")
     hit = F.coalesce(F.expr(f"(shiftrightunsigned(_bits, cast(pmod({key}, {1 << TABLE_BITS}L) & 63L as int)) & 1L) = 1L"), F.lit(False))
     tested = tested.withColumn("_hit", hit).drop("_word", "_bits")
-    passed = tested.filter("not _hit").drop("_hit")
-    return passed.unionByName(tested.filter("_hit").drop("_hit").join(keys.select(key).distinct(), key, "left_anti").select(*passed.columns))
+    return tested.filter("not _hit").drop("_hit"), tested.filter("_hit").drop("_hit")
+
+
+def without_keys(rows: DataFrame, keys: DataFrame, key: str) -> DataFrame:
+    """``rows`` whose 64-bit ``key`` is not among ``keys``. Rows whose slot is empty pass straight through; only the others shuffle."""
+    passed, maybe = split_by_keys(rows, keys, key)
+    return passed.unionByName(maybe.join(keys.select(key).distinct(), key, "left_anti").select(*passed.columns))

@@ -5,10 +5,10 @@
    large as the corpus.)
 2. Texts with the same words are one node. Every text gets ``BANDS * ROWS`` consistent weighted samples, and the samples of a band
    make one key.
-3. Nodes that share a band key are candidates. Small groups are compared whole. In a larger group every node is compared with a
-   few pivots; groups whose nodes do not all hang together afterwards get new pivots, round after round, until they do or
-   every node has been a pivot. So no pair that could join two classes is left out, and a group of copies costs a multiple of its
-   size.
+3. Nodes that share a band key are candidates. Small groups are compared whole. In a larger group every node is compared with the
+   group's hub, the node with most company; that settles groups of copies in a multiple of their size. Where nodes are left
+   apart, those outside the largest component are compared with all nodes of the group, block against block. So every pair
+   of candidates that could join two classes is compared.
 4. A pair is a link when the weighted Jaccard similarity of its shingles is 0.8 or more, or that of the plain shingle
    sets is (weights would otherwise hide copies with a rare word changed). Classes are the connected components.
 
@@ -38,8 +38,8 @@ SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 11, 4
 #: log2 of the slots of the word weights' table and of the samples' random numbers.
 WORD_BITS, DRAW_BITS = 18, 16
-#: Groups up to this size are compared whole; larger ones by pivots.
-SMALL_GROUP, PIVOTS = 12, 4
+#: Groups up to this size are compared whole, pair by pair; what hubs leave of larger ones, in blocks of about so many nodes.
+SMALL_GROUP, BLOCK_NODES = 12, 64
 _HASH_BITS, _WEIGHT_BITS = 44, 8
 _MOST_TEXTS = 1 << (64 - _HASH_BITS - _WEIGHT_BITS)
 _STEP = np.uint64(0xA0761D6478BD642F)
@@ -289,30 +289,113 @@ def _linked(members: DataFrame, packed: DataFrame) -> DataFrame:
     small = members.filter(F.col("size") <= SMALL_GROUP).groupBy("group").agg(F.array_sort(F.collect_list("node")).alias("all"))
     both = F.flatten(F.transform("all", lambda x, i: F.transform(F.slice(F.col("all"), i + 2, SMALL_GROUP), lambda y: F.struct(x.alias("x"), y.alias("y")))))
     pairs = small.select(F.explode(both).alias("p")).select("p.x", "p.y")
+    # large groups: every node meets its group's hub, the node that shares its groups with most others
     large = members.filter(F.col("size") > SMALL_GROUP).select("group", "node", "size")
-    still = staged(large.withColumn("component", F.col("node")).withColumn("fresh", F.lit(True)), "open-groups")
-    links, spread = None, PIVOTS
-    while True:
-        # about ``spread`` pivots a group, all of it in the end
-        chance = F.pmod(F.xxhash64("node", "group", F.lit(spread)), F.col("size"))
-        pivots = still.filter(F.col("fresh") & (chance < spread)).select("group", F.col("node").alias("y"), F.col("component").alias("other"))
-        met = still.select("group", F.col("node").alias("x"), "component").join(pivots, "group").filter("component != other").select("x", "y")
-        pairs = met if pairs is None else pairs.unionByName(met)
-        new = staged(verified(_ordered(pairs), packed).select("a", "b"), "links")
-        links, pairs = (new if links is None else links.unionByName(new)), None
-        state = connected_components(links)
-        used = pivots.select("group", F.col("y").alias("node"), F.lit(True).alias("used"))
-        after = still.drop("component").join(state, "node", "left").withColumn("component", F.coalesce("component", "node"))
-        after = after.join(used, ["group", "node"], "left").withColumn("fresh", F.col("fresh") & F.col("used").isNull()).drop("used")
-        apart = after.groupBy("group").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.max("fresh").alias("more")).filter("lo != hi and more").select("group")
-        still = staged(after.join(apart, "group", "left_semi"), "open-groups")
-        if not still.limit(1).count():
-            return state
-        spread *= 8
+    shared = large.groupBy("node").agg(F.sum("size").alias("shared"))
+    hubs = large.join(shared, "node").groupBy("group").agg(F.max(F.struct("shared", "node")).alias("hub")).select("group", F.col("hub.node").alias("y"))
+    met = large.select("group", F.col("node").alias("x")).join(hubs, "group").select("x", "y")
+    links = staged(verified(_ordered(pairs.unionByName(met)), packed).select("a", "b"), "links")
+    state = connected_components(links)
+    joined = large.join(state, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    apart = joined.groupBy("group").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo != hi").select("group")
+    still = staged(joined.join(apart, "group", "left_semi"), "open-groups")
+    if not still.limit(1).count():
+        return state
+    rest = staged(_block_links(still, packed), "links")
+    return connected_components(links.unionByName(rest))
+
+
+def _block_links(open_members: DataFrame, packed: DataFrame) -> DataFrame:
+    """Links between the components of groups that the hubs have left apart.
+
+    A group's nodes outside its largest component are compared with all its nodes, block against block: a row is a pair of
+    blocks, whose similarities are one product of matrices, and only links that join components come out.
+    """
+    sizes = open_members.groupBy("group", "component").agg(F.count("*").alias("n"))
+    largest = sizes.groupBy("group").agg(F.max(F.struct("n", "component")).alias("top")).select("group", F.col("top.component").alias("main"))
+    sided = open_members.join(largest, "group").withColumn("inner", F.col("component") == F.col("main"))
+    counts = sided.groupBy("group", "inner").agg(F.count("*").alias("side"))
+    placed = sided.join(counts, ["group", "inner"]).withColumn("block", F.pmod(F.xxhash64("node"), F.ceil(F.col("side") / F.lit(BLOCK_NODES))))
+    filled = placed.select("group", "inner", "block", "node", "component").join(packed, "node")
+    blocks_of = filled.groupBy("group", "inner", "block").agg(F.collect_list(F.struct("node", "component", "hashes", "weights")).alias("nodes"))
+    blocks_of = staged(blocks_of, "blocks")
+    left = blocks_of.filter("not inner").select("group", F.col("block").alias("i"), F.col("nodes").alias("a"))
+    right = blocks_of.select("group", "inner", F.col("block").alias("j"), F.col("nodes").alias("b"))
+    met = left.join(right, "group").filter("inner or i <= j").select("a", "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for a, b in zip(batch.column(0), batch.column(1), strict=True):
+                x, y = block_links(_unpacked(a.values), _unpacked(b.values))
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()), pa.array(y, pa.int64())], names=["a", "b"])
 
+    found = met.mapInArrow(run, "a long, b long")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
-def _ordered(pairs: DataFrame) -> DataFrame:
-    return pairs.filter("x != y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+def _unpacked(nodes: pa.StructArray) -> tuple[np.ndarray, np.ndarray, list[np.ndarray], list[np.ndarray]]:
+    view = lambda field, kind: [np.frombuffer(x.as_buffer(), kind) for x in nodes.field(field)]
+    return nodes.field("node").to_numpy(), nodes.field("component").to_numpy(), view("hashes", "<u4"), view("weights", "<f4")
+
+
+def block_similarities(ha: list, wa: list, hb: list, wb: list, columns: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+    """Weighted and plain Jaccard similarity of all texts of one block with all of another.
+
+    The mass that two texts share at a shingle is the lesser of their weights: a shingle with several weights is split into
+    levels, a text holds the levels up to its weight, and the shared mass is a product of indicator matrices.
+    """
+    both = np.intersect1d(np.unique(np.concatenate(ha)), np.unique(np.concatenate(hb)))
+    h, w = np.concatenate([*ha, *hb]), np.concatenate([*wa, *wb])
+    text = np.repeat(np.arange(len(ha) + len(hb)), [len(x) for x in (*ha, *hb)])
+    at = np.minimum(np.searchsorted(both, h), max(0, len(both) - 1))
+    keep = both[at] == h if len(both) else np.zeros(len(h), bool)
+    col, w, text = at[keep], w[keep].astype(np.float64), text[keep]
+    order = np.lexsort((w, col))
+    col, w, text = col[order], w[order], text[order]
+    fresh = np.concatenate([[True], (col[1:] != col[:-1]) | (w[1:] != w[:-1])]) if len(col) else np.zeros(0, bool)
+    level = np.cumsum(fresh) - 1
+    level_col, level_w = col[fresh], w[fresh]
+    opens = np.concatenate([[True], level_col[1:] != level_col[:-1]]) if len(level_col) else np.zeros(0, bool)
+    mass = level_w - np.where(opens, 0.0, np.concatenate([[0.0], level_w[:-1]])) if len(level_w) else level_w
+    first_level = np.flatnonzero(opens)[np.cumsum(opens) - 1] if len(opens) else np.zeros(0, np.int64)
+    span = level - first_level[level] + 1 if len(level) else level
+    items = np.repeat(first_level[level] if len(level) else level, span) + (np.arange(int(span.sum())) - np.repeat(np.cumsum(span) - span, span))
+    owner = np.repeat(text, span)
+    shared, common = np.zeros((len(ha), len(hb))), np.zeros((len(ha), len(hb)))
+    order = np.argsort(items, kind="stable")
+    items, owner = items[order], owner[order]
+    for lo in range(0, len(mass), columns):
+        a, b = np.searchsorted(items, [lo, lo + columns])
+        m = np.zeros((len(ha) + len(hb), min(columns, len(mass) - lo)))
+        m[owner[a:b], items[a:b] - lo] = 1
+        part = slice(lo, lo + m.shape[1])
+        shared += (m[: len(ha)] * mass[part]) @ m[len(ha) :].T
+        common += (m[: len(ha)] * opens[part]) @ m[len(ha) :].T
+    total = lambda ws: np.array([x.sum(dtype=np.float64) for x in ws])
+    number = lambda hs: np.array([len(x) for x in hs], dtype=np.float64)
+    weighted = shared / np.maximum(total(wa)[:, None] + total(wb)[None, :] - shared, 1e-12)
+    return weighted, common / np.maximum(number(ha)[:, None] + number(hb)[None, :] - common, 1e-12)
+
+
+def block_links(a: tuple, b: tuple, least: float = SIMILARITY) -> tuple[list[int], list[int]]:
+    """Pairs of nodes of two blocks that are similar and whose components nothing found before here joins."""
+    near = np.maximum(*block_similarities(a[2], a[3], b[2], b[3])) >= least - 1e-9
+    near &= a[1][:, None] != b[1][None, :]
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    out: tuple[list[int], list[int]] = ([], [])
+    for i, j in zip(*np.nonzero(near), strict=True):
+        x, y = root(int(a[1][i])), root(int(b[1][j]))
+        if x != y:
+            parent[x] = y
+            out[0].append(int(a[0][i]))
+            out[1].append(int(b[0][j]))
+    return out
 
 
 def marked_rows(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
