@@ -48,7 +48,7 @@ def boundaries(placed: DataFrame, nodes: int, reduction_factor: int, per_node: i
     return root.select(F.array_sort("keys").alias("pivots"))
 
 
-def boundary_sort(df: DataFrame, key: KeySpec, nodes: int, reduction_factor: int = 4, per_node: int = 8, seed: int = 7, hash_name: str = "portable") -> DataFrame:
+def boundary_sort(df: DataFrame, key: KeySpec, nodes: int, reduction_factor: int = 4, per_node: int = 32, seed: int = 7, hash_name: str = "portable") -> DataFrame:
     """Boundary-first sort: boundaries of all buckets first, then every record is routed once and sorted where it arrives."""
     placed = staged(initial_shuffle(keyed_rows(df, key), nodes, seed, "exact", hash_name), "placed")
     cuts = staged(boundaries(placed, nodes, reduction_factor, per_node), "boundaries")
