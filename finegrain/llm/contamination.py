@@ -197,7 +197,7 @@ def contaminated_documents(docs: DataFrame, benchmark: DataFrame, id_col: str =
     return rows.select(
         id_col,
         F.col("items").isNotNull().alias("contaminated"),
-        F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"),
+        F.coalesce(F.array_size("items"), F.lit(0)).cast("long").alias("n_items"),
         F.array_join("items", ",").alias("items"),
         F.coalesce("share", F.lit(0.0)).alias("share"),
         F.coalesce("exact", F.lit(False)).alias("exact_values"),

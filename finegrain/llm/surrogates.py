@@ -17,6 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.filters import split_by_keys
 from finegrain.operators.skew import join_group_facts
 from finegrain.sources.staging import staged
 
@@ -53,8 +54,8 @@ PATTERNS = {
     "person": rf"(?<!\p{{L}})(?:(?:{_TITLE_ALL})\.? (?:{_NAME} )?{_NAME}|(?:{_GIVEN_ALL}) (?!(?:{_GIVEN_ALL}) ){_NAME})(?!\p{{L}})",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
-#: Strings one of which every entity holds: a cheap test before the patterns.
-TELLING = rf"[@\d=:]|A[KS]IA|(?:{_TITLE_ALL})\.? \p{{Lu}}|(?:{_GIVEN_ALL}) \p{{Lu}}"
+#: Shapes one of which every entity holds: a cheap test before the patterns.
+TELLING = r"[@=:]|\d{3}|\d\.\d|A[KS]IA|\p{Lu}\p{Ll}+\.? \p{Lu}"
 
 
 def _digest(kind: Column, value: Column, attempt: Column, key: str) -> Column:
@@ -234,8 +235,9 @@ def assign_surrogates(entities: DataFrame, key: str = KEY) -> DataFrame:
 def with_surrogates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", key: str = KEY) -> DataFrame:
     """``docs`` with every entity of ``text`` replaced, ``n_entities`` and ``entity_kinds`` (sorted, comma-joined)."""
     docs = docs.drop("n_entities", "entity_kinds")
-    keyed = docs.withColumn("_key", F.xxhash64(F.col(id_col), F.coalesce(F.col(text), F.lit("")))).withColumn("_found", mentions(F.col(text)))
-    spots = staged(keyed.filter(F.size("_found") > 0).select("_key", "_found").dropDuplicates(["_key"]), "mentions")
+    keyed = docs.withColumn("_key", F.xxhash64(F.col(id_col), F.coalesce(F.col(text), F.lit(""))))
+    found = keyed.select("_key", mentions(F.col(text)).alias("_found"))
+    spots = staged(found.filter(F.size("_found") > 0).dropDuplicates(["_key"]), "mentions")
     at = spots.select("_key", F.posexplode("_found").alias("at", "surface")).withColumn("type", _kind(F.col("surface")))
     parts = at.select("_key", "at", "surface", "type", F.posexplode(_parts(F.col("type"), F.col("surface"))).alias("part", "e"))
     parts = staged(parts.select("_key", "at", "part", "surface", "type", "e.kind", "e.value", "e.written"), "entity-mentions")
@@ -252,11 +254,17 @@ def with_surrogates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     lists = by_mention.select("_key", "at", "type", whole.alias("put")).groupBy("_key").agg(
         F.array_sort(F.collect_list(F.struct("at", "put"))).alias("_puts"), F.array_join(F.array_sort(F.collect_set("type")), ",").alias("_kinds")
     )
-    plain = keyed.filter(F.size("_found") == 0).drop("_key", "_found")
-    plain = plain.select("*", F.lit(0).cast("long").alias("n_entities"), F.lit("").alias("entity_kinds"))
-    touched = keyed.filter(F.size("_found") > 0).join(lists, "_key")
+    lists = staged(lists, "replacements")
+    # rows without a mention pass straight through
+    plain, maybe = split_by_keys(keyed, lists, "_key")
+    plain = plain.drop("_key").select("*", F.lit(0).cast("long").alias("n_entities"), F.lit("").alias("entity_kinds"))
+    touched = maybe.join(lists, "_key", "left")
     between = F.split(F.col(text), ANY, -1)
     pieces = F.transform("_puts", lambda p: p["put"])
     mixed = F.array_join(F.zip_with(between, pieces, lambda s, p: F.concat(F.coalesce(s, F.lit("")), F.coalesce(p, F.lit("")))), "")
-    touched = touched.withColumn("n_entities", F.size("_found").cast("long")).withColumn("entity_kinds", F.col("_kinds")).withColumn(text, mixed)
+    touched = (
+        touched.withColumn("n_entities", F.coalesce(F.array_size("_puts"), F.lit(0)).cast("long"))
+        .withColumn("entity_kinds", F.coalesce("_kinds", F.lit("")))
+        .withColumn(text, F.when(F.col("_puts").isNull(), F.col(text)).otherwise(mixed))
+    )
     return plain.unionByName(touched.select(*plain.columns))
