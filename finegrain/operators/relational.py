@@ -36,17 +36,17 @@ def as_of_join(left: DataFrame, right: DataFrame, on: str, by: Sequence[str], va
 
 def interval_join(left: DataFrame, right: DataFrame, left_time: str, right_time: str, by: Sequence[str], seconds: int) -> DataFrame:
     """Pairs within ``by`` whose times differ by ``seconds`` at most, by cells of that length: each left row meets three cells."""
-    cell = lambda c: F.floor(F.unix_seconds(F.col(c)) / seconds)
+    cell = lambda c: F.floor(F.unix_seconds(F.col(c).cast("timestamp")) / seconds)
     near = left.withColumn("_cell", F.explode(F.array(cell(left_time) - 1, cell(left_time), cell(left_time) + 1)))
     met = near.join(right.withColumn("_cell", cell(right_time)), [*by, "_cell"]).drop("_cell")
-    gap = F.unix_micros(F.col(left_time)) - F.unix_micros(F.col(right_time))
+    gap = F.unix_micros(F.col(left_time).cast("timestamp")) - F.unix_micros(F.col(right_time).cast("timestamp"))
     return met.filter(F.abs(gap) <= seconds * 1_000_000)
 
 
 def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 16, how: str = "inner") -> DataFrame:
     """Equi-join that spreads each key of ``left`` over ``salts`` tasks and repeats ``right`` as often (inner and left joins)."""
     spread = left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))
-    repeated = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("bigint"))
+    repeated = right.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(salts - 1).cast("bigint"))))
     return spread.join(repeated, [key, "_salt"], how).drop("_salt")
 
 

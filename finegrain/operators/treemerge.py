@@ -49,7 +49,7 @@ def merged_level(partials: DataFrame, fan_in: int, agg: str = "min", by: Sequenc
 
 def _chain(partials: DataFrame, agg: str, by: Sequence[str]) -> DataFrame:
     """Fan-in 1: worker after worker, in order, as one ordered fold over the partials (as many as workers)."""
-    fold: dict[str, Callable[[Column, Column], Column]] = {"min": F.least, "max": F.greatest, "sum": lambda a, x: a + x, "count": lambda a, x: a + x, "bit_or": lambda a, x: a.bitwiseOR(x), "bit_and": lambda a, x: a.bitwiseAND(x)}
+    fold: dict[str, Callable[[Column, Column], Column]] = {"min": lambda a, x: F.least(a, x), "max": lambda a, x: F.greatest(a, x), "sum": lambda a, x: a + x, "count": lambda a, x: a + x, "bit_or": lambda a, x: a.bitwiseOR(x), "bit_and": lambda a, x: a.bitwiseAND(x)}
     if agg not in fold:
         raise ValueError(f"no chain for {agg}")
     ordered = partials.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("idx", "v"))).alias("all"))
