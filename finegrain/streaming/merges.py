@@ -80,6 +80,9 @@ def sorted_batches(events: DataFrame, key: KeySpec, cfg: SortConfig, sink: Calla
 
 def drained(df: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
     """Run a stream over all that is there into an in-memory table (tests and demonstrations)."""
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
+    query = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).start()
+    try:
+        query.processAllAvailable()
+    finally:
+        query.stop()
     return df.sparkSession.table(name)
