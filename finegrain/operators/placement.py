@@ -28,17 +28,18 @@ def initial_shuffle(df: DataFrame, nodes: int, seed: int, how: str = "exact", ha
     return out.withColumn("origin_node", F.col("node"))
 
 
-def bucket_of(key: str | Column, pivots: str | Column) -> Column:
-    """Number of pivots at or below the key; a logarithmic search where there are many."""
+def bucket_of(key: str | Column, pivots: str | Column, count: int) -> Column:
+    """Number of the ``count`` ascending pivots at or below the key, by bisection: a step for each bit of ``count``."""
     key, pivots = (F.col(x) if isinstance(x, str) else x for x in (key, pivots))
-    return F.size(F.filter(pivots, lambda p: p <= key)).cast("int")
+    steps = [1 << i for i in reversed(range(max(1, count).bit_length()))]
+    return F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), lambda at, step: F.when(F.get(pivots, at + step - 1) <= key, at + step).otherwise(at))
 
 
 def route(df: DataFrame, level: int, width: int, buckets: int, seed: int, hash_name: str = "portable") -> DataFrame:
     """Add ``bucket`` and ``src`` and move ``node`` to a random node of the bucket's equal share of the group's ``width`` nodes."""
     share = width // buckets
     draw = HASHES[hash_name](seed, level, "route", F.col("_rid"))
-    bucketed = df.withColumn("bucket", bucket_of("k", "pivots")).withColumn("src", F.col("node"))
+    bucketed = df.withColumn("bucket", bucket_of("k", "pivots", buckets - 1)).withColumn("src", F.col("node"))
     target = F.col("grp") * width + F.col("bucket") * share + F.pmod(draw, F.lit(share))
     return bucketed.withColumn("node", target.cast("int"))
 

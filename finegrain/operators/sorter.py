@@ -14,7 +14,7 @@ from collections.abc import Sequence
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from finegrain.functions.hashing import HASHES
@@ -26,6 +26,8 @@ from finegrain.sources.staging import staged
 
 #: Pivot tables up to this number of groups are broadcast; beyond it the join shuffles.
 MOST_BROADCAST_GROUPS = 100_000
+#: Nodes up to this number can be partitions of one exchange.
+MOST_PARTITIONS = 4096
 
 
 @dataclass(frozen=True)
@@ -147,12 +149,15 @@ def node_starts(counts: DataFrame, nodes: int) -> DataFrame:
     return inside.join(F.broadcast(before), "_block").select("node", (F.col("_in") + F.col("_before")).alias("start"))
 
 
-def global_rank(rows: DataFrame, nodes: int) -> DataFrame:
-    """Rank inside the node plus the number of rows on lower nodes: no window over all rows."""
-    counts = rows.groupBy("node").agg(F.count("*").alias("n"))
+def global_rank(rows: DataFrame, nodes: int, unmoved: DataFrame | None = None) -> DataFrame:
+    """Rank inside the node plus the number of rows on lower nodes: no window over all rows.
+
+    ``unmoved``: the same rows before their exchange, to count nodes from without moving them.
+    """
+    counts = (rows if unmoved is None else unmoved).groupBy("node").agg(F.count("*").alias("n"))
     starts = node_starts(counts, nodes)
     local = rows.withColumn("_local", F.row_number().over(Window.partitionBy("node").orderBy("k")) - 1)
-    return local.join(F.broadcast(starts) if nodes <= MOST_BROADCAST_GROUPS else starts, "node").withColumn("rank", (F.col("_local") + F.col("start")).cast("long")).drop("_local", "start")
+    return local.join(F.broadcast(starts) if nodes <= MOST_BROADCAST_GROUPS else starts, "node", "left").withColumn("rank", (F.col("_local") + F.col("start")).cast("long")).drop("_local", "start")
 
 
 def recursive_sort(df: DataFrame, key: KeySpec, cfg: SortConfig) -> SortResult:
@@ -182,43 +187,33 @@ def recursive_sort(df: DataFrame, key: KeySpec, cfg: SortConfig) -> SortResult:
 
 
 def fused_pivots(df: DataFrame, key: KeySpec, cfg: SortConfig) -> DataFrame:
-    """All levels' pivots from a hash sample of the keys: the rows ``(cut)`` of ``nodes - 1`` ascending cut points.
+    """All levels' pivots from a hash sample of the keys: ``nodes - 1`` rows ``(j, cut)`` with ascending cut points.
 
-    Every cut is a median over ``2 fan_in`` independent samples' quantiles, as a tree of medians would give.
+    Every cut is the median over independent samples' quantiles, as a tree of medians would give. The sample is a filter on
+    the hash: nothing is sorted and only the sample moves.
     """
     keys = keyed_rows(df, key)
-    h = HASHES[cfg.hash_name](cfg.seed, 0, "fused", F.col("_rid"))
     ways = max(3, min(cfg.fan_in, 15))
-    parted = keys.select("k", F.pmod(h, F.lit(ways)).cast("int").alias("way"), F.floor(h / ways).alias("_o"))
-    per_way = max(4 * cfg.nodes, 64)
-    first = Window.partitionBy("way").orderBy("_o", "k")
-    sample = parted.withColumn("_at", F.row_number().over(first)).filter(F.col("_at") <= per_way)
-    lists = sample.groupBy("way").agg(F.array_sort(F.collect_list("k")).alias("all"))
-    picks = lists.select("way", F.posexplode(F.transform(F.sequence(F.lit(1), F.lit(cfg.nodes - 1)), lambda j: F.element_at("all", F.greatest(F.lit(1), F.ceil(j * F.size("all") / F.lit(float(cfg.nodes))).cast("int"))))).alias("j", "p"))
-    rows = picks.select("j", "p").groupBy("j").agg(F.array_sort(F.collect_list("p")).alias("all"))
+    wanted = ways * max(16 * cfg.nodes, 256)
+    share = min(1.0, wanted / max(1, df.count()))
+    h = HASHES[cfg.hash_name](cfg.seed, 0, "fused", F.col("_rid"))
+    sample = keys.select("k", h.alias("_h")).filter(F.col("_h") < int(share * 2**32) + 1)
+    way = F.pmod(HASHES[cfg.hash_name](cfg.seed, 1, F.col("_h")), F.lit(ways)).cast("int")
+    lists = sample.groupBy(way.alias("way")).agg(F.array_sort(F.collect_list("k")).alias("all"))
+    at = lambda j: F.greatest(F.lit(1), F.ceil(j * F.size("all") / F.lit(float(cfg.nodes))).cast("int"))
+    picks = lists.select("way", F.posexplode(F.transform(F.sequence(F.lit(1), F.lit(cfg.nodes - 1)), lambda j: F.element_at("all", at(j)))).alias("j", "p"))
+    rows = picks.groupBy("j").agg(F.array_sort(F.collect_list("p")).alias("all"))
     return rows.select("j", F.get("all", F.floor((F.size("all") - 1) / 2).cast("int")).alias("cut"))
 
 
 def _fused_sort(df: DataFrame, key: KeySpec, cfg: SortConfig) -> SortResult:
-    cuts = staged(fused_pivots(df, key, cfg), "cuts")
-    keep = df.columns if cfg.carry == "record" else ()
-    rows = keyed_rows(df, key, keep)
     # nodes - 1 cuts in one row: bounded by the number of nodes, far below that of rows
-    table = cuts.groupBy().agg(F.array_sort(F.collect_list("cut")).alias("pivots"))
-    routed = rows.crossJoin(F.broadcast(table)).withColumn("node", _search(F.col("k"), F.col("pivots"), cfg.nodes)).drop("pivots")
-    moved = staged(routed.repartitionById(min(cfg.nodes, 4096), F.pmod("node", F.lit(min(cfg.nodes, 4096)))), "moved")
-    return SortResult(global_rank(moved, cfg.nodes).drop("_rid"), rows, [], cfg)
-
-
-def _search(key: Column, pivots: Column, n: int) -> Column:
-    """Number of pivots at or below the key by bisection in two steps: a coarse cut every sqrt(n), then the ones between."""
-    if n <= 64:
-        return bucket_of(key, pivots)
-    step = int(n**0.5)
-    coarse = F.filter(pivots, lambda p, i: F.pmod(i + 1, F.lit(step)) == 0)
-    block = F.size(F.filter(coarse, lambda p: p <= key))
-    inside = F.slice(pivots, block * step + 1, F.lit(step))
-    return (block * step + F.size(F.filter(inside, lambda p: p <= key))).cast("int")
+    cuts = staged(fused_pivots(df, key, cfg).groupBy().agg(F.array_sort(F.collect_list("cut")).alias("pivots")), "cuts")
+    rows = keyed_rows(df, key, df.columns if cfg.carry == "record" else ())
+    routed = rows.crossJoin(F.broadcast(cuts)).withColumn("node", bucket_of("k", "pivots", cfg.nodes - 1)).drop("pivots", "_rid")
+    # the window finds the exchange's partitioning by node and adds none of its own
+    moved = routed.repartitionById(cfg.nodes, F.col("node")) if cfg.nodes <= MOST_PARTITIONS else routed
+    return SortResult(global_rank(moved, cfg.nodes, routed), rows, [], cfg)
 
 
 def top_k(df: DataFrame, key: KeySpec, k: int, cfg: SortConfig) -> DataFrame:
