@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 
@@ -18,7 +19,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("fg_pivots", NodePivots)
 
 
-@udtf(returnType="node: int, n: int, pivots: array<double>")
+@udtf(returnType=T.StructType([T.StructField("node", T.IntegerType()), T.StructField("n", T.IntegerType()), T.StructField("pivots", T.ArrayType(T.DoubleType()))]))
 class NodePivots:
     """Takes the number of buckets and ``TABLE(SELECT node, k ...) PARTITION BY node``; evenly spaced pivots of each node."""
 
@@ -35,14 +36,14 @@ class NodePivots:
             yield self._node, n, [ordered[max(0, -(-j * n // self._b) - 1)] for j in range(1, self._b)]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def median_element(values: pd.Series) -> float:
     """Grouped aggregate: the lower median element."""
     ordered = values.sort_values(ignore_index=True)
     return float(ordered.iloc[(len(ordered) - 1) // 2])
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def spaced_pivots(keys: Iterator[pd.Series]) -> Iterator[pd.Series]:
     """Evenly spaced quartiles of each array of keys, as a cross-check of the expression form."""
     for batch in keys:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from finegrain.functions.hashing import HASHES
 from finegrain.functions.keys import KeySpec
 from finegrain.operators.placement import bucket_of, initial_shuffle
-from finegrain.operators.sorter import global_rank, keyed_rows
+from finegrain.operators.sorter import attach_pivots, global_rank, keyed_rows
 from finegrain.operators.treemerge import depth
 from finegrain.sources.staging import staged
 
@@ -52,7 +52,7 @@ def boundary_sort(df: DataFrame, key: KeySpec, nodes: int, reduction_factor: int
     """Boundary-first sort: boundaries of all buckets first, then every record is routed once and sorted where it arrives."""
     placed = staged(initial_shuffle(keyed_rows(df, key), nodes, seed, "exact", hash_name), "placed")
     cuts = staged(boundaries(placed, nodes, reduction_factor, per_node), "boundaries")
-    routed = placed.crossJoin(F.broadcast(cuts)).withColumn("node", bucket_of("k", "pivots", nodes - 1)).drop("pivots")
+    routed = attach_pivots(placed.withColumn("grp", F.lit(0)), cuts.withColumn("grp", F.lit(0)), 1).withColumn("node", bucket_of("k", "pivots", nodes - 1)).drop("pivots", "grp")
     return global_rank(routed, nodes).drop("_rid")
 
 

@@ -121,8 +121,9 @@ def group_pivots(local: DataFrame, nodes: int, cfg: SortConfig) -> DataFrame:
 
 
 def attach_pivots(rows: DataFrame, pivots: DataFrame, groups: int) -> DataFrame:
-    """Give every row its group's pivots; a broadcast only while the number of groups allows it."""
-    return rows.join(F.broadcast(pivots) if groups <= MOST_BROADCAST_GROUPS else pivots, "grp")
+    """Give every row its group's pivots; a broadcast only while the number of groups allows it. (The left join keeps the
+    optimizer from working out the bucket once more to filter out nulls.)"""
+    return rows.join(F.broadcast(pivots) if groups <= MOST_BROADCAST_GROUPS else pivots, "grp", "left")
 
 
 def _one_level(rows: DataFrame, level: int, cfg: SortConfig) -> Level:
@@ -208,9 +209,9 @@ def fused_pivots(df: DataFrame, key: KeySpec, cfg: SortConfig) -> DataFrame:
 
 def _fused_sort(df: DataFrame, key: KeySpec, cfg: SortConfig) -> SortResult:
     # nodes - 1 cuts in one row: bounded by the number of nodes, far below that of rows
-    cuts = staged(fused_pivots(df, key, cfg).groupBy().agg(F.array_sort(F.collect_list("cut")).alias("pivots")), "cuts")
+    cuts = staged(fused_pivots(df, key, cfg).groupBy(F.lit(0).alias("grp")).agg(F.array_sort(F.collect_list("cut")).alias("pivots")), "cuts")
     rows = keyed_rows(df, key, df.columns if cfg.carry == "record" else ())
-    routed = rows.crossJoin(F.broadcast(cuts)).withColumn("node", bucket_of("k", "pivots", cfg.nodes - 1)).drop("pivots", "_rid")
+    routed = attach_pivots(rows.withColumn("grp", F.lit(0)), cuts, 1).withColumn("node", F.coalesce(bucket_of("k", "pivots", cfg.nodes - 1), F.lit(0))).drop("pivots", "grp", "_rid")
     # the window finds the exchange's partitioning by node and adds none of its own
     moved = routed.repartitionById(cfg.nodes, F.col("node")) if cfg.nodes <= MOST_PARTITIONS else routed
     return SortResult(global_rank(moved, cfg.nodes, routed), rows, [], cfg)

@@ -35,6 +35,19 @@ def scan_pruned(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "lineitem").filter("l_quantity > 45 AND l_returnflag IN ('A', 'R')").select("l_orderkey", "l_quantity", "l_returnflag")
 
 
+def scan_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Region names through a text file."""
+    path = fresh_path(spark, "as-text")
+    load(spark, sf_dir, "region", ["r_name"]).write.text(path)
+    return spark.read.text(path).withColumnRenamed("value", "r_name")
+
+
+def stream_session_min(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each user's sessions with a gap of six hours, drained as a stream."""
+    rows = _streamed(lambda e: merges.session_min(e, "6 hours", None), "complete")(spark, sf_dir)
+    return rows.select("user_id", F.unix_seconds("start").alias("start_s"), F.unix_seconds("end").alias("end_s"), "least", "n")
+
+
 def scan_record_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     spark.dataSource.register(records.RecordSource)
     rows = spark.read.format("finegrain_records").option("rows", 5000).load()
@@ -276,7 +289,7 @@ def queries() -> dict[str, Query]:
         "stream_static_join": lambda s, d: _streamed(lambda e: merges.joined_static(e, s.range(75).withColumnRenamed("id", "user_id").withColumn("known", F.lit(1)), "user_id"), "append")(s, d).select("event_id", "known"),
     }
     for f in (
-        scan_pruned, scan_record_source, join_broadcast, join_merge, join_shuffle_hash, join_semi, join_anti, join_parameter_grid, join_self, join_range_buckets, join_range_dealt, join_salted, join_as_of, join_interval,
+        scan_pruned, scan_text, stream_session_min, scan_record_source, join_broadcast, join_merge, join_shuffle_hash, join_semi, join_anti, join_parameter_grid, join_self, join_range_buckets, join_range_dealt, join_salted, join_as_of, join_interval,
         agg_basic, agg_median, agg_spread, agg_rollup, agg_cube, agg_grouping_sets, agg_histogram, agg_distinct, agg_approx_distinct, agg_lists, win_numbering, win_distribution, win_offsets, win_frames,
         set_union, set_intersect, set_intersect_all, set_except, set_except_all, sort_limit_offset, fn_strings, fn_dates, fn_math, fn_arrays, fn_json, stream_running_min, stream_sorted_batches,
     ):
@@ -292,6 +305,9 @@ def oracle_sql() -> dict[str, str]:
     out = {f"scan_{kind}": customers for kind in ("csv", "json", "orc", "parquet")}
     out |= {
         "scan_pruned": "SELECT l_orderkey, l_quantity, l_returnflag FROM lineitem WHERE l_quantity > 45 AND l_returnflag IN ('A', 'R')",
+        "scan_text": "SELECT r_name FROM region",
+        "stream_session_min": """WITH g AS (SELECT *, sum(CASE WHEN epoch_us(ts) - lag_us < 21600000000 THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM (SELECT *, lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) AS lag_us FROM events))
+            SELECT user_id, min(epoch_us(ts)) // 1000000 AS start_s, (max(epoch_us(ts)) + 21600000000) // 1000000 AS end_s, min(value) AS least, count(*) AS n FROM g GROUP BY user_id, s""",
         "scan_record_source": "SELECT 5000 AS n, 5000 AS keys, 96 AS width",
         "join_broadcast": "SELECT c_custkey, n_name FROM customer JOIN nation ON c_nationkey = n_nationkey",
         "join_merge": segment,

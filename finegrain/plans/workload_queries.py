@@ -10,7 +10,9 @@ from pyspark.sql import functions as F
 
 from finegrain.functions.keys import KeySpec
 from finegrain.functions.pivots import expected_buckets, median_quantile
+from finegrain.functions.udfs import median_element
 from finegrain.operators import apps, baselines, microtasks
+from finegrain.operators.mediantree import median_tree
 from finegrain.operators.sorter import SortConfig, recursive_sort
 from finegrain.operators.treemerge import tree_merge
 from finegrain.plans import costmodel, measures, messages
@@ -302,6 +304,41 @@ def bounding_leaves(spark: SparkSession, sf_dir: str) -> DataFrame:
     return apps.bounding_boxes(ranked, vectors, "vec_id", "embedding", 3, 16)
 
 
+def median_tree_three_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A thousand nodes of nine keys, ten buckets, fan-in ten: medians of medians of medians of the i-th keys."""
+    rows = _events(spark, sf_dir, 9000).select(F.lit(0).alias("grp"), F.floor(F.col("event_id") / 9).cast("int").alias("node"), F.struct("value", "event_id").alias("k"))
+    local = rows.groupBy("grp", "node").agg(F.array_sort(F.collect_list("k")).alias("pivots"))
+    return median_tree(local, 1000, 10).select(F.posexplode("pivots").alias("j", "p")).select("j", "p.value", "p.event_id")
+
+
+def cost_host_stacks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Best fan-in and modelled merge time by the network's latency: lower latency makes deeper trees pay."""
+    rows = []
+    for name, p in PRESETS.items():
+        ns = {f: costmodel.tree_merge_ns(8192, 64, f, p) for f in (2, 4, 8, 16, 32, 64)}
+        best = min(ns, key=ns.get)
+        rows.append((name, p.hop(64), best, round(ns[best], 3)))
+    return spark.createDataFrame(rows, "profile string, hop_ns double, fan_in int, ns double")
+
+
+def scan_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Files and bytes below the tables that the workloads scan."""
+    rows = [(t, *measures.scan_bytes(load(spark, sf_dir, t))) for t in ("events", "orders", "lineitem", "documents")]
+    return spark.createDataFrame(rows, "table string, files int, bytes long")
+
+
+def granularity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The design rules as checks on the sorter's last level."""
+    result = recursive_sort(load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"]), ORDER_KEY, SortConfig(64, 8, 16, policy="full_quantile"))
+    report = measures.granularity_report(result.levels[-1].routed)
+    return spark.createDataFrame([(report["single_partition"], report["row_python"], report["load"] < 1.5)], "single_partition boolean, row_python boolean, even boolean")
+
+
+def udaf_median(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The lower median element of each type's values by a grouped aggregate in Python, to check the expression form."""
+    return _events(spark, sf_dir, 8192, "event_type", "value").groupBy("event_type").agg(median_element("value").alias("mid"))
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {f"tree_min_fanin_{f}": _tree(f) for f in (1, 2, 4, 8, 16, 32, 64)}
     out["tree_max"] = _tree(8, "max")
@@ -309,7 +346,7 @@ def queries() -> dict[str, Query]:
         tree_count, tree_sum, tree_bit_or, tree_distinct_sketch, tree_min_by_type, tree_partials_level1, map_reduce_length, cost_tree_merge, best_tree, cost_receive_send, graph_shape, cost_multicast, cost_tail_latency,
         cost_switch_latency, cost_multicast_clock, cost_buckets, cost_keys, skew_by_visibility, flagship_breakdown, flagship_throughput, idle_breakdown, reorder_buffer, bfs_cores, throughput_table, repeated_runs,
         distribution_independence, skew_by_distribution, expected_bucket_law, pivot_spread, min_scan_sizes, local_sort_sizes, local_sort_small, scan_words, loopback, kv_get_put, set_intersect_postings,
-        boolean_search_documents, zorder_embeddings, bounding_leaves,
+        boolean_search_documents, zorder_embeddings, bounding_leaves, median_tree_three_rounds, cost_host_stacks, scan_bytes, granularity, udaf_median,
     ):
         out[f.__name__] = f
     return out
@@ -321,6 +358,12 @@ def _morton_sql() -> str:
     return f"SELECT vec_id, {bits} AS code FROM (SELECT vec_id, {', '.join(f'{cell(i)} AS c{i}' for i in range(3))} FROM embeddings)"
 
 
+def _median_round(t: int) -> str:
+    over = "PARTITION BY j, idx // 10"
+    upper = f"CASE WHEN (idx // 10 + {t}) % 2 = 1 THEN count(*) OVER ({over}) // 2 + 1 ELSE (count(*) OVER ({over}) - 1) // 2 + 1 END"
+    return f"t{t} AS (SELECT j, idx // 10 AS idx, value, event_id FROM t{t - 1} QUALIFY row_number() OVER ({over} ORDER BY value, event_id) = {upper})"
+
+
 def _words_sql() -> str:
     return "SELECT doc_id AS id, list_distinct(list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda x: x <> '')) AS w FROM documents"
 
@@ -346,6 +389,11 @@ def oracle_sql() -> dict[str, str]:
         "graph_shape": """WITH RECURSIVE l(fan_in, level, tasks) AS (SELECT v, 0, 64 FROM (VALUES (2), (4), (8), (16), (64)) f(v) UNION ALL SELECT fan_in, level + 1, ceil(tasks / fan_in)::INT FROM l WHERE tasks > 1) SELECT * FROM l""",
         "cost_multicast": """WITH k AS (SELECT 131072 AS n, 15 * 4096 * 3 AS up), t AS (SELECT n * 5 + up + 15 * (1 + 16 + 256) AS multicast, n * 5 + 2 * up AS unicast FROM k)
             SELECT multicast, unicast, round(1 - multicast / unicast, 4) AS saved FROM t""",
+        "median_tree_three_rounds": f"""WITH t0 AS (SELECT row_number() OVER (PARTITION BY event_id // 9 ORDER BY value, event_id) - 1 AS j, event_id // 9 AS idx, value, event_id FROM events WHERE event_id < 9000),
+            {", ".join(_median_round(t) for t in (1, 2, 3))}
+            SELECT (row_number() OVER (ORDER BY value, event_id) - 1)::INT AS j, value, event_id FROM t3""",
+        "granularity": "SELECT false AS single_partition, false AS row_python, true AS even",
+        "udaf_median": "SELECT event_type, quantile_disc(value, 0.5) AS mid FROM events WHERE event_id < 8192 GROUP BY 1",
         "throughput_table": """SELECT * FROM (VALUES ('recursive bucket sort', 65536, 224, 224.4), ('boundary-first sort', 2240, 1297, 446.4), ('record-holding cluster sort', 10240, 1977, NULL), ('in-memory cluster sort', 3072, 707, NULL)) t(system, cores, records_per_ms_core, computed)""",
         "distribution_independence": "SELECT 0 AS moved, count(*) AS rows FROM orders",
         "min_scan_sizes": "SELECT pow(2, i)::INT AS n, (SELECT min(value) FROM events WHERE event_id < pow(2, i)) AS least, pow(2, i) * 2.2::DOUBLE AS scan_ns FROM range(6, 14) t(i)",

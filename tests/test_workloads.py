@@ -124,7 +124,7 @@ def test_sessions(spark):
 
 NAMES = [
     "tree_min_by_type", "tree_partials_level1", "cost_tree_merge", "cost_multicast", "graph_shape", "throughput_table", "zorder_embeddings", "bounding_leaves", "kv_get_put", "boolean_search_documents",
-    "join_as_of", "join_interval", "join_salted", "agg_grouping_sets", "win_offsets", "fn_dates", "fn_strings", "stream_tumbling_min", "stream_running_min",
+    "median_tree_three_rounds", "granularity", "udaf_median", "scan_text", "stream_session_min", "join_as_of", "join_interval", "join_salted", "agg_grouping_sets", "win_offsets", "fn_dates", "fn_strings", "stream_tumbling_min", "stream_running_min",
 ]
 
 
