@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.filters import in_table, key_table, without_keys
 from finegrain.llm.textkernel import blocks, hash_word, mix, words_of
 from finegrain.sources.staging import staged
@@ -135,7 +136,7 @@ def item_windows(benchmark: DataFrame, item_col: str = "item_id", text: str = "t
 
     id_type = benchmark.schema[item_col].dataType.simpleString()
     rows = benchmark.select(F.col(item_col).alias("item"), F.col(text).alias("text"))
-    return rows.mapInArrow(run, f"item {id_type}, length int, form int, hash long, second long, item_at long, item_windows long, item_values array<long>")
+    return rows.transform(in_batches, run, f"item {id_type}, length int, form int, hash long, second long, item_at long, item_windows long, item_values array<long>")
 
 
 def _document_windows(docs: DataFrame, table: np.ndarray, lengths: list[int]) -> DataFrame:
@@ -158,7 +159,7 @@ def _document_windows(docs: DataFrame, table: np.ndarray, lengths: list[int]) ->
                                 [keys.take(pa.array(of)), pa.array(h.view(np.int64)), pa.array(at - c.first[of]), pa.array(c.values(form, at, length), pa.list_(pa.int64()))], names=["key", "hash", "at", "values"]
                             )
 
-    return docs.mapInArrow(run, "key long, hash long, at long, values array<long>")
+    return docs.transform(in_batches, run, "key long, hash long, at long, values array<long>")
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str = "_key", item_col: str = "item_id", item_text: str = "text") -> DataFrame:

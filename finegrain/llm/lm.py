@@ -25,6 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.textkernel import FOLD, NOT_SPACE, Words, blocks, mix, words_of
 from finegrain.sources.staging import staged
 
@@ -99,7 +100,7 @@ def word_counts(texts: DataFrame) -> DataFrame:
             distinct, at, n = np.unique(h, return_index=True, return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(distinct.view(np.int64)), pa.array(f[at].astype(np.int32)), pa.array(n)], names=["hash", "form", "n"])
 
-    found = texts.select("text").mapInArrow(run, "hash long, form int, n long")
+    found = texts.select("text").transform(in_batches, run, "hash long, form int, n long")
     return found.groupBy("hash").agg(F.first("form").alias("form"), F.sum("n").alias("n"))
 
 
@@ -288,7 +289,7 @@ def _encode(texts: DataFrame, vocabulary: Vocabulary) -> DataFrame:
                 serial += n
 
     id_type = texts.schema["id"].dataType.simpleString()
-    return texts.mapInArrow(run, f"id {id_type}, uid long, trains boolean, n_tokens long, head_logs double, class_logs double, head_known long, symbols binary, tail array<long>")
+    return texts.transform(in_batches, run, f"id {id_type}, uid long, trains boolean, n_tokens long, head_logs double, class_logs double, head_known long, symbols binary, tail array<long>")
 
 
 def _symbol_blocks(column: pa.Array, least: int = 1 << 18) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -321,7 +322,7 @@ def baum_welch(encoded: DataFrame, classes: int, states: int = STATES, passes: i
             yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["at", "x"])
 
         # the sums have a fixed number of places, whatever the corpus
-        summed = rows.mapInArrow(run, "at int, x double").groupBy("at").agg(F.sum("x").alias("x")).toPandas()
+        summed = rows.transform(in_batches, run, "at int, x double").groupBy("at").agg(F.sum("x").alias("x")).toPandas()
         flat = np.zeros(width)
         flat[summed["at"].to_numpy(np.int64)] = summed["x"].to_numpy(np.float64)
         shared.unpersist()
@@ -345,7 +346,7 @@ def _likelihoods(encoded: DataFrame, model: HiddenMarkov) -> DataFrame:
 
     kept = encoded.select("symbols", "id", "uid", "trains", "n_tokens", "head_logs", "class_logs", "head_known")
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in kept.schema.fields[1:])
-    return kept.mapInArrow(run, f"{schema}, forward double")
+    return kept.transform(in_batches, run, f"{schema}, forward double")
 
 
 def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:

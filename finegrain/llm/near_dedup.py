@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.filters import in_table, key_table, without_keys
 from finegrain.llm.textkernel import blocks, mix, words_of
 from finegrain.operators.components import connected_components
@@ -91,7 +92,7 @@ def word_document_counts(docs: DataFrame, text: str = "text") -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["slot", "n"])
 
     # a fixed number of slots, whatever the corpus
-    summed = docs.select(F.col(text).alias("text")).mapInArrow(run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    summed = docs.select(F.col(text).alias("text")).transform(in_batches, run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
     counts = np.zeros((1 << WORD_BITS) + 1, np.int64)
     counts[summed["slot"].to_numpy(np.int64)] = summed["n"].to_numpy(np.int64)
     return counts
@@ -193,7 +194,7 @@ def sketches(docs: DataFrame, weights: np.ndarray, id_col: str, text: str) -> Da
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(node_keys(w, offsets).view(np.int64)), *bands], names=["id", "key", "node", *names])
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), row_key(id_col, text).alias("key"), F.col(text).alias("text"))
-    return rows.mapInArrow(run, "id long, key long, node long, " + ", ".join(f"{b} long" for b in names))
+    return rows.transform(in_batches, run, "id long, key long, node long, " + ", ".join(f"{b} long" for b in names))
 
 
 def row_key(id_col: str, text: str):
@@ -229,7 +230,7 @@ def candidate_shingles(docs: DataFrame, chosen: DataFrame, weights: np.ndarray,
                 yield pa.RecordBatch.from_arrays([pa.array(nodes[hit]), pa.array(packed, pa.binary()), pa.array(masses, pa.binary())], names=["node", "hashes", "weights"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).alias("text"))
-    packed = rows.mapInArrow(run, "node long, hashes binary, weights binary")
+    packed = rows.transform(in_batches, run, "node long, hashes binary, weights binary")
     return packed.join(chosen.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
@@ -260,7 +261,7 @@ def verified(pairs: DataFrame, packed: DataFrame, least: float = SIMILARITY) ->
             keep = np.array(near) >= least - 1e-9
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(keep)), batch.column(1).filter(pa.array(keep)), pa.array(np.array(near)[keep], pa.float64())], names=["a", "b", "similarity"])
 
-    return joined.mapInArrow(run, "a long, b long, similarity double")
+    return joined.transform(in_batches, run, "a long, b long, similarity double")
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -329,7 +330,7 @@ def _block_links(open_members: DataFrame, packed: DataFrame) -> DataFrame:
                 x, y = block_links(_unpacked(a.values), _unpacked(b.values))
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()), pa.array(y, pa.int64())], names=["a", "b"])
 
-    found = met.mapInArrow(run, "a long, b long")
+    found = met.transform(in_batches, run, "a long, b long")
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 

@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.textkernel import SpanTable, blocks, hash_spans, mix, per_text_counts
 
 MARK = "▁"
@@ -178,7 +179,7 @@ def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", ids: str =
                 yield pa.RecordBatch.from_arrays([*part.columns, _lists(flat, counts)], names=[*part.schema.names, ids])
 
     schema = docs.select("*", F.array().cast("array<int>").alias(ids)).schema
-    return docs.mapInArrow(run, schema)
+    return docs.transform(in_batches, run, schema)
 
 
 def decode_pieces(rows: DataFrame, model: bytes, ids: str = "ids", text: str = "text") -> DataFrame:
@@ -194,7 +195,7 @@ def decode_pieces(rows: DataFrame, model: bytes, ids: str = "ids", text: str = "
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], names=[*batch.schema.names, text])
 
     schema = rows.select("*", F.lit(None).cast("string").alias(text)).schema
-    return rows.mapInArrow(run, schema)
+    return rows.transform(in_batches, run, schema)
 
 
 def piece_digests(docs: DataFrame, model: bytes, id_col: str = "doc_id", text: str = "text") -> DataFrame:
@@ -235,4 +236,4 @@ def _digests(docs: DataFrame, model: bytes, id_col: str, text: str, whole: bool)
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))
     more = ", ids array<int>" if whole else ""
-    return rows.mapInArrow(run, f"id {id_type}, n_tokens long, ids_crc32 long, n_bytes long, path_score double, exact boolean{more}").withColumnRenamed("id", id_col)
+    return rows.transform(in_batches, run, f"id {id_type}, n_tokens long, ids_crc32 long, n_bytes long, path_score double, exact boolean{more}").withColumnRenamed("id", id_col)

@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.textkernel import ALNUM, blocks, words_of
 from finegrain.sources.staging import staged
 
@@ -207,7 +208,7 @@ def _feature_rows(docs: DataFrame, id_col: str, text: str) -> DataFrame:
             f = features_of(batch.column(1)).astype(np.float32)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.FixedSizeListArray.from_arrays(pa.array(f.ravel()), WIDTH).cast(pa.list_(pa.float32()))], names=["id", "features"])
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).mapInArrow(run, f"id {id_type}, features array<float>")
+    return docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).transform(in_batches, run, f"id {id_type}, features array<float>")
 
 
 def train_quality(features: DataFrame, labels: DataFrame, learn_from, most_positive: int = MOST_POSITIVE, most_unlabelled: int = MOST_UNLABELLED) -> QualityModel:
@@ -239,7 +240,7 @@ def quality_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
             x = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, WIDTH)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(model.score(x), pa.float64())], names=["id", "score"])
 
-    scored = features.mapInArrow(run, f"id {id_type}, score double")
+    scored = features.transform(in_batches, run, f"id {id_type}, score double")
     held = F.coalesce(~learnable(), F.lit(False))
     return scored.select(F.col("id").alias(id_col), held.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
@@ -254,4 +255,4 @@ def keep_good(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text:
         for batch in batches:
             yield batch.filter(pa.array(model.score(features_of(batch.column(batch.schema.get_field_index(text)))) >= THRESHOLD))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.transform(in_batches, run, docs.schema)

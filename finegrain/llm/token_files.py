@@ -30,6 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from finegrain.llm.batches import in_batches
 from finegrain.llm.textkernel import SpanTable, blocks, hash_spans, per_text_counts
 from finegrain.operators.ranking import range_bounds
 from finegrain.sources.staging import fresh_path, staged
@@ -258,7 +259,7 @@ def write_token_files(docs: DataFrame, model: str, folder: str, id_col: str = "d
                 payload = pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer((at * item).astype(np.int32)), pa.py_buffer(raw)])
                 yield pa.RecordBatch.from_arrays([key, pa.array(part), pa.array(np.full(n, item, np.int8)), payload], names=["id", "part", "item", "ids"])
 
-    encoded = rows.mapInArrow(encode, "id long, part int, item byte, ids binary")
+    encoded = rows.transform(in_batches, encode, "id long, part int, item byte, ids binary")
     dealt = encoded.repartitionById(len(bounds) + 1, "part").sortWithinPartitions(F.col("id").asc_nulls_first())
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -290,7 +291,7 @@ def write_token_files(docs: DataFrame, model: str, folder: str, id_col: str = "d
         if held:
             yield flush()
 
-    return staged(dealt.mapInArrow(write, "part int, file int, path string, rows long, ids long"), "token-file-list")
+    return staged(dealt.transform(in_batches, write, "part int, file int, path string, rows long, ids long"), "token-file-list")
 
 
 def read_token_files(files: DataFrame) -> DataFrame:
@@ -327,7 +328,7 @@ def _read(files: DataFrame, whole: bool) -> DataFrame:
 
     schema = f"id long, start long, n_tokens long, last {'array<int>' if whole else 'long'}"
     spread = placed.repartition(max(1, min(files.count(), 4096)), "path")
-    return spread.mapInArrow(read, schema).withColumnRenamed("last", "ids" if whole else "ids_crc32")
+    return spread.transform(in_batches, read, schema).withColumnRenamed("last", "ids" if whole else "ids_crc32")
 
 
 def token_digests(spark: SparkSession, docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text: str = "text") -> DataFrame:
