@@ -130,8 +130,6 @@ def _one_level(rows: DataFrame, level: int, cfg: SortConfig) -> Level:
     b, width = cfg.levels[level], cfg.width(level)
     grouped = rows.withColumn("grp", F.floor(F.col("node") / F.lit(width)).cast("int"))
     local = local_pivots(grouped, level, cfg, b)
-    if cfg.mode == "virtual":
-        local = staged(local, "local-pivots")
     pivots = staged(group_pivots(local, width, cfg), "group-pivots")
     routed = route(attach_pivots(grouped, pivots, cfg.nodes // width), level, width, b, cfg.seed, cfg.hash_name)
     routed = routed.drop("pivots")

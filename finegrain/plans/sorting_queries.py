@@ -294,7 +294,7 @@ def queries() -> dict[str, Query]:
         "rbs_mixed_radix": orders(SortConfig(96, radices=(8, 4, 3))),
         "rbs_adaptive_stop": orders(SortConfig(64, 8, 16, target_rows=1900)),
         "rbs_hash_placement": orders(SortConfig(64, 8, 16, initial="hash", hash_name="fast")),
-        "rbs_physical": orders(SortConfig(64, 8, 16, mode="physical", hash_name="fast")),
+        "rbs_physical": orders(SortConfig(64, 8, 16, mode="physical", initial="hash", hash_name="fast")),
         "rbs_fused": orders(SortConfig(64, 64, 16, mode="fused")),
         "rbs_carry_record": _ranks("orders", ORDERS, SortConfig(64, 8, 16, carry="record"), "o_custkey", "o_orderpriority"),
         "bucket_profile_naive": bucket_profile("naive"),
