@@ -19,6 +19,7 @@ from __future__ import annotations
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import ahocorasick
 import numpy as np
@@ -113,11 +114,16 @@ class BlockEncoder:
 
     def __init__(self, model: bytes):
         self.model = PieceModel(model)
-        self._table = SpanTable(lambda spans: list(map(self.model.viterbi, spans)))
+        self._table = SpanTable(self._solve)
         sizes = np.fromiter(map(len, self.model.surfaces), np.int64)
         self._size, self._start = sizes, np.cumsum(sizes) - sizes
         self._bytes = np.frombuffer(b"".join(self.model.surfaces), np.uint8)
 
+    def _solve(self, spans: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        lists = list(map(self.model.viterbi, spans))
+        sizes = np.fromiter(map(len, lists), np.int64, len(lists))
+        return np.fromiter(chain.from_iterable(lists), np.uint32, int(sizes.sum())), sizes
+
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and how many each has."""
         space, line = data == _SPACE, data == _LINE

@@ -121,42 +121,56 @@ def blocks(column: pa.Array | pa.ChunkedArray) -> Iterator[tuple[int, np.ndarray
 
 
 class SpanTable:
-    """Token ids of distinct spans of text, kept from block to block and bounded in number."""
+    """Token ids of distinct spans of text, kept from block to block and bounded in number.
 
-    def __init__(self, encode, most: int = 400_000):
-        self._encode, self._most = encode, most
+    ``encode`` turns a list of spans into their ids in a row and how many each has. Known spans are sorted arrays, a large one and a
+    recent one that is merged into it now and then: a few dozen bytes a span.
+    """
+
+    def __init__(self, encode, most: int = 1_000_000, recent: int = 1 << 16):
+        self._encode, self._most, self._recent = encode, most, recent
         self._clear()
 
     def _clear(self) -> None:
-        self._row: dict[int, int] = {}
+        nothing = (np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32))
+        self._known, self._new = nothing, nothing
         self._flat, self._used = np.zeros(1 << 16, np.uint32), 0
-        self._start, self._size = np.zeros(0, np.int64), np.zeros(0, np.int64)
 
-    def _add(self, hashes: list[int], ids: list[list[int]]) -> None:
-        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        more = int(sizes.sum())
+    @staticmethod
+    def _merged(a: tuple, b: tuple) -> tuple:
+        order = np.argsort(np.concatenate([a[0], b[0]]), kind="stable")
+        return tuple(np.concatenate(x)[order] for x in zip(a, b, strict=True))
+
+    def _add(self, hashes: np.ndarray, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        more = len(ids)
         while self._used + more > len(self._flat):
             self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
-        self._flat[self._used : self._used + more] = np.fromiter((x for i in ids for x in i), np.uint32, more)
-        self._row.update(zip(hashes, range(len(self._start), len(self._start) + len(ids)), strict=True))
-        self._start = np.concatenate([self._start, self._used + np.cumsum(sizes) - sizes])
-        self._size = np.concatenate([self._size, sizes])
+        self._flat[self._used : self._used + more] = ids
+        starts = (self._used + np.cumsum(sizes) - sizes).astype(np.int32)
         self._used += more
+        self._new = self._merged(self._new, (hashes, starts, sizes.astype(np.int32)))
+        if len(self._new[0]) > self._recent:
+            self._known = self._merged(self._known, self._new)
+            self._new = tuple(x[:0] for x in self._new)
+        return starts
 
     def lookup(self, hashes: np.ndarray, span_of) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all spans in a row, and how many each span has. ``span_of(i)`` gives the text of span ``i`` when it is new."""
         distinct, at, inverse = np.unique(hashes, return_index=True, return_inverse=True)
-        if len(self._row) + len(distinct) > self._most and self._row:
+        if len(self._known[0]) + len(self._new[0]) + len(distinct) > self._most:
             self._clear()
-        keys = distinct.tolist()
-        rows = np.fromiter((self._row.get(k, -1) for k in keys), np.int64, len(keys))
-        if len(new := np.flatnonzero(rows < 0)):
-            self._add([keys[i] for i in new], self._encode([span_of(int(at[i])) for i in new]))
-            rows[new] = np.arange(len(self._start) - len(new), len(self._start))
-        start, size = self._start[rows][inverse], self._size[rows][inverse]
-        total = int(size.sum())
+        start, size = np.full(len(distinct), -1, np.int64), np.zeros(len(distinct), np.int64)
+        for keys, starts, sizes in (self._known, self._new):
+            if len(keys) and len(distinct):
+                near = np.minimum(np.searchsorted(keys, distinct), len(keys) - 1)
+                hit = keys[near] == distinct
+                start[hit], size[hit] = starts[near[hit]], sizes[near[hit]]
+        if len(new := np.flatnonzero(start < 0)):
+            ids, sizes = self._encode([span_of(i) for i in at[new].tolist()])
+            start[new], size[new] = self._add(distinct[new], ids, sizes), sizes
+        start, size = start[inverse], size[inverse]
         ends = np.cumsum(size)
-        gather = np.repeat(start - (ends - size), size) + np.arange(total)
+        gather = np.repeat(start - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)
         return self._flat[gather], size
 
 

@@ -172,11 +172,14 @@ class FastWords:
         self._ends = np.array([(self.library.id_to_token(i) or "").endswith("</w>") for i in range(size)])
         self._table = SpanTable(self._words)
 
-    def _words(self, words: list[str]) -> list[list[int]]:
-        ids = np.array(self.library.encode(" ".join(words), add_special_tokens=False).ids, dtype=np.int64)
-        cuts = np.flatnonzero(self._ends[ids])[:-1] + 1
-        out = [x.tolist() for x in np.split(ids, cuts)]
-        return out if len(out) == len(words) else [self.library.encode(w, add_special_tokens=False).ids for w in words]
+    def _words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of single words: one call of the library, cut where a piece ends a word."""
+        ids = np.array(self.library.encode(" ".join(words), add_special_tokens=False).ids, dtype=np.uint32)
+        ends = np.flatnonzero(self._ends[ids]) + 1
+        if len(ends) == len(words):
+            return ids, np.diff(ends, prepend=0)
+        lists = [self.library.encode(w, add_special_tokens=False).ids for w in words]
+        return np.array([x for one in lists for x in one], np.uint32), np.array([len(x) for x in lists], np.int64)
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts of a block in a row, and how many each has."""
