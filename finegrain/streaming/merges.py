@@ -30,7 +30,7 @@ def read_events(spark: SparkSession, folder: str, files_per_batch: int = 1) -> D
     return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_batch).parquet(folder)
 
 
-def windowed_min(events: DataFrame, length: str, slide: str | None = None, watermark: str | None = "1 hour", workers: int = 8) -> DataFrame:
+def windowed_min(events: DataFrame, length: str, slide: str | None = None, watermark: str | None = "1 hour") -> DataFrame:
     """Least value of each window of ``ts``; later than the watermark is dropped. Works on streams and tables.
 
     Workers' partials and their merge are one aggregate: Spark combines partials before they shuffle.
