@@ -216,10 +216,10 @@ def train_quality(features: DataFrame, labels: DataFrame, learn_from, most_posit
     good = labels.filter(learn_from).groupBy("id").agg(F.max("quality").alias("quality"))
     known = features.join(good, "id", "left").withColumn("_h", F.xxhash64(F.col("id").cast("string"), F.lit(7)))
     # bounded samples: the smallest hashes of the id
-    positive = known.filter("quality = 1").orderBy("_h").limit(most_positive).select("features").toPandas()
+    positive = known.filter("quality = 1").orderBy("_h").limit(most_positive).select("features").toArrow()
     rest = features.join(good.filter("quality = 1"), "id", "left_anti").withColumn("_h", F.xxhash64(F.col("id").cast("string"), F.lit(11)))
-    unlabelled = rest.orderBy("_h").limit(most_unlabelled).select("features").toPandas()
-    stack = lambda frame: np.array(frame["features"].tolist(), dtype=np.float64).reshape(-1, WIDTH)
+    unlabelled = rest.orderBy("_h").limit(most_unlabelled).select("features").toArrow()
+    stack = lambda table: table["features"].combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, WIDTH)
     return fit_nnpu(stack(positive), stack(unlabelled))
 
 
