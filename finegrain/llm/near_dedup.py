@@ -37,7 +37,8 @@ from finegrain.sources.staging import staged
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 11, 4
-#: log2 of the slots of the word weights' table and of the samples' random numbers.
+#: log2 of the slots of the word weights' table and of the samples' random numbers. Weights are kept in sixteenths up to 16: in
+#: corpora of more than some 10^6 documents the rarest words weigh alike.
 WORD_BITS, DRAW_BITS = 18, 14
 #: Groups up to this size are compared whole, pair by pair; what hubs leave of larger ones, in blocks of about so many nodes.
 SMALL_GROUP, BLOCK_NODES = 12, 64
