@@ -7,8 +7,10 @@ and document. So a question with other numbers or names in it is found, and a te
 
 Document windows pass a bit table of fixed size made of the benchmark's windows before they leave their task.
 
-Defined results: null counts as empty; an item of fewer than ``SHORTEST`` canonical words is not searched; an item shorter than a
-window is one window. A document is reported once for each item. Rows with the same id are judged each on its own text.
+Windows of placeholders mostly say too little and are left out. An item that they leave without enough windows (dense numbers,
+or fewer than ``SHORTEST`` words) is searched by windows of its own words, values included, so that its copies are found.
+
+Defined results: null counts as empty; an item without words is not searched; an item shorter than a window is one window. A document is reported once for each item. Rows with the same id are judged each on its own text.
 An empty benchmark leaves every document clean.
 """
 
@@ -27,11 +29,11 @@ from finegrain.llm.textkernel import blocks, hash_word, mix, words_of
 from finegrain.sources.staging import staged
 
 WINDOW, SHORTEST = 8, 5
-#: Windows that must agree at one relative position: this share of the item's, five at least, or all of them.
+#: Windows that must agree at one relative position: this share of the item's, five at least, or all that are searched.
 SHARE, LEAST = 0.3, 5
 #: Benchmark windows up to this number are broadcast; beyond it the join shuffles.
 MOST_BROADCAST = 200_000
-PLAIN, NAMED = 0, 1
+PLAIN, NAMED, RAW = 0, 1, 2
 
 # Units.
 UNITS = (
@@ -80,9 +82,12 @@ class Canonical:
         self.forms = (plain, np.where(self.name & ~self.number & ~self.unit, _NAME, plain))
         self.first = np.searchsorted(self.text, np.arange(len(offsets)))
         self.hashes = h
+        self.forms += (h,)
 
     def slots(self, form: int) -> np.ndarray:
         """Which words are placeholders."""
+        if form == RAW:
+            return np.zeros(len(self.number), bool)
         out = self.number | self.unit
         return out | self.name if form == NAMED else out
 
@@ -99,7 +104,7 @@ class Canonical:
             total = mix(total + np.uint64(form * 1000 + length))
         ok = self.text[:n] == self.text[length - 1 :]
         fixed = np.concatenate([[0], np.cumsum(~self.slots(form))])
-        ok &= fixed[length:] - fixed[:-length] >= min(4, length)
+        ok &= fixed[length:] - fixed[:-length] >= min(4, length)  # all windows of the raw form
         if form == NAMED:  # without a name in it the plain form has the same window
             named = np.concatenate([[0], np.cumsum(self.name & ~self.number & ~self.unit)])
             ok &= named[length:] - named[:-length] > 0
@@ -114,32 +119,44 @@ class Canonical:
 
 
 def item_windows(benchmark: DataFrame, item_col: str = "item_id", text: str = "text") -> DataFrame:
-    """Windows of all items: item, form, length, hash, position, number of windows of the item, values of the placeholders."""
+    """Windows of all items: item, form, length, hash, position, how many are searched and must agree, values of the placeholders."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row, data, offsets in blocks(batch.column(1)):
                 c = Canonical(data, offsets)
                 sizes = np.diff(c.first)
-                for form in (PLAIN, NAMED):
-                    for length in range(SHORTEST, WINDOW + 1):
+                length_of = np.minimum(sizes, WINDOW)
+                total = sizes - length_of + 1
+                least = np.minimum(total, np.maximum(LEAST, np.ceil(total * SHARE).astype(np.int64)))
+                found = {}
+                for form in (PLAIN, NAMED, RAW):
+                    for length in range(1 if form == RAW else SHORTEST, WINDOW + 1):
                         at, h = c.windows(form, length)
-                        of = c.text[at]
-                        fits = np.minimum(sizes[of], WINDOW) == length
-                        at, h, of = at[fits], h[fits], of[fits]
-                        if not len(at):
-                            continue
-                        yield pa.RecordBatch.from_arrays(
-                            [batch.column(0).slice(row, len(sizes)).take(pa.array(of)), pa.array(np.full(len(at), length, np.int32)), pa.array(np.full(len(at), form, np.int32)), pa.array(h.view(np.int64)), pa.array(mix(h).view(np.int64)), pa.array(at - c.first[of]), pa.array(np.maximum(sizes[of] - length + 1, 1)), pa.array(c.values(form, at, length), pa.list_(pa.int64()))],
-                            names=["item", "length", "form", "hash", "second", "item_at", "item_windows", "item_values"],
-                        )
+                        fits = length_of[c.text[at]] == length
+                        found[form, length] = at[fits], h[fits]
+                plain = np.concatenate([c.text[at] for (form, _), (at, _) in found.items() if form == PLAIN])
+                searched = np.bincount(plain, minlength=len(sizes))
+                template = (searched >= least) | (searched * 2 >= total)
+                searched = np.where(template, searched, total)
+                for (form, length), (at, h) in found.items():
+                    fits = template[c.text[at]] == (form != RAW)
+                    at, h = at[fits], h[fits]
+                    of = c.text[at]
+                    if not len(at):
+                        continue
+                    yield pa.RecordBatch.from_arrays(
+                        [batch.column(0).slice(row, len(sizes)).take(pa.array(of)), pa.array(np.full(len(at), length, np.int32)), pa.array(np.full(len(at), form, np.int32)), pa.array(h.view(np.int64)), pa.array(mix(h).view(np.int64)), pa.array(at - c.first[of]), pa.array(searched[of]), pa.array(np.minimum(searched, least)[of]), pa.array(c.values(form, at, length), pa.list_(pa.int64()))],
+                        names=["item", "length", "form", "hash", "second", "item_at", "item_windows", "needed", "item_values"],
+                    )
 
     id_type = benchmark.schema[item_col].dataType.simpleString()
     rows = benchmark.select(F.col(item_col).alias("item"), F.col(text).alias("text"))
-    return rows.transform(in_batches, run, f"item {id_type}, length int, form int, hash long, second long, item_at long, item_windows long, item_values array<long>")
+    return rows.transform(in_batches, run, f"item {id_type}, length int, form int, hash long, second long, item_at long, item_windows long, needed long, item_values array<long>")
 
 
-def _document_windows(docs: DataFrame, table: np.ndarray, lengths: list[int]) -> DataFrame:
+def _document_windows(docs: DataFrame, table: np.ndarray, kinds: list[tuple[int, int]]) -> DataFrame:
+    """Windows of the documents that may be an item's: ``kinds`` are the items' forms and lengths."""
     shared = docs.sparkSession.sparkContext.broadcast(table)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -147,17 +164,21 @@ def _document_windows(docs: DataFrame, table: np.ndarray, lengths: list[int]) ->
             for row, data, offsets in blocks(batch.column(1)):
                 c = Canonical(data, offsets)
                 keys = batch.column(0).slice(row, len(offsets) - 1)
-                for form in (PLAIN, NAMED):
-                    for length in lengths:
-                        at, h = c.windows(form, length)
-                        hit = in_table(shared.value, h)
-                        hit[hit] = in_table(shared.value, mix(h[hit]))
-                        at, h = at[hit], h[hit]
-                        if len(at):
-                            of = c.text[at]
-                            yield pa.RecordBatch.from_arrays(
-                                [keys.take(pa.array(of)), pa.array(h.view(np.int64)), pa.array(at - c.first[of]), pa.array(c.values(form, at, length), pa.list_(pa.int64()))], names=["key", "hash", "at", "values"]
-                            )
+                for form, length in kinds:
+                    at, h = c.windows(form, length)
+                    hit = in_table(shared.value, h)
+                    hit[hit] = in_table(shared.value, mix(h[hit]))
+                    at, h = at[hit], h[hit]
+                    if form == RAW and length < WINDOW and len(at):  # the whole item: once in a text says all
+                        order = np.lexsort((at, h, c.text[at]))
+                        at, h = at[order], h[order]
+                        new = np.concatenate([[True], (h[1:] != h[:-1]) | (c.text[at[1:]] != c.text[at[:-1]])])
+                        at, h = at[new], h[new]
+                    if len(at):
+                        of = c.text[at]
+                        yield pa.RecordBatch.from_arrays(
+                            [keys.take(pa.array(of)), pa.array(h.view(np.int64)), pa.array(at - c.first[of]), pa.array(c.values(form, at, length), pa.list_(pa.int64()))], names=["key", "hash", "at", "values"]
+                        )
 
     return docs.transform(in_batches, run, "key long, hash long, at long, values array<long>")
 
@@ -166,18 +187,18 @@ def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str
     """``(key, item, windows, item_windows, exact)`` of all documents that hold an item; ``key`` is a 64-bit row key."""
     items = staged(item_windows(benchmark, item_col, item_text), "benchmark-windows")
     table = key_table(items.select("hash").unionByName(items.select(F.col("second").alias("hash"))), "hash")
-    lengths = sorted(r["length"] for r in items.select("length").distinct().collect())  # WINDOW different ones at most
-    found = _document_windows(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), table, lengths)
+    kinds = sorted((r["form"], r["length"]) for r in items.select("form", "length").distinct().collect())  # 2 * WINDOW different ones at most
+    found = _document_windows(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), table, kinds)
     side = F.broadcast(items) if items.count() <= MOST_BROADCAST else items
     joined = found.join(side, "hash").withColumn("offset", F.col("at") - F.col("item_at"))
     pairs = F.filter(F.arrays_zip(F.col("item_values").alias("i"), F.col("values").alias("d")), lambda p: p["i"] != 0)
     # one item at one place of one document: as many rows as the item has windows
     lined = joined.withColumn("pairs", pairs).groupBy("key", "item", "form", "offset").agg(
-        F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs")
+        F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("needed").alias("needed"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs")
     )
     one_to_one = (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"])))) & (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["d"]))))
     same = ~F.exists("pairs", lambda p: p["i"] != p["d"])
-    enough = F.col("windows") >= F.least(F.col("item_windows"), F.greatest(F.lit(LEAST), F.ceil(F.col("item_windows") * SHARE)))
+    enough = F.col("windows") >= F.col("needed")
     kept = lined.filter(enough & one_to_one).withColumn("exact", same)
     return kept.groupBy("key", "item").agg(F.max("windows").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("exact").alias("exact"))
 
