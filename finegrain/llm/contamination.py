@@ -192,8 +192,8 @@ def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str
     side = F.broadcast(items) if items.count() <= MOST_BROADCAST else items
     joined = found.join(side, "hash").withColumn("offset", F.col("at") - F.col("item_at"))
     pairs = F.filter(F.arrays_zip(F.col("item_values").alias("i"), F.col("values").alias("d")), lambda p: p["i"] != 0)
-    # one item at one place of one document: as many rows as the item has windows
-    lined = joined.withColumn("pairs", pairs).groupBy("key", "item", "form", "offset").agg(
+    # one item at one place of one document, both forms together: at most two rows for each of the item's windows
+    lined = joined.withColumn("pairs", pairs).groupBy("key", "item", "offset").agg(
         F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("needed").alias("needed"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs")
     )
     one_to_one = (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"])))) & (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["d"]))))
