@@ -73,6 +73,11 @@ class Canonical:
         self.ends = np.zeros(int(keep.sum()), np.int64)
         np.maximum.at(self.ends, groups, ends)
         self.raw, h, self.number = data, w.hashes[keep], number[keep]
+        if inner.any():  # the value of a number is that of all its parts in order, whatever separates them
+            part = np.flatnonzero(inner)
+            rank = (part - np.flatnonzero(keep)[groups[part]]).astype(np.uint64)
+            with np.errstate(over="ignore"):
+                np.add.at(h, groups[part], mix(w.hashes[part] + rank * _STEP))
         self.unit = _among(_UNIT_HASHES, h) if len(h) else np.zeros(0, bool)
         second = data[np.minimum(self.starts + 1, max(len(data) - 1, 0))] if len(h) else np.zeros(0, np.uint8)
         c = data[self.starts] if len(h) else np.zeros(0, np.uint8)

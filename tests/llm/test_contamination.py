@@ -5,10 +5,14 @@ import pytest
 from finegrain.llm import contamination
 
 
-def found(spark, item, *texts):
+def rows(spark, item, *texts):
     bench = spark.createDataFrame([(1, item)], "item_id long, text string")
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    return [r["contaminated"] for r in contamination.contaminated_documents(docs, bench).orderBy("doc_id").collect()]
+    return contamination.contaminated_documents(docs, bench).orderBy("doc_id").collect()
+
+
+def found(spark, item, *texts):
+    return [r["contaminated"] for r in rows(spark, item, *texts)]
 
 
 @pytest.mark.parametrize(
@@ -26,3 +30,13 @@ def test_dense_and_short_items_are_found_verbatim(spark, item):
 def test_forms_add_up(spark, item):
     other = item.replace("Sarah", "Emma")
     assert found(spark, item, other, f"Before that. {other.replace('5', '9')}. And after.", other.replace("bought", "sold").replace("pears", "plums")) == [True, True, False]
+
+
+def test_value_of_a_number_is_all_of_it(spark):
+    item = "A farm sold 1,200 eggs in the first month and 1,500 eggs in the month after that so how many eggs were sold"
+    consistent = item.replace("1,200", "2,400").replace("1,500", "3,600")
+    other = item.replace("1,200", "1,300").replace("1,500", "1,600")
+    plain = "A farm sold 2 eggs in the first month and 3 eggs in the month after that so how many eggs were sold"
+    got = rows(spark, item, item, consistent, other, item.replace(",", "."))
+    assert [r["contaminated"] for r in got] == [True] * 4 and [r["exact_values"] for r in got] == [True, False, False, True]
+    assert found(spark, plain, plain.replace("2 eggs", "1.5 eggs").replace("3 eggs", "1.7 eggs")) == [True]
