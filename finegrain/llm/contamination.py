@@ -2,8 +2,9 @@
 
 Words are lower-cased; numbers (with their separators) and units become typed placeholders, and in a second form so do
 capitalised words as names. Windows of canonical words are hashed; a document's window and a benchmark's window that agree are
-joined by hash, matches are lined up by relative position, and the values in the placeholders must map one to one between item
-and document. So a question with other numbers or names in it is found, and a text that only shares a template's shape is not.
+joined by hash, matches are lined up by relative position, and a value in the item's placeholders must map to one value of the
+document: windows that say otherwise are not counted. So a question with other numbers or names in it is found, and a text that
+only shares a template's shape is not.
 
 Document windows pass a bit table of fixed size made of the benchmark's windows before they leave their task.
 
@@ -16,6 +17,7 @@ An empty benchmark leaves every document clean.
 
 from __future__ import annotations
 
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -188,6 +190,24 @@ def _document_windows(docs: DataFrame, table: np.ndarray, kinds: list[tuple[int,
     return docs.transform(in_batches, run, "key long, hash long, at long, values array<long>")
 
 
+def agreeing(found: list[tuple[int, list[tuple[int, int, int]]]]) -> tuple[int, bool]:
+    """How many of an item's windows ``(place, [(place of the word, item's value, document's value)])`` agree, and whether all values are the same.
+
+    A value of the item stands for the document's value at all or most of its places, or for itself where no other has most. Windows
+    that differ from that are left out; windows with the item's own values count by themselves too.
+    """
+    at_places: dict[int, Counter] = defaultdict(Counter)
+    for _, i, d in {p for _, pairs in found for p in pairs}:
+        at_places[i][d] += 1
+    means = {}
+    for i, seen in at_places.items():
+        d, n = seen.most_common(1)[0]
+        means[i] = d if 2 * n > seen.total() else i
+    fit = {at for at, pairs in found if all(means[i] == d for _, i, d in pairs)}
+    same = {at for at, pairs in found if all(i == d for _, i, d in pairs)}
+    return max(len(fit), len(same)), all(set(seen) == {i} for i, seen in at_places.items())
+
+
 def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str = "_key", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """``(key, item, windows, item_windows, exact)`` of all documents that hold an item; ``key`` is a 64-bit row key."""
     items = staged(item_windows(benchmark, item_col, item_text), "benchmark-windows")
@@ -196,15 +216,21 @@ def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str
     found = _document_windows(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), table, kinds)
     side = F.broadcast(items) if items.count() <= MOST_BROADCAST else items
     joined = found.join(side, "hash").withColumn("offset", F.col("at") - F.col("item_at"))
-    pairs = F.filter(F.arrays_zip(F.col("item_values").alias("i"), F.col("values").alias("d")), lambda p: p["i"] != 0)
+    zipped = F.transform(F.arrays_zip(F.col("item_values").alias("i"), F.col("values").alias("d")), lambda p, k: F.struct((F.col("item_at") + k).alias("at"), p["i"].alias("i"), p["d"].alias("d")))
     # one item at one place of one document, both forms together: at most two rows for each of the item's windows
-    lined = joined.withColumn("pairs", pairs).groupBy("key", "item", "offset").agg(
-        F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("needed").alias("needed"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs")
+    lined = joined.withColumn("pairs", F.filter(zipped, lambda p: p["i"] != 0)).groupBy("key", "item", "offset").agg(
+        F.count_distinct("item_at").alias("met"), F.max("item_windows").alias("item_windows"), F.max("needed").alias("needed"), F.collect_set(F.struct("item_at", "pairs")).alias("found")
     )
-    one_to_one = (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"])))) & (F.size("pairs") == F.size(F.array_distinct(F.transform("pairs", lambda p: p["d"]))))
-    same = ~F.exists("pairs", lambda p: p["i"] != p["d"])
-    enough = F.col("windows") >= F.col("needed")
-    kept = lined.filter(enough & one_to_one).withColumn("exact", same)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            judged = [agreeing([(w["item_at"], [(p["at"], p["i"], p["d"]) for p in w["pairs"]]) for w in found.as_py()]) for found in batch.column(4)]
+            keep = pa.array([n >= least for (n, _), least in zip(judged, batch.column(3).to_pylist(), strict=True)], pa.bool_())
+            windows, exact = pa.array([n for n, _ in judged], pa.int64()), pa.array([same for _, same in judged], pa.bool_())
+            yield pa.RecordBatch.from_arrays([x.filter(keep) for x in (batch.column(0), batch.column(1), windows, batch.column(2), exact)], names=["key", "item", "windows", "item_windows", "exact"])
+
+    kept = lined.filter("met >= needed").select("key", "item", "item_windows", "needed", "found")
+    kept = kept.transform(in_batches, run, f"key long, item {items.schema['item'].dataType.simpleString()}, windows long, item_windows long, exact boolean")
     return kept.groupBy("key", "item").agg(F.max("windows").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("exact").alias("exact"))
 
 

@@ -17,7 +17,7 @@ def found(spark, item, *texts):
 
 @pytest.mark.parametrize(
     "item",
-    ["What is 12 + 35 + 48 - 7 + 3 equal to", "Solve 3 x 5 = 15", "Name 3 primes", "Take 1 2 3 4 5 6 then say how many there are", "1 2 3 4 5 6 7 8 9 10 11 12 13 14 15 16"],
+    ["What is 12 + 35 + 48 - 7 + 3 equal to", "Solve 3 x 5 = 15", "Name 3 primes", "1 2 3 4 5 6 7 8 9 10 11 12 13 14 15 16"],
 )
 def test_dense_and_short_items_are_found_verbatim(spark, item):
     assert found(spark, item, f"Some text before. {item}. And after, {item}!", item.replace("3", "4"), "Some text before. And after.") == [True, False, False]
@@ -40,3 +40,23 @@ def test_value_of_a_number_is_all_of_it(spark):
     got = rows(spark, item, item, consistent, other, item.replace(",", "."))
     assert [r["contaminated"] for r in got] == [True] * 4 and [r["exact_values"] for r in got] == [True, False, False, True]
     assert found(spark, plain, plain.replace("2 eggs", "1.5 eggs").replace("3 eggs", "1.7 eggs")) == [True]
+
+
+LONG = (
+    "The train leaves the station with 2 engines and then passes over the long bridge near the mill where workers load grain into 2 wagons before it turns north "
+    "towards the hills and stops for water at the old tower while the driver checks all of the brakes and 2 guards walk along the side"
+)
+
+
+def test_one_edited_value_leaves_the_other_windows(spark):
+    edited, twice = LONG.replace("2 guards", "3 guards"), LONG.replace("2", "9").replace("9 guards", "8 guards")
+    got = rows(spark, LONG, LONG, edited, twice)
+    assert [r["contaminated"] for r in got] == [True] * 3 and [r["exact_values"] for r in got] == [True, False, False]
+    assert got[0]["share"] == 1.0 and 0.5 < got[1]["share"] < 1.0
+
+
+def test_two_values_may_become_one(spark):
+    item = "At the market Tom buys 3 apples and 5 pears for lunch how many pieces of fruit does he carry home"
+    assert found(spark, item, item.replace("3", "4").replace("5", "4")) == [True]
+    half = "Take 1 2 3 4 5 6 then say how many there are"
+    assert found(spark, half, half, half.replace("3", "4"), half.replace("many", "few")) == [True, True, False]
