@@ -1,10 +1,10 @@
-"""Near-duplicate detection: improved consistent weighted sampling over TF-IDF shingles, banded and verified.
+"""Near-duplicate detection: improved consistent weighted sampling over TF-IDF shingles and least hashes of plain ones, banded and verified.
 
 1. Document counts of words, in a table of hashed slots of fixed size, give word weights; a shingle of five words weighs its
    count in the text times the mean inverse document frequency of its words. (A table of the shingles themselves would be as
    large as the corpus.)
-2. Texts with the same words are one node. Every text gets ``BANDS * ROWS`` consistent weighted samples, and the samples of a band
-   make one key.
+2. Texts with the same words are one node. Every text gets ``BANDS * ROWS`` consistent weighted samples, and as many least hashes of
+   its plain shingle set; the samples of a band make one key. So both kinds of link (step 4) have bands that meet at their rate.
 3. Nodes that share a band key are candidates. Small groups are compared whole. In a larger group every node is compared with the
    group's hub, the node with most company; that settles groups of copies in a multiple of their size. Where nodes are left
    apart, those outside the largest component are compared with all nodes of the group, block against block. So every pair
@@ -179,18 +179,37 @@ def band_keys(text: np.ndarray, hashes: np.ndarray, weight: np.ndarray, texts: i
     return keys, has
 
 
+def plain_band_keys(text: np.ndarray, hashes: np.ndarray, texts: int) -> np.ndarray:
+    """Band keys of every text's shingle set without weights (texts x bands): each sample is the shingles' least hash."""
+    factor = np.random.default_rng(5).integers(0, 2**63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    starts = np.flatnonzero(np.concatenate([[True], text[1:] != text[:-1]])) if len(text) else np.zeros(0, np.int64)
+    keys = np.zeros((texts, BANDS), np.uint64)
+    if not len(starts):
+        return keys
+    with np.errstate(over="ignore"):
+        wide = mix(hashes)
+        for band in range(BANDS):
+            total = np.full(len(starts), band + 1, np.uint64)
+            for k in range(band * ROWS, (band + 1) * ROWS):
+                total = mix(total * _STEP + np.minimum.reduceat(wide * factor[k], starts))
+            keys[text[starts], band] = total
+    return keys
+
+
 def sketches(docs: DataFrame, weights: np.ndarray, id_col: str, text: str) -> DataFrame:
-    """Every row's id, key of id and text, node and band keys (null where a text has no words)."""
+    """Every row's id, key of id and text, node and band keys, weighted ones then plain ones (null where a text has no words)."""
     shared = docs.sparkSession.sparkContext.broadcast(weights)
-    names = [f"b{k}" for k in range(BANDS)]
+    names = [f"b{k}" for k in range(2 * BANDS)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row, data, offsets in text_blocks(batch.column(2)):
                 n = len(offsets) - 1
                 w = words_of(data, offsets)
-                keys, has = band_keys(*shingles(w, shared.value), n)
-                bands = [pa.array(np.ascontiguousarray(keys[:, k]).view(np.int64), mask=~has) for k in range(BANDS)]
+                of, hashes, weight = shingles(w, shared.value)
+                keys, has = band_keys(of, hashes, weight, n)
+                keys = np.hstack([keys, plain_band_keys(of, hashes, n)])
+                bands = [pa.array(np.ascontiguousarray(keys[:, k]).view(np.int64), mask=~has) for k in range(2 * BANDS)]
                 part = batch.slice(row, n)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(node_keys(w, offsets).view(np.int64)), *bands], names=["id", "key", "node", *names])
 
@@ -273,7 +292,7 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text: str = "text") ->
     """Staged ``(id, key, component)`` of every row of ``docs`` (a scan: it is read three times)."""
     weights = word_weights(word_document_counts(docs, text))
     rows = staged(sketches(docs, weights, id_col, text), "sketches")
-    names = [f"b{k}" for k in range(BANDS)]
+    names = [f"b{k}" for k in range(2 * BANDS)]
     nodes = rows.groupBy("node").agg(F.min("id").alias("id"), *(F.first(b).alias(b) for b in names))
     banded = nodes.select("node", "id", F.posexplode(F.array(*names)).alias("band", "value")).filter("value is not null")
     banded = banded.select("node", "id", F.xxhash64("band", "value").alias("group"))
