@@ -25,13 +25,48 @@ KEY = "surrogate-key"
 #: Draws after which a value that still collides gets its attempt's number written out instead (never seen in practice).
 MOST_DRAWS = 40
 
-# Given names by gender and script, for detection and as surrogates.
+# Given names by gender and script, for detection with those below and as surrogates.
 GIVEN = {
     ("female", "latin"): ("Maria", "Elisabeth", "Katharina", "Sophie", "Margaret", "Victoria", "Patricia", "Jennifer", "Claudia", "Charlotte", "Isabel", "Camille", "Lucia", "Carmen", "Juliette", "Monika"),
     ("male", "latin"): ("Michael", "William", "Robert", "Thomas", "Alexander", "Christopher", "Frederick", "Wolfgang", "Philippe", "Jacques", "Carlos", "Miguel", "Francisco", "Matthew", "Joseph", "Klaus"),
     ("female", "cyrillic"): ("Мария", "Ольга", "Татьяна", "Екатерина", "Наталья", "Светлана", "Ирина", "Людмила"),
     ("male", "cyrillic"): ("Александр", "Дмитрий", "Сергей", "Владимир", "Николай", "Михаил", "Андрей", "Павел"),
 }
+# Further given names that are detected and never drawn as surrogates. Names that are common words as well are left out.
+DETECTED = {
+    ("female", "latin"): (
+        "Anna Mary Linda Barbara Susan Jessica Sarah Karen Lisa Nancy Betty Sandra Ashley Emily Kimberly Donna Michelle Amanda Melissa Deborah Stephanie Rebecca Sharon Laura "
+        "Cynthia Kathleen Amy Angela Shirley Brenda Emma Pamela Nicole Helen Samantha Katherine Catherine Christine Rachel Carolyn Janet Heather Diane Olivia Julie Kelly Lauren Christina "
+        "Joan Evelyn Judith Andrea Hannah Megan Cheryl Jacqueline Martha Teresa Sara Janice Ann Kathryn Jean Abigail Alice Julia Judy Sophia Denise Doris Marilyn Danielle "
+        "Beverly Theresa Diana Brittany Natalie Isabella Kayla Alexis Lori Jane Ruth Ellen Eleanor Lucy Eva Elena Irene Nora Clara Ursula Sabine Petra Renate Helga "
+        "Karin Brigitte Ingrid Gisela Birgit Susanne Heike Martina Stefanie Anja Silke Ulrike Gabriele Angelika Kerstin Nicola Heidi Johanna Lena Lea Leonie Greta Hannelore Ilse "
+        "Gertrud Hildegard Elke Jutta Antje Franziska Annika Katrin Britta Tanja Melanie Marlene Frieda Mathilde Marie Nathalie Isabelle Sylvie Valérie Véronique Sandrine Céline Aurélie Émilie "
+        "Élodie Hélène Françoise Monique Nicolette Martine Chantal Chloé Manon Inès Léa Jeanne Margaux Océane Pauline Amélie Agnès Geneviève Odile Simone Yvette Colette Delphine Corinne "
+        "Ana Josefa Cristina Beatriz Raquel Rocío Silvia Montserrat Alicia Lorena Natalia Sonia Yolanda Esther Marta Nuria Susana Verónica Ximena Valentina Daniela Gabriela Paula "
+        "Lucía María José Ángela Inés"
+    ).split(),
+    ("male", "latin"): (
+        "John James David Richard Charles Daniel Anthony Donald Steven Paul Andrew Joshua Kenneth Kevin Brian George Timothy Ronald Edward Jason Jeffrey Ryan Jacob Gary "
+        "Nicholas Eric Jonathan Stephen Larry Justin Scott Brandon Benjamin Samuel Gregory Raymond Patrick Dennis Jerry Tyler Aaron Jose Adam Nathan Henry Douglas Zachary "
+        "Peter Kyle Ethan Walter Noah Jeremy Keith Roger Terry Gerald Harold Sean Carl Arthur Lawrence Dylan Jesse Bryan Bruce Gabriel Albert Philip Vincent Elijah "
+        "Louis Eugene Russell Oliver Liam Lucas Leo Simon Martin Hugh Stuart Graham Ian Neil Colin Hans Jürgen Uwe Günther Dieter Manfred Horst Helmut Heinz "
+        "Gerhard Werner Karl Heinrich Friedrich Wilhelm Otto Hermann Ernst Kurt Fritz Bernd Rainer Jörg Matthias Andreas Stefan Markus Christoph Sebastian Florian Tobias Jan Felix "
+        "Lukas Jonas Moritz Niklas Torsten Sven Holger Ralf Axel Detlef Volker Reinhard Rolf Siegfried Ulrich Johannes Johann Ludwig Konrad Günter Björn Lars Jens Dirk "
+        "Jean Pierre Michel André Alain Bernard Gérard Patrice Nicolas Christophe Laurent Frédéric Stéphane Olivier Sébastien Julien Guillaume Antoine François Étienne Éric Thierry Pascal Bruno "
+        "Didier Serge Yves Marcel Henri Hugues Gilles Luc Mathieu Benoît Rémi Cédric Jérôme Grégoire Maxime Théo Hugo Baptiste Raphaël Emmanuel Georges Lucien Fabrice Antonio "
+        "Manuel José Juan Javier Luis Jesús Ángel Pedro Alejandro Rafael Fernando Pablo Jorge Ramón Sergio Enrique Andrés Vicente Diego Adrián Álvaro Raúl Iván Rubén "
+        "Óscar Ignacio Joaquín Eduardo Roberto Jaime Alfonso Ricardo Emilio Gonzalo Julio Mariano Tomás Agustín Martín Nicolás Esteban Felipe Gustavo Hernán Rodrigo Alfredo Ernesto Mario "
+        "Marcos Mateo"
+    ).split(),
+    ("female", "cyrillic"): (
+        "Анна Елена Юлия Анастасия Виктория Дарья Марина Галина Валентина Нина Лариса Тамара Алла Оксана Ксения Евгения Полина Софья Алиса Кристина Маргарита Валерия Зоя Лидия "
+        "Раиса Жанна Инна"
+    ).split(),
+    ("male", "cyrillic"): (
+        "Иван Алексей Максим Артём Артем Евгений Виктор Игорь Юрий Олег Антон Денис Никита Кирилл Илья Василий Пётр Петр Константин Вячеслав Станислав Виталий Анатолий Валерий "
+        "Борис Геннадий Григорий Леонид Фёдор Федор Степан Тимофей Егор Семён Семен Ярослав Глеб Георгий Аркадий Эдуард"
+    ).split(),
+}
 # Titles by gender ("" where either).
 TITLES = {"Mr": "male", "Mrs": "female", "Ms": "female", "Miss": "female", "Herr": "male", "Frau": "female", "Monsieur": "male", "Madame": "female", "Señor": "male", "Señora": "female", "Dr": "", "Prof": ""}
 # Syllables of surrogate family names.
@@ -41,21 +76,27 @@ SYLLABLES = {
 }
 
 _NAME = r"\p{Lu}\p{Ll}+"
-_GIVEN_ALL = "|".join(n for names in GIVEN.values() for n in names)
+_KNOWN = {n: gender for table in (DETECTED, GIVEN) for (gender, _), names in table.items() for n in names}
+#: All known given names, tried by first letter only.
+_GIVEN_ALL = "|".join(f"{first}(?:{'|'.join(sorted((n[1:] for n in _KNOWN if n[0] == first), key=len, reverse=True))})" for first in sorted({n[0] for n in _KNOWN}))
 _TITLE_ALL = "|".join(sorted(TITLES, key=len, reverse=True))
+#: Telephone numbers of groups of 3, 3 and 4 digits, and any with a plus sign and 7 to 15 digits; country codes.
+_GROUPED = r"(?<![\d+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{3}\)|\d{3})[ .-]\d{3}[ .-]\d{4}(?!\d)"
+_ABROAD = r"(?<![\p{L}\d+])\+(?:[ ./()-]{0,2}\d){7,15}(?!\d)"
+_COUNTRY = r"^\+[ (]{0,2}(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|\d{3})"
 #: Patterns by type, in order of precedence.
 PATTERNS = {
     "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@(?:[\p{L}\p{N}-]++\.)+\p{L}{2,}",
     "secret": r"(?<![\p{L}\p{N}])(?i:password|passwd|pwd|token|secret|api[_-]?key)\s{0,3}[=:]\s{0,3}\"?[A-Za-z0-9+/_-]{8,}+\"?",
     "access_key": r"(?<![A-Za-z0-9])A[KS]IA[A-Z0-9]{16}(?![A-Za-z0-9])",
     "ip": r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\d|\.\d)",
-    "phone": r"(?<![\d+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{3}\)|\d{3})[ .-]\d{3}[ .-]\d{4}(?!\d)",
+    "phone": rf"{_GROUPED}|{_ABROAD}",
     "card": r"(?<![\p{L}\d])(?:\d{4}[ -]\d{4}[ -]\d{4}[ -]\d{4}|\d{13,19})(?![\p{L}\d])",
-    "person": rf"(?<!\p{{L}})(?:(?:{_TITLE_ALL})\.? (?:{_NAME} )?{_NAME}|(?:{_GIVEN_ALL}) (?!(?:{_GIVEN_ALL}) ){_NAME})(?!\p{{L}})",
+    "person": rf"(?<!\p{{L}})(?:(?:{_TITLE_ALL})\.? (?:{_NAME} )?{_NAME}|(?={_NAME} {_NAME})(?:(?:{_GIVEN_ALL}) ){{1,3}}{_NAME})(?!\p{{L}})",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: Shapes one of which every entity holds: a cheap test before the patterns.
-TELLING = r"[@=:]|\d{3}|\d\.\d|A[KS]IA|\p{Lu}\p{Ll}+\.? \p{Lu}"
+TELLING = r"[@=:]|\d{3}|\+[ (]{0,2}\d|\d\.\d|A[KS]IA|\p{Lu}\p{Ll}+\.? \p{Lu}"
 
 
 def _digest(kind: Column, value: Column, attempt: Column, key: str) -> Column:
@@ -95,14 +136,15 @@ def _name_like(value: Column, digest: Column) -> Column:
     return F.when(cyrillic, built("cyrillic")).otherwise(built("latin"))
 
 
-def _given_like(kind: Column, digest: Column) -> Column:
-    """A given name of the gender and script that ``kind`` names; a draw beyond the list's length adds a second name."""
+def _given_like(kind: Column, digest: Column, attempt: Column) -> Column:
+    """Given names of the gender and script that ``kind`` names: two, and three where many draws have collided."""
     out = F.when(F.lit(False), F.lit(""))
     for (gender, script), names in GIVEN.items():
         table = F.array(*map(F.lit, names))
         one = F.element_at(table, (_draw(digest, F.lit(0), len(names)) + 1).cast("int"))
         two = F.element_at(table, (_draw(digest, F.lit(1), len(names)) + 1).cast("int"))
-        out = out.when(kind == f"given:{gender}:{script}", F.concat(one, F.lit("-"), two))
+        three = F.element_at(table, (_draw(digest, F.lit(2), len(names)) + 1).cast("int"))
+        out = out.when(kind == f"given:{gender}:{script}", F.concat_ws("-", one, two, F.when(attempt >= 8, three)))
     return out
 
 
@@ -125,7 +167,7 @@ def surrogate(kind: Column, value: Column, attempt: Column, key: str = KEY) -> C
         .when(kind == "card", _with_check_digit(card, value))
         .when(kind == "secret", secret)
         .when(kind == "access_key", aws)
-        .when(kind.startswith("given:"), _given_like(kind, d))
+        .when(kind.startswith("given:"), _given_like(kind, d, attempt))
         .otherwise(_name_like(value, d))
     )
 
@@ -163,14 +205,15 @@ def _parts(kind: Column, surface: Column) -> Column:
     value = (
         F.when(kind == "email", F.lower(surface))
         .when(kind == "secret", F.regexp_extract(surface, r"[=:]\s*\"?([^\"]+)\"?$", 1))
-        .when(kind == "phone", F.substring(F.regexp_replace(surface, r"\D", ""), -10, 10))
+        .when((kind == "phone") & surface.rlike(f"^(?:{_GROUPED})$"), F.substring(F.regexp_replace(surface, r"\D", ""), -10, 10))
+        .when(kind == "phone", F.regexp_replace(F.regexp_replace(surface, _COUNTRY, ""), r"\D", ""))
         .when(kind == "card", F.regexp_replace(surface, r"\D", ""))
         .otherwise(surface)
     )
     title = F.regexp_extract(surface, rf"^({_TITLE_ALL})\.? ", 1)
     words = F.split(F.regexp_replace(surface, rf"^(?:{_TITLE_ALL})\.? ", ""), " ")
     titles = F.create_map(*(F.lit(x) for kv in TITLES.items() for x in kv))
-    known = F.create_map(*(F.lit(x) for (gender, _), names in GIVEN.items() for n in names for x in (n, gender)))
+    known = F.create_map(*(F.lit(x) for named in _KNOWN.items() for x in named))
 
     def name(w: Column, i: Column) -> Column:
         gender = F.coalesce(F.try_element_at(known, w), F.nullif(F.try_element_at(titles, title), F.lit("")), F.lit("female"))
