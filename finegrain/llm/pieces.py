@@ -143,7 +143,7 @@ class BlockEncoder:
             body = raw[starts[i] : ends[i]].decode().replace(" ", MARK)
             return MARK + body if opens[i] else body
 
-        ids, size = self._table.lookup(hashes, span)
+        ids, size = self._table.lookup(data, starts, ends, hashes, span, opens)
         return ids, per_text_counts(np.searchsorted(starts, offsets), size)
 
     def decode(self, ids: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -1,7 +1,8 @@
 """Vectorised word hashing over Arrow string columns.
 
 A block of texts is one byte buffer; a class table marks the bytes of words, words never cross the end of a text, and every
-word gets a 64-bit polynomial hash from one running sum over the buffer. Memory follows the block, not the batch.
+word gets a 64-bit keyed hash: eight bytes at a time go through a chain of bijective mixers, so words of up to eight bytes and equal
+length never share one. Where an id depends on a span, its bytes are compared as well. Memory follows the block, not the batch.
 """
 
 from __future__ import annotations
@@ -11,13 +12,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 #: Bytes of text that are worked on at once (a longer text is a block of its own).
 BLOCK_BYTES = 1 << 19
 
-_BASE = 0xD6E8FEB86659FD93
-_BASE_INVERSE = pow(_BASE, -1, 2**64)
-_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+_KEYS = (np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA0761D6478BD642F))
+#: Spans of more bytes are hashed and compared one by one.
+_LONG = 256
 
 
 def _table(pattern) -> np.ndarray:
@@ -32,17 +34,6 @@ NOT_SPACE = _table(lambda b: not (b == 0x20 or 0x09 <= b <= 0x0D))
 FOLD = np.array([b + 32 if 65 <= b <= 90 else b for b in range(256)], dtype=np.uint8)
 
 
-def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_powers[0]) < n:
-        size = max(n, BLOCK_BYTES + 1)
-        with np.errstate(over="ignore"):
-            for k, base in enumerate((_BASE, _BASE_INVERSE)):
-                steps = np.full(size, base, np.uint64)
-                steps[0] = 1
-                _powers[k] = np.cumprod(steps, dtype=np.uint64)
-    return _powers[0], _powers[1]
-
-
 def mix(z: np.ndarray) -> np.ndarray:
     """A bijective 64-bit mixer."""
     with np.errstate(over="ignore"):
@@ -51,15 +42,54 @@ def mix(z: np.ndarray) -> np.ndarray:
         return z ^ (z >> np.uint64(31))
 
 
+def _eights(data: np.ndarray) -> np.ndarray:
+    """The eight bytes from every position on, as one number each (zeros beyond the end)."""
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    return np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))
+
+
+def _masked(wide: np.ndarray, at: np.ndarray, left: np.ndarray) -> np.ndarray:
+    """The numbers at ``at`` with only their first ``left`` bytes."""
+    out = wide[at]
+    few = left < 8
+    out[few] &= (np.uint64(1) << (left[few].astype(np.uint64) * np.uint64(8))) - np.uint64(1)
+    return out
+
+
 def hash_spans(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """Hash of every span ``data[starts[i]:ends[i]]``, by its bytes and length."""
-    n = len(data)
-    up, down = _power(n + 1)
+    size = (ends - starts).astype(np.int64)
     with np.errstate(over="ignore"):
-        running = np.empty(n + 1, np.uint64)
-        running[0] = 0
-        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[:n], out=running[1:], dtype=np.uint64)
-        return mix((running[ends] - running[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+        out = mix(size.astype(np.uint64) * _KEYS[1] + _KEYS[0])
+        if not len(size):
+            return out
+        wide = _eights(data)
+        for i in np.flatnonzero(size > _LONG).tolist():
+            out[i] ^= np.uint64(xxhash.xxh3_64_intdigest(data[starts[i] : ends[i]].tobytes(), seed=int(_KEYS[0])))
+        on = np.flatnonzero((size > 0) & (size <= _LONG))
+        at, left, h = starts[on], size[on], out[on]
+        while len(on):
+            h = mix((h ^ _masked(wide, at, left)) * _KEYS[1] + _KEYS[0])
+            more = left > 8
+            out[on[~more]] = h[~more]
+            on, at, left, h = on[more], at[more] + 8, left[more] - 8, h[more]
+        return out
+
+
+def equal_spans(a: np.ndarray, a_starts: np.ndarray, b: np.ndarray, b_starts: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether ``a`` from ``a_starts`` on and ``b`` from ``b_starts`` on hold the same ``size`` bytes, span by span."""
+    same = np.ones(len(size), bool)
+    for i in np.flatnonzero(size > _LONG).tolist():
+        same[i] = np.array_equal(a[a_starts[i] : a_starts[i] + size[i]], b[b_starts[i] : b_starts[i] + size[i]])
+    on = np.flatnonzero((size > 0) & (size <= _LONG))
+    wide_a, wide_b = _eights(a), _eights(b)
+    x, y, left = a_starts[on], b_starts[on], size[on]
+    while len(on):
+        equal = _masked(wide_a, x, left) == _masked(wide_b, y, left)
+        same[on[~equal]] = False
+        more = equal & (left > 8)
+        on, x, y, left = on[more], x[more] + 8, y[more] + 8, left[more] - 8
+    return same
 
 
 @dataclass
@@ -121,57 +151,91 @@ def blocks(column: pa.Array | pa.ChunkedArray) -> Iterator[tuple[int, np.ndarray
 
 
 class SpanTable:
-    """Token ids of distinct spans of text, kept from block to block and bounded in number.
+    """Token ids of distinct spans of text, kept from block to block and bounded in number and bytes.
 
-    ``encode`` turns a list of spans into their ids in a row and how many each has. Known spans are sorted arrays, a large one and a
-    recent one that is merged into it now and then: a few dozen bytes a span.
+    Spans are found by hash and then compared byte by byte, with the first of their hash in the block and with the one in the table; a
+    span that shares a hash with another is encoded by itself. Known spans are sorted arrays, a large one and a recent one that
+    is merged into it now and then: a few dozen bytes a span. Long spans are not kept.
     """
 
-    def __init__(self, encode, most: int = 1_000_000, recent: int = 1 << 16):
-        self._encode, self._most, self._recent = encode, most, recent
+    def __init__(self, encode, most: int = 1_000_000, recent: int = 1 << 16, most_bytes: int = 1 << 25, longest: int = 4096):
+        self._encode, self._most, self._recent, self._most_bytes, self._longest = encode, most, recent, most_bytes, longest
         self._clear()
 
     def _clear(self) -> None:
-        nothing = (np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32))
+        # hash, first id, number of ids, first byte, number of bytes with the mark
+        nothing = (np.zeros(0, np.uint64), *(np.zeros(0, np.int32) for _ in range(4)))
         self._known, self._new = nothing, nothing
         self._flat, self._used = np.zeros(1 << 16, np.uint32), 0
+        self._bytes, self._filled = np.zeros(1 << 18, np.uint8), 0
 
     @staticmethod
     def _merged(a: tuple, b: tuple) -> tuple:
         order = np.argsort(np.concatenate([a[0], b[0]]), kind="stable")
         return tuple(np.concatenate(x)[order] for x in zip(a, b, strict=True))
 
-    def _add(self, hashes: np.ndarray, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        more = len(ids)
-        while self._used + more > len(self._flat):
+    def _add(self, hashes: np.ndarray, ids: np.ndarray, sizes: np.ndarray, body: np.ndarray, lengths: np.ndarray, tags: np.ndarray) -> None:
+        while self._used + len(ids) > len(self._flat):
             self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
-        self._flat[self._used : self._used + more] = ids
-        starts = (self._used + np.cumsum(sizes) - sizes).astype(np.int32)
-        self._used += more
-        self._new = self._merged(self._new, (hashes, starts, sizes.astype(np.int32)))
+        while self._filled + len(body) > len(self._bytes):
+            self._bytes = np.concatenate([self._bytes, np.zeros_like(self._bytes)])
+        self._flat[self._used : self._used + len(ids)] = ids
+        self._bytes[self._filled : self._filled + len(body)] = body
+        starts, begins = self._used + np.cumsum(sizes) - sizes, self._filled + np.cumsum(lengths) - lengths
+        self._used, self._filled = self._used + len(ids), self._filled + len(body)
+        self._new = self._merged(self._new, (hashes, *(x.astype(np.int32) for x in (starts, sizes, begins, tags))))
         if len(self._new[0]) > self._recent:
             self._known = self._merged(self._known, self._new)
             self._new = tuple(x[:0] for x in self._new)
-        return starts
 
-    def lookup(self, hashes: np.ndarray, span_of) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all spans in a row, and how many each span has. ``span_of(i)`` gives the text of span ``i`` when it is new."""
+    def lookup(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray, span_of, mark: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all spans ``data[starts[i]:ends[i]]`` in a row, and how many each has. ``span_of(i)`` gives what is encoded for span
+        ``i`` when it is new; spans with equal bytes and equal ``mark`` must have the same."""
+        lengths = (ends - starts).astype(np.int64)
+        tags = lengths * 2 + (0 if mark is None else mark)
         distinct, at, inverse = np.unique(hashes, return_index=True, return_inverse=True)
-        if len(self._known[0]) + len(self._new[0]) + len(distinct) > self._most:
+        first = at[inverse]
+        later = first != np.arange(len(hashes))
+        other, check = np.flatnonzero(later & (tags != tags[first])), np.flatnonzero(later & (tags == tags[first]))
+        other = np.concatenate([other, check[~equal_spans(data, starts[check], data, starts[first[check]], lengths[check])]])
+        if len(self._known[0]) + len(self._new[0]) + len(distinct) > self._most or self._filled + len(data) > self._most_bytes:
             self._clear()
         start, size = np.full(len(distinct), -1, np.int64), np.zeros(len(distinct), np.int64)
-        for keys, starts, sizes in (self._known, self._new):
+        for keys, ids_at, sizes, begins, held in (self._known, self._new):
             if len(keys) and len(distinct):
                 near = np.minimum(np.searchsorted(keys, distinct), len(keys) - 1)
-                hit = keys[near] == distinct
-                start[hit], size[hit] = starts[near[hit]], sizes[near[hit]]
-        if len(new := np.flatnonzero(start < 0)):
+                hit = np.flatnonzero((keys[near] == distinct) & (held[near] == tags[at]))
+                hit = hit[equal_spans(data, starts[at[hit]], self._bytes, begins[near[hit]].astype(np.int64), lengths[at[hit]])]
+                start[hit], size[hit] = ids_at[near[hit]], sizes[near[hit]]
+        # ids that the table does not hold yet follow the table's in one array
+        base, more = self._used, []
+        new = np.flatnonzero(start < 0)
+        if len(new):
             ids, sizes = self._encode([span_of(i) for i in at[new].tolist()])
-            start[new], size[new] = self._add(distinct[new], ids, sizes), sizes
+            sizes = np.asarray(sizes, np.int64)
+            start[new], size[new] = base + np.cumsum(sizes) - sizes, sizes
+            more.append(ids)
+            fresh = (distinct[new], ids, sizes, at[new])
         start, size = start[inverse], size[inverse]
-        ends = np.cumsum(size)
-        gather = np.repeat(start - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)
-        return self._flat[gather], size
+        if len(other):
+            ids, sizes = self._encode([span_of(i) for i in other.tolist()])
+            sizes = np.asarray(sizes, np.int64)
+            start[other], size[other] = base + sum(map(len, more)) + np.cumsum(sizes) - sizes, sizes
+            more.append(ids)
+        flat = np.concatenate([self._flat[:base], *more]) if more else self._flat
+        ends_of = np.cumsum(size)
+        out = flat[np.repeat(start - (ends_of - size), size) + np.arange(int(ends_of[-1]) if len(ends_of) else 0)]
+        if len(new):
+            self._keep(data, starts, lengths, tags, *fresh)
+        return out, size
+
+    def _keep(self, data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, tags: np.ndarray, hashes: np.ndarray, ids: np.ndarray, sizes: np.ndarray, at: np.ndarray) -> None:
+        """Put the spans ``at`` with their ids into the table, but for long ones."""
+        short = lengths[at] <= self._longest
+        held = lengths[at][short]
+        begin = np.cumsum(held) - held
+        body = data[np.repeat(starts[at][short] - begin, held) + np.arange(int(held.sum()))]
+        self._add(hashes[short], ids[np.repeat(short, sizes)], sizes[short], body, held, tags[at][short])
 
 
 def per_text_counts(first: np.ndarray, size: np.ndarray) -> np.ndarray:

@@ -201,7 +201,7 @@ class FastWords:
         starts, ends = starts[solid], ends[solid]
         low = _LOWER[data]
         raw = low.tobytes()
-        ids, size = self._table.lookup(hash_spans(low, starts, ends), lambda i: raw[starts[i] : ends[i]].decode())
+        ids, size = self._table.lookup(low, starts, ends, hash_spans(low, starts, ends), lambda i: raw[starts[i] : ends[i]].decode())
         counts = per_text_counts(np.searchsorted(starts, offsets), size)
         if not hard.any():
             return ids, counts
