@@ -1,13 +1,18 @@
 """Exact duplicate removal: a two-pass Bloom filter finds possibly repeated hashes, and only those rows shuffle.
 
-Pass 1 reads the hashes and sets, for each of two hash functions, the bits of the slots that at least two rows
-fell into. Pass 2 tests every row against both bit tables: a row that misses one of them is certainly unique and
-passes straight through; the others are grouped by their full SHA-256. A false positive costs a shuffled row,
-never a wrong result.
+Every text's SHA-256 is staged once, with its id. Pass 1 counts the rows of each slot of a first hash function and keeps the slots with two
+or more as a bit table; pass 2 does the same with a second function for those rows only that pass 1 could not prove unique. What
+both tables leave is grouped by the full SHA-256. The groups with two rows or more make the bit table that the documents themselves
+are tested against: a document that misses it passes straight through, the others are joined with their group. A
+false positive costs a shuffled row, never a wrong result.
+
+The only thing that the filter itself moves is a slot's number and count, some 16 bytes a document (pass 1), and no text. The tables
+follow the number of rows, eight slots each, up to ``MOST_SLOT_BITS``: 2**20 broadcast words at most. Beyond some 10**7 rows the
+hashes' table fills and narrow rows of id and hash shuffle instead; documents still pass unless their slot holds a repeated text.
 
 Defined results: a null text counts as empty, so all null and empty texts are equal. Of equal texts the row with the
-smallest id stays (null ids come last); of rows that agree in text and id exactly one stays. An empty table
-gives an empty table. Input columns are kept; the columns added here replace input columns of the same name.
+smallest id stays (null ids come last); of rows that agree in text and id exactly one stays, whichever partitions they are read in. An
+empty table gives an empty table. Input columns are kept under any names; the columns added here replace input columns of the same name.
 """
 
 from __future__ import annotations
@@ -15,18 +20,18 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.rows import column, packed, unpacked
 from finegrain.operators.skew import join_group_facts
 from finegrain.sources.staging import staged
 
-#: log2 of the slots of each of the two bit tables: 2**24 slots are at most 2**18 broadcast rows of 64 bits each.
-#: Choose about 8 slots for a document; with fewer the answer stays the same and more rows shuffle.
-SLOT_BITS = 24
-FUNCTIONS = 2
+#: log2 of the slots of a bit table, at least and at most.
+LEAST_SLOT_BITS, MOST_SLOT_BITS = 12, 26
+OWN = ("text_sha256", "keep_id", "group_size", "kept")
 
 
 def normalised(text: str = "text") -> Column:
     """The text with every run of white space as one space; null as empty."""
-    return F.regexp_replace(F.coalesce(F.col(text), F.lit("")), r"[\x20\x09-\x0D]+", " ")
+    return F.regexp_replace(F.coalesce(column(text), F.lit("")), r"[\x20\x09-\x0D]+", " ")
 
 
 def fingerprint(text: str = "text") -> Column:
@@ -34,75 +39,99 @@ def fingerprint(text: str = "text") -> Column:
     return F.sha2(F.encode(normalised(text), "UTF-8"), 256)
 
 
+def slot_bits_for(rows: int) -> int:
+    """log2 of the slots of a table for so many keys: eight slots a key, within the bounds."""
+    return min(MOST_SLOT_BITS, max(LEAST_SLOT_BITS, (8 * max(rows, 1) - 1).bit_length()))
+
+
 def _slot(sha: str, function: int, slot_bits: int) -> Column:
     """The slot of a hash under one of the filter's functions: its own 15 hexadecimal digits of the SHA-256."""
     digits = F.conv(F.substring(sha, 1 + 15 * function, 15), 16, 10).cast("long")
     return F.pmod(digits, F.lit(1 << slot_bits))
 
 
-def repeated_bits(hashes: DataFrame, sha: str, slot_bits: int = SLOT_BITS) -> list[DataFrame]:
-    """For each hash function the words ``(word, bits)`` whose set bits are slots with two rows or more."""
-    tables = []
-    for function in range(FUNCTIONS):
-        slots = hashes.select(_slot(sha, function, slot_bits).alias("slot")).groupBy("slot").count().filter("count > 1")
-        word = F.shiftrightunsigned("slot", 6).alias(f"_w{function}")
-        bit = F.expr("shiftleft(1L, cast(slot & 63L as int))")
-        tables.append(slots.groupBy(word).agg(F.bit_or(bit).alias(f"_b{function}")))
-    return tables
-
-
-def possibly_repeated(rows: DataFrame, sha: str, tables: list[DataFrame], slot_bits: int = SLOT_BITS) -> DataFrame:
-    """``rows`` with ``_maybe``: false where the filter proves the hash unique."""
-    maybe = F.lit(True)
-    for function, table in enumerate(tables):
-        slot = _slot(sha, function, slot_bits)
-        # at most 2**(slot_bits - 6) rows, whatever the size of the input
-        rows = rows.withColumn(f"_w{function}", F.shiftrightunsigned(slot, 6)).join(F.broadcast(table), f"_w{function}", "left")
-        hit = F.expr(f"(shiftrightunsigned(_b{function}, cast({{}} & 63L as int)) & 1L) = 1L".format(f"pmod(cast(conv(substring({sha}, {1 + 15 * function}, 15), 16, 10) as bigint), {1 << slot_bits}L)"))
-        maybe = maybe & F.coalesce(hit, F.lit(False))
-    return rows.withColumn("_maybe", maybe).drop(*(f"_{c}{k}" for c in "wb" for k in range(FUNCTIONS)))
-
-
-def mark_copies(rows: DataFrame, hashes: DataFrame, id_col: str, sha: str = "text_sha256", uid: str = "_uid", slot_bits: int = SLOT_BITS) -> DataFrame:
-    """Add ``keep_id``, ``group_size`` and ``kept`` to ``rows``; ``hashes`` holds id, uid and hash of the same rows."""
-    tables = repeated_bits(hashes, sha, slot_bits)
-    order = F.struct(F.col(id_col).isNull(), F.col(id_col).alias("id"), F.col(uid).alias("uid"))
-    facts = (
-        possibly_repeated(hashes, sha, tables, slot_bits)
-        .filter("_maybe")
-        .groupBy(sha)
-        .agg(F.min(order).alias("_first"), F.count("*").alias("_size"))
-    )
-    facts = staged(facts.filter("_size > 1").select(sha, "_size", F.col("_first.id").alias("_first_id"), F.col("_first.uid").alias("_first_uid")), "repeated-groups")
-    total = hashes.count()
-    tested = possibly_repeated(rows, sha, tables, slot_bits)
-    single = tested.filter("not _maybe").drop("_maybe")
-    alone = [F.col(id_col).alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept")]
-    single = single.select(*single.columns, *alone)
-    shuffled = join_group_facts(tested.filter("_maybe").drop("_maybe"), facts, sha, "_size", total, uid)
-    grouped = F.col("_size").isNotNull()
-    shuffled = (
-        shuffled.withColumn("keep_id", F.when(grouped, F.col("_first_id")).otherwise(F.col(id_col)))
-        .withColumn("group_size", F.coalesce(F.col("_size"), F.lit(1).cast("long")))
-        .withColumn("kept", ~grouped | (F.col("_first_uid") == F.col(uid)))
+def bit_words(slots: DataFrame) -> DataFrame:
+    """``(word, bits)`` with the bits of all ``slot`` values set: at most a 64th as many rows as there are slots."""
+    return slots.groupBy(F.shiftrightunsigned("slot", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot & 63L as int))")).alias("bits"))
+
+
+def repeated_words(rows: DataFrame, sha: str, function: int, slot_bits: int) -> DataFrame:
+    """The words of the slots that two rows or more fall into."""
+    return bit_words(rows.select(_slot(sha, function, slot_bits).alias("slot")).groupBy("slot").count().filter("count > 1"))
+
+
+def tested(rows: DataFrame, sha: str, function: int, slot_bits: int, words: DataFrame) -> DataFrame:
+    """``rows`` with ``maybe``: false where the table proves that the hash is not in it."""
+    # 2**(slot_bits - 6) rows at most, whatever the size of the input
+    slot = _slot(sha, function, slot_bits)
+    met = rows.withColumn("slot", slot).withColumn("word", F.shiftrightunsigned("slot", 6)).join(F.broadcast(words), "word", "left")
+    hit = F.coalesce(F.expr("(shiftrightunsigned(bits, cast(slot & 63L as int)) & 1L) = 1L"), F.lit(False))
+    return met.withColumn("maybe", hit).drop("slot", "word", "bits")
+
+
+def repeated_groups(hashes: DataFrame, slot_bits: int) -> DataFrame:
+    """Staged ``(sha, size, none, first_id, ties)`` of the texts that stand in two rows or more of ``hashes`` (id, sha): rows, whether all ids are
+    null, the least id and how many rows have it."""
+    maybe = hashes
+    for function in range(2):
+        maybe = tested(maybe, "sha", function, slot_bits, repeated_words(maybe, "sha", function, slot_bits)).filter("maybe").drop("maybe")
+    # equal texts of one id first, so that neither step meets all rows of a frequent text
+    by_id = maybe.groupBy("sha", "id").agg(F.count("*").alias("n"))
+    groups = by_id.groupBy("sha").agg(F.sum("n").alias("size"), F.min(F.struct(F.col("id").isNull().alias("none"), "id", "n")).alias("first"))
+    kept = groups.filter("size > 1").select("sha", "size", F.col("first.none").alias("none"), F.col("first.id").alias("first_id"), F.col("first.n").alias("ties"))
+    return staged(kept, "repeated-groups")
+
+
+def mark_copies(rows: DataFrame, groups: DataFrame, total: int) -> DataFrame:
+    """``rows`` (id, sha and others) with ``keep_id``, ``group_size`` and ``kept``.
+
+    Nothing here depends on where a row was read: of rows that agree in text and id, which only repeated ids have, the one
+    that stays is chosen among rows written down for that.
+    """
+    found = groups.count()
+    bits = slot_bits_for(found)
+    marked = tested(rows, "sha", 0, bits, bit_words(groups.select(_slot("sha", 0, bits).alias("slot"))))
+    facts = [F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept")]
+    single = marked.filter("not maybe").drop("maybe").select("*", *facts)
+    # the salt decides only which task meets a row
+    salted = marked.filter("maybe").drop("maybe").withColumn("spread", F.monotonically_increasing_id())
+    met = join_group_facts(salted, groups, "sha", "size", total, "spread").drop("spread")
+    grouped, least = F.col("size").isNotNull(), F.col("id").eqNullSafe(F.col("first_id"))
+    met = met.select(
+        *rows.columns,
+        F.when(grouped, F.col("first_id")).otherwise(F.col("id")).alias("keep_id"),
+        F.coalesce("size", F.lit(1)).cast("long").alias("group_size"),
+        (~grouped | least).alias("kept"),
+        (grouped & least & (F.col("ties") > 1)).alias("tied"),
     )
-    return single.unionByName(shuffled.select(*single.columns))
+    names = [*rows.columns, "keep_id", "group_size", "kept"]
+    if not groups.filter("ties > 1").limit(1).count():
+        return single.unionByName(met.select(*names))
+    tied = staged(met.filter("tied").drop("tied").withColumn("at", F.monotonically_increasing_id()), "tied-rows")
+    first = tied.groupBy("sha").agg(F.min("at").alias("least_at"), F.count("*").alias("ties"))
+    chosen = join_group_facts(tied, staged(first, "tied-groups"), "sha", "ties", total, "at").withColumn("kept", F.col("at") == F.col("least_at"))
+    return single.unionByName(met.filter("not tied").select(*names)).unionByName(chosen.select(*names))
 
 
-def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text: str = "text", slot_bits: int = SLOT_BITS) -> DataFrame:
-    """All rows and columns of ``docs`` (a scan or another plan whose partitions are reproducible) with
-    ``text_sha256``, ``keep_id``, ``group_size`` and ``kept``."""
-    own = ("text_sha256", "keep_id", "group_size", "kept")
-    docs = docs.drop(*(c for c in own if c not in (id_col, text)))
-    rows = docs.withColumn("_uid", F.monotonically_increasing_id()).withColumn("text_sha256", fingerprint(text))
-    hashes = staged(rows.select(id_col, "_uid", "text_sha256"), "hashes")
-    if set(docs.columns) <= {id_col}:
-        rows = hashes
-    return mark_copies(rows, hashes, id_col, slot_bits=slot_bits).drop("_uid")
+def _hashes(docs: DataFrame, id_col: str, text: str) -> DataFrame:
+    return staged(docs.select(column(id_col).alias("id"), fingerprint(text).alias("sha")), "hashes")
 
 
-def exact_dedup_digest(docs: DataFrame, id_col: str = "doc_id", text: str = "text", slot_bits: int = SLOT_BITS) -> DataFrame:
+def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text: str = "text", slot_bits: int | None = None) -> DataFrame:
+    """All rows and columns of ``docs`` (a table: it is read twice, in any partitions) with ``text_sha256``, ``keep_id``,
+    ``group_size`` and ``kept``."""
+    docs = docs.drop(*(c for c in OWN if c not in (id_col, text)))
+    hashes = _hashes(docs, id_col, text)
+    total = hashes.count()
+    groups = repeated_groups(hashes, slot_bits or slot_bits_for(total))
+    rows = packed(docs, id=column(id_col), sha=fingerprint(text))
+    marked = mark_copies(rows, groups, total).withColumn("text_sha256", F.col("sha"))
+    return unpacked(marked, docs.columns, *(c for c in OWN if c not in docs.columns))
+
+
+def exact_dedup_digest(docs: DataFrame, id_col: str = "doc_id", text: str = "text", slot_bits: int | None = None) -> DataFrame:
     """As :func:`exact_dedup`, for callers that need the decisions and not the texts: the texts are read once."""
-    rows = docs.select(id_col, text).withColumn("_uid", F.monotonically_increasing_id()).withColumn("text_sha256", fingerprint(text))
-    hashes = staged(rows.select(id_col, "_uid", "text_sha256"), "hashes")
-    return mark_copies(hashes, hashes, id_col, slot_bits=slot_bits).drop("_uid")
+    hashes = _hashes(docs, id_col, text)
+    total = hashes.count()
+    marked = mark_copies(hashes, repeated_groups(hashes, slot_bits or slot_bits_for(total)), total)
+    return marked.select(F.col("id").alias(id_col), F.col("sha").alias("text_sha256"), "keep_id", "group_size", "kept")

@@ -46,6 +46,36 @@ def test_only_native_operators(docs):
     assert "Python" not in plan and "Arrow" not in plan
 
 
+def test_kept_rows_do_not_depend_on_splits(spark, docs, tmp_path):
+    """The plan is made under one split size and run under another, with rows that agree in all columns."""
+    path = str(tmp_path / "docs")
+    docs.unionByName(docs.filter("doc_id % 7 = 0")).repartition(6).write.parquet(path)
+    setting = "spark.sql.files.maxPartitionBytes"
+    before = spark.conf.get(setting)
+    want = None
+    for first, second in (("128m", "64k"), ("64k", "128m"), ("256k", "256k")):
+        try:
+            spark.conf.set(setting, first)
+            kept = exact_dedup.exact_dedup(spark.read.parquet(path)).filter("kept")
+            spark.conf.set(setting, second)
+            rows = sorted((r["doc_id"], r["text_sha256"]) for r in kept.select("doc_id", "text_sha256").collect())
+        finally:
+            spark.conf.set(setting, before)
+        assert len(rows) == len({sha for _, sha in rows}) == docs.select(exact_dedup.fingerprint()).distinct().count()
+        want = want or rows
+        assert rows == want
+
+
+def test_clashing_names(spark):
+    names = ["doc_id", "text", "sha", "id", "row", "maybe", "word", "bits", "slot", "spread", "size", "first_id", "ties", "tied", "at", "a.b", "kept"]
+    rows = [(i, "same" if i % 3 else f"own {i}", *(f"{n}{i}" for n in names[2:])) for i in range(20)]
+    df = spark.createDataFrame([*rows, rows[0], (None, *rows[1][1:])], names)
+    got = exact_dedup.exact_dedup(df)
+    assert got.columns == [*names[:-1], "text_sha256", "keep_id", "group_size", "kept"]
+    assert sorted(map(str, got.select(*(f"`{n}`" for n in names[:-1])).collect())) == sorted(map(str, df.drop("kept").collect()))
+    assert got.filter("kept").count() == 8
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 7, 40, 1000, 1021, 4096])
 def test_permutation(n):
     p = sharding.permute(np.arange(n), n)
