@@ -1,14 +1,17 @@
 """Reproducible shuffle into shards: a Feistel permutation with cycle walking over global row numbers.
 
-Row ``i`` of the order by id gets the permuted number ``p``; its shard is ``p mod shards`` and its slot
-``p div shards``. Both can be computed for any row number, and back, without a table, and shard sizes differ by one at most.
+Rows are numbered in the order of a hash of id, size and checksum; row ``i`` of that order gets the permuted number ``p``; its shard is
+``p mod shards`` and its slot ``p div shards``. Both can be computed for any row number, and back, without a table, and shard
+sizes differ by one at most.
 
 The network works on pairs of a mixed radix ``a * b >= rows`` with ``a`` and ``b`` near the square root, so that
 few numbers fall outside and the walk back into range is short and always ends.
 
-Defined results: null ids come first in the order; rows with equal ids are ordered by size and checksum, and rows that
-agree in these are interchangeable. A null text has size 16 and the checksum of the empty text. An empty table gives an
-empty table.
+Numbering: equal ranges of the hash are sorted side by side, as many as the rows need. Rows that agree in id, size and checksum have one
+hash and are interchangeable; where they are many, a salt written down with the rows deals them out over further ranges.
+
+Defined results: null ids and texts are values like any other; a null text has size 16 and the checksum of the empty text. Rows
+that agree in id, size and checksum are interchangeable. An empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -17,16 +20,16 @@ import math
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from finegrain.operators.ranking import global_row_number
+from finegrain.llm.rows import column
 from finegrain.sources.staging import staged
 
 ROUNDS = 6
 KEY = 20240917
-#: Rows that one range of the global numbering is meant to hold, and the most ranges.
-RANGE_ROWS, MOST_RANGES = 20_000, 512
+#: Rows that one range of the global numbering is meant to hold; salts of rows that are alike.
+RANGE_ROWS, SALTS = 20_000, 256
 
 
 def _mixed(x: np.ndarray, salt: int) -> np.ndarray:
@@ -66,22 +69,44 @@ def permute(numbers: np.ndarray, rows: int, key: int = KEY, inverse: bool = Fals
     return out
 
 
-def shard_rows(narrow: DataFrame, id_col: str, ties: list[str], shards: int, key: int = KEY) -> DataFrame:
-    """Add ``row_number``, ``shard`` and ``slot`` to every row of ``narrow``, which is read more than once."""
+def row_numbers(narrow: DataFrame, rows: int, range_rows: int = RANGE_ROWS) -> DataFrame:
+    """``narrow`` (a table with the 64-bit ``hash`` and the ``salt`` of its ``rows`` rows) with ``row_number`` from 0, in order of hash."""
+    ranges = rows // range_rows + 1
+    # the high 62 bits as a share of the whole: equal ranges without a look at the rows
+    top = lambda h: F.floor((F.shiftright(h, 2) + F.lit(1 << 61)) / F.lit(2.0**62) * F.lit(ranges)).cast("long")
+    # hashes of very many rows: as many as fit into the rows, one for every 4 * range_rows at most
+    often = narrow.groupBy("hash").agg(F.count("*").alias("n")).filter(F.col("n") > 4 * range_rows)
+    hot = staged(often.select(F.least(top(F.col("hash")), F.lit(ranges - 1)).alias("part"), "hash").groupBy("part").agg(F.array_sort(F.collect_list("hash")).alias("hot")), "hot-rows")
+    placed = narrow.withColumn("part", F.least(top(F.col("hash")), F.lit(ranges - 1))).join(F.broadcast(hot), "part", "left")
+    below = F.coalesce(F.size(F.filter("hot", lambda h: h < F.col("hash"))), F.lit(0))
+    alike = F.coalesce(F.array_contains("hot", F.col("hash")), F.lit(False))
+    # inside a range: rows before the first hot hash, its salts, rows after it, and so on
+    placed = placed.withColumn("sub", below * 2 * SALTS + F.when(alike, F.lit(SALTS) + F.col("salt")).otherwise(0)).drop("hot")
+    inside = F.row_number().over(Window.partitionBy("part", "sub").orderBy("hash")).cast("long") - 1
+    sizes = placed.groupBy("part", "sub").agg(F.count("*").alias("n"))
+    # one row for each range, for every RANGE_ROWS rows or so: prefix sums over blocks of ranges, then over blocks
+    blocks = F.floor(F.col("part") / F.lit(math.isqrt(ranges) + 1))
+    sizes = sizes.withColumn("block", blocks)
+    in_block = sizes.withColumn("before", F.sum("n").over(Window.partitionBy("block").orderBy("part", "sub")) - F.col("n"))
+    per_block = sizes.groupBy("block").agg(F.sum("n").alias("rows"))
+    starts = per_block.select("block", (F.sum("rows").over(Window.orderBy("block")) - F.col("rows")).alias("start"))
+    starts = in_block.join(F.broadcast(starts), "block").select("part", "sub", (F.col("before") + F.col("start")).alias("start"))
+    numbered = placed.withColumn("at", inside).join(starts, ["part", "sub"])
+    return numbered.withColumn("row_number", F.col("at") + F.col("start")).drop("part", "sub", "at", "start")
+
+
+def sharded_documents(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "text", key: int = KEY, range_rows: int = RANGE_ROWS) -> DataFrame:
+    """Shard, slot, size and checksum of every document under the law ``rows``."""
+    body = F.coalesce(column(text), F.lit(""))
+    narrow = docs.select(column(id_col).alias("id"), (F.octet_length(body) + 16).cast("long").alias("size"), F.crc32(F.encode(body, "UTF-8")).alias("text_crc32"))
+    narrow = narrow.select("*", F.xxhash64("id", "size", "text_crc32").alias("hash"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int").alias("salt"))
+    narrow = staged(narrow, "sizes")
     rows = narrow.count()
-    numbered = global_row_number(narrow, id_col, ties, "row_number", min(MOST_RANGES, rows // RANGE_ROWS + 1))
 
     @F.pandas_udf("long")
     def permuted(number: pd.Series) -> pd.Series:
         return pd.Series(permute(number.to_numpy(), rows, key))
 
-    placed = numbered.withColumn("_p", permuted("row_number"))
-    return placed.withColumn("shard", F.pmod("_p", F.lit(shards)).cast("int")).withColumn("slot", F.floor(F.col("_p") / F.lit(shards)).cast("long")).drop("_p")
-
-
-def sharded_documents(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "text", key: int = KEY) -> DataFrame:
-    """Shard, slot, size and checksum of every document under the law ``rows``."""
-    body = F.coalesce(F.col(text), F.lit(""))
-    narrow = staged(docs.select(id_col, (F.octet_length(body) + 16).cast("long").alias("size"), F.crc32(F.encode(body, "UTF-8")).alias("text_crc32")), "sizes")
-    placed = shard_rows(narrow, id_col, ["size", "text_crc32"], shards, key)
-    return placed.select(id_col, "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "row_number")
+    placed = row_numbers(narrow, rows, range_rows).withColumn("p", permuted("row_number"))
+    shard, slot = F.pmod("p", F.lit(shards)).cast("int").alias("shard"), F.floor(F.col("p") / F.lit(shards)).cast("long").alias("slot")
+    return placed.select(F.col("id").alias(id_col), "size", "text_crc32", F.lit("rows").alias("law"), shard, slot, F.lit(None).cast("int").alias("grown_shard"), "row_number")

@@ -112,3 +112,14 @@ def test_shards_of_odd_rows(odd, no_docs):
     again = sharding.sharded_documents(odd.repartition(5), 4).collect()
     key = lambda r: (str(r["doc_id"]), r["size"], r["shard"], r["slot"])
     assert sorted(map(key, rows)) == sorted(map(key, again))
+
+
+def test_numbers_of_rows_that_are_alike(spark):
+    """A third of all rows agree in id and text: every number is given once, in ranges that stay small."""
+    rows = [(None, "same")] * 400 + [(i % 300, f"text {i % 450}") for i in range(800)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5).checkpoint()
+    got = sharding.sharded_documents(df, 7, range_rows=20).collect()
+    assert sorted(r["row_number"] for r in got) == list(range(1200))
+    want = sorted((str(r["doc_id"]), r["size"], r["shard"], r["slot"]) for r in got)
+    again = sharding.sharded_documents(df.repartition(3), 7, range_rows=20).collect()
+    assert want == sorted((str(r["doc_id"]), r["size"], r["shard"], r["slot"]) for r in again)
