@@ -6,9 +6,14 @@ of their own; all other words, seen or not, fall into classes by their last byte
 unseen words), so the score of a text is the log-probability of a distribution that sums to one.
 
 Training: word counts of all training texts; then passes of Baum-Welch over the class sequences of all training texts,
-cut into windows, where every partition adds up its expected counts and Spark sums the partitions. Scoring: the forward
-recursion over the whole text, scaled at every step; long texts run as windows whose state-to-state matrices are chained, which
-gives the same number.
+where every partition adds up its expected counts and Spark sums the partitions. Long texts are worked on as windows side by side, each of
+which begins ``HALO`` tokens before and ends ``HALO`` tokens after the tokens and transitions that it counts, so that both recursions
+have settled on what the text says there: every token and every transition of a text counts once, those across borders as well.
+Scoring: the forward recursion over the whole text, scaled at every step; long texts run as windows whose state-to-state
+matrices are chained, which gives the same number.
+
+Words are known by a 64-bit hash (:mod:`textkernel`): words of up to eight bytes and equal length never share one, others with a
+chance of 2**-64 a pair.
 
 Defined results: null counts as empty; an empty text is one end token. With no training text, N and V are 0, every base
 term is that of an unseen token and the model is the untrained start. Rows are scored each on its own, repeated ids too.
@@ -26,19 +31,24 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.llm.batches import in_batches
+from finegrain.llm.rows import column
 from finegrain.llm.textkernel import FOLD, NOT_SPACE, Words, blocks, mix, words_of
 from finegrain.sources.staging import staged
 
 DELTA = 0.1
 #: Words that are classes of their own (at most), classes by form, hidden states, tokens of a window, passes of Baum-Welch.
 TOP_WORDS, FORM_CLASSES, STATES, WINDOW, PASSES = 1500, 512, 8, 64, 6
+#: Tokens that a training window counts, and those before and after it that its recursions run in over.
+TRAIN_WINDOW, HALO = 256, 32
 #: A word is in the broadcast head when it has this share of all training tokens: at most 2**20 words, whatever the corpus.
 HEAD_SHARE = 2.0**-20
+#: Tasks that the texts of one rare or unseen word are dealt over.
+TAIL_SALTS = 4
 END = 0
 
 
 def form_class(words: Words) -> np.ndarray:
-    """The form class of every word: last three bytes, first letter's case class and length class, hashed."""
+    """The form class of every word: its last two bytes, lower-cased, and its length up to four, hashed."""
     data, last = words.data, words.ends - 1
     size = words.ends - words.starts
     byte = lambda at: FOLD[data[np.maximum(at, words.starts)]].astype(np.uint64)
@@ -82,7 +92,7 @@ class Vocabulary:
 
 def trains(id_col: str):
     """Rows that the model learns from: the checksum of the id as text, modulo 10, is not 0 (a null id is not held out)."""
-    return F.coalesce(F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(10)) != 0, F.lit(True))
+    return F.coalesce(F.pmod(F.crc32(column(id_col).cast("string").cast("binary")), F.lit(10)) != 0, F.lit(True))
 
 
 def word_counts(texts: DataFrame) -> DataFrame:
@@ -142,52 +152,67 @@ def starting_model(classes: int, states: int = STATES, seed: int = 5) -> HiddenM
     return HiddenMarkov(np.full(states, 1 / states), step, emit / emit.sum(0))
 
 
-def window_table(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def window_table(lengths: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Cut texts of so many tokens into windows: each window's text, first token (over all texts) and length."""
-    pieces = -(-lengths // WINDOW)
+    pieces = -(-lengths // window)
     text = np.repeat(np.arange(len(lengths)), pieces)
     rank = np.arange(len(text)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
-    first = np.repeat(np.cumsum(lengths) - lengths, pieces) + rank * WINDOW
-    return text, first, np.minimum(WINDOW, lengths[text] - rank * WINDOW)
+    first = np.repeat(np.cumsum(lengths) - lengths, pieces) + rank * window
+    return text, first, np.minimum(window, lengths[text] - rank * window)
+
 
+def expected_counts(model: HiddenMarkov, symbols: np.ndarray, lengths: np.ndarray, window: int = TRAIN_WINDOW, halo: int = HALO) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Baum-Welch's E step over the sequences: start, transition and emission counts, and the log-likelihood.
 
-def expected_counts(model: HiddenMarkov, symbols: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """Baum-Welch's E step over windows of the sequences: start, transition and emission counts, and the log-likelihood."""
+    A window counts its tokens and the transitions into them; its recursions begin ``halo`` tokens earlier and end ``halo`` later, where
+    the text has so many.
+    """
     states = len(model.start)
-    text, first, size = window_table(lengths)
-    order = np.argsort(-size, kind="stable")
-    first, size = first[order], size[order]
-    head = np.concatenate([[True], text[1:] != text[:-1]])[order] if len(text) else np.zeros(0, bool)
-    steps = int(size.max()) if len(size) else 0
-    live = [int(np.searchsorted(-size, -t, "left")) for t in range(steps)]  # windows longer than t
+    text, first, size = window_table(lengths, window)
+    ends = np.cumsum(lengths)
+    before = np.minimum(halo, first - (ends - lengths)[text])
+    after = np.minimum(halo, ends[text] - first - size)
+    # what is read, and from which to which step it counts
+    begin, span, lo = first - before, before + size + after, before
+    hi = lo + size
+    order = np.argsort(-span, kind="stable")
+    begin, span, lo, hi = begin[order], span[order], lo[order], hi[order]
+    head = (begin == (ends - lengths)[text][order]) if len(text) else np.zeros(0, bool)
+    steps = int(span.max()) if len(span) else 0
+    live = [int(np.searchsorted(-span, -t, "left")) for t in range(steps)]  # windows longer than t
     stationary = _stationary(model.step)
     alphas, scales, symbols_at = [], [], []
-    a = None
+    a, likelihood = None, 0.0
     for t in range(steps):
-        s = symbols[first[: live[t]] + t]
+        n = live[t]
+        s = symbols[begin[:n] + t]
         e = model.emit[s]
-        a = np.where(head[: live[t], None], model.start, stationary) * e if t == 0 else (a[: live[t]] @ model.step) * e
+        a = np.where(head[:n, None], model.start, stationary) * e if t == 0 else (a[:n] @ model.step) * e
         c = a.sum(1, keepdims=True)
         a = a / c
         alphas.append(a)
         scales.append(c)
         symbols_at.append(s)
+        counted = (lo[:n] <= t) & (t < hi[:n])
+        likelihood += float(np.log(c[counted, 0]).sum())
     start, trans, emit = np.zeros(states), np.zeros((states, states)), np.zeros_like(model.emit)
-    likelihood = float(sum(np.log(c).sum() for c in scales))
     b = None
     for t in reversed(range(steps)):
         n = live[t]
         beta = np.ones((n, states))
         if b is not None and len(b):
+            m = len(b)
             e = model.emit[symbols_at[t + 1]] * b / scales[t + 1]
-            trans += alphas[t][: len(b)].T @ e
-            beta[: len(b)] = e @ model.step.T
+            into = (lo[:m] <= t + 1) & (t + 1 < hi[:m])
+            trans += (alphas[t][:m] * into[:, None]).T @ e
+            beta[:m] = e @ model.step.T
         gamma = alphas[t] * beta
         gamma /= gamma.sum(1, keepdims=True)
+        gamma *= ((lo[:n] <= t) & (t < hi[:n]))[:, None]
         for k in range(states):
             emit[:, k] += np.bincount(symbols_at[t], gamma[:, k], minlength=len(emit))
         if t == 0:
-            start += gamma[head].sum(0)
+            start += gamma[head[:n]].sum(0)
         b = beta
     return start, trans * model.step, emit, likelihood
 
@@ -351,7 +376,7 @@ def _likelihoods(encoded: DataFrame, model: HiddenMarkov) -> DataFrame:
 
 def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Base and model score of every row of ``docs`` (a scan: it is read twice)."""
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"), trains(id_col).alias("trains"))
+    texts = docs.select(column(id_col).alias("id"), column(text).alias("text"), trains(id_col).alias("trains"))
     learning = texts.filter("trains")
     counts = staged(word_counts(learning), "word-counts")
     vocabulary = build_vocabulary(counts, learning.count())
@@ -360,11 +385,14 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
 
     # words outside the head: few of all tokens; none of them holds more than 2**-20 of the corpus
     least = max(1.0, vocabulary.total * HEAD_SHARE)
-    tail = encoded.select("uid", F.explode("tail").alias("hash"))
-    rare = tail.join(counts.filter(F.col("n") < least).select("hash", "n"), "hash", "left")
+    # a text's repeats of a word are one row; a word that no training text holds may still stand in very many texts, so words go out salted
+    tail = encoded.select("uid", F.explode("tail").alias("hash")).groupBy("uid", "hash").agg(F.count("*").alias("times"))
+    tail = tail.withColumn("salt", F.pmod(F.xxhash64("uid"), F.lit(TAIL_SALTS)).cast("int"))
+    known = counts.filter(F.col("n") < least).select("hash", "n", F.explode(F.sequence(F.lit(0), F.lit(TAIL_SALTS - 1))).alias("salt"))
+    rare = tail.join(known, ["hash", "salt"], "left")
     terms = rare.groupBy("uid").agg(
-        F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(DELTA))).alias("tail_logs"),
-        F.count("n").alias("tail_known"),
+        F.sum(F.col("times") * F.log10(F.coalesce("n", F.lit(0)) + F.lit(DELTA))).alias("tail_logs"),
+        F.sum(F.when(F.col("n").isNotNull(), F.col("times")).otherwise(0)).alias("tail_known"),
     )
     base = np.log10(vocabulary.total + DELTA * (vocabulary.size + 1))
     ends = vocabulary_end_log(vocabulary)
