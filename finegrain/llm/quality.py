@@ -1,7 +1,8 @@
 """Quality classifier by positive-unlabelled learning with the non-negative risk estimator.
 
 Texts labelled good are the trusted positives; all other texts are unlabelled, whatever they are. Labels of bad texts are
-not used for the loss. A first logistic model, positives against unlabelled, gives the class prior; the second minimises
+not used at all, and of held-out rows neither label nor text enters the fit. A first logistic model, positives against unlabelled,
+gives the class prior; the second minimises
 
     prior * E_p[loss(f, +)] + max(0, E_u[loss(f, -)] - prior * E_p[loss(f, -)])
 
@@ -24,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.llm.batches import in_batches
+from finegrain.llm.rows import column
 from finegrain.llm.textkernel import ALNUM, blocks, words_of
 from finegrain.sources.staging import staged
 
@@ -154,8 +156,12 @@ def _descend(gradient, width: int, steps: int, rate: float) -> tuple[np.ndarray,
 
 
 def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, steps: int = 400) -> float:
-    """Share of positives among the unlabelled: the mean over them of ``g / (1 - g) * (1 - c) / c`` with the classifier ``g`` of
-    positives against unlabelled and its mean ``c`` over held-out positives, kept between 0.05 and 0.97."""
+    """Share of positives among the unlabelled, between 0.05 and 0.97: the lesser of two estimates.
+
+    ``g`` is a classifier of three quarters of the positives against the unlabelled, ``c`` its mean over the other quarter. A sure
+    positive has the odds ``c / (1 - c)`` = positives over unlabelled positives, which gives the first estimate. It is too high where
+    the classes are not apart; the second is the share of the unlabelled that look at least half as positive as a positive does.
+    """
     hold = np.arange(len(positive)) % 4 == 0
     train, test = positive[~hold], positive[hold]
     if not len(train) or not len(test) or not len(unlabelled):
@@ -172,7 +178,7 @@ def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, steps: int = 40
     c = np.clip(_sigmoid(test @ w + b).mean(), 1e-3, 1 - 1e-3)
     # with g fitted on n_p + n_u rows, the odds of "labelled" at a sure positive are n_p / (prior * n_u)
     prior = (len(train) / len(unlabelled)) * (1 - c) / c
-    return float(np.clip(min(prior, (g > 0.5 * c).mean() + 0.02), 0.05, 0.97))
+    return float(np.clip(min(prior, (g > 0.5 * c).mean()), 0.05, 0.97))
 
 
 def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, steps: int = 1500, rate: float = 0.02, penalty: float = 1e-4) -> QualityModel:
@@ -208,11 +214,13 @@ def _feature_rows(docs: DataFrame, id_col: str, text: str) -> DataFrame:
             f = features_of(batch.column(1)).astype(np.float32)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.FixedSizeListArray.from_arrays(pa.array(f.ravel()), WIDTH).cast(pa.list_(pa.float32()))], names=["id", "features"])
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).transform(in_batches, run, f"id {id_type}, features array<float>")
+    return docs.select(column(id_col).alias("id"), column(text).alias("text")).transform(in_batches, run, f"id {id_type}, features array<float>")
 
 
 def train_quality(features: DataFrame, labels: DataFrame, learn_from, most_positive: int = MOST_POSITIVE, most_unlabelled: int = MOST_UNLABELLED) -> QualityModel:
-    """Fit on feature rows; ``labels`` holds id and quality, ``learn_from`` is a condition on ``id``."""
+    """Fit on feature rows; ``labels`` holds id and quality, ``learn_from`` is a condition on ``id`` (null: not held out)."""
+    learn_from = F.coalesce(learn_from, F.lit(True))
+    features = features.filter(learn_from)
     good = labels.filter(learn_from).groupBy("id").agg(F.max("quality").alias("quality"))
     known = features.join(good, "id", "left").withColumn("_h", F.xxhash64(F.col("id").cast("string"), F.lit(7)))
     # bounded samples: the smallest hashes of the id
