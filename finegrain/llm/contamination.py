@@ -27,14 +27,15 @@ from pyspark.sql import functions as F
 
 from finegrain.llm.batches import in_batches
 from finegrain.llm.filters import in_table, key_table, without_keys
+from finegrain.llm.rows import column, packed, unpacked
 from finegrain.llm.textkernel import blocks, hash_word, mix, words_of
 from finegrain.sources.staging import staged
 
 WINDOW, SHORTEST = 8, 5
 #: Windows that must agree at one relative position: this share of the item's, five at least, or all that are searched.
 SHARE, LEAST = 0.3, 5
-#: Benchmark windows up to this number are broadcast; beyond it the join shuffles.
-MOST_BROADCAST = 200_000
+#: Benchmark windows up to this number are broadcast; beyond it the join shuffles, each window's documents over ``SALTS`` tasks.
+MOST_BROADCAST, SALTS = 200_000, 16
 PLAIN, NAMED, RAW = 0, 1, 2
 
 # Units.
@@ -208,14 +209,18 @@ def agreeing(found: list[tuple[int, list[tuple[int, int, int]]]]) -> tuple[int,
     return max(len(fit), len(same)), all(set(seen) == {i} for i, seen in at_places.items())
 
 
-def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str = "_key", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """``(key, item, windows, item_windows, exact)`` of all documents that hold an item; ``key`` is a 64-bit row key."""
+def matches(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """``(key, item, windows, item_windows, exact)`` of all documents ``(key, text)`` that hold an item; ``key`` is a 64-bit row key."""
     items = staged(item_windows(benchmark, item_col, item_text), "benchmark-windows")
     table = key_table(items.select("hash").unionByName(items.select(F.col("second").alias("hash"))), "hash")
     kinds = sorted((r["form"], r["length"]) for r in items.select("form", "length").distinct().collect())  # 2 * WINDOW different ones at most
-    found = _document_windows(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), table, kinds)
-    side = F.broadcast(items) if items.count() <= MOST_BROADCAST else items
-    joined = found.join(side, "hash").withColumn("offset", F.col("at") - F.col("item_at"))
+    found = _document_windows(docs.select("key", "text"), table, kinds)
+    if items.count() <= MOST_BROADCAST:
+        joined = found.join(F.broadcast(items), "hash")
+    else:
+        salted = found.withColumn("salt", F.pmod(F.xxhash64("key", "at"), F.lit(SALTS)).cast("int"))
+        joined = salted.join(items.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), ["hash", "salt"]).drop("salt")
+    joined = joined.withColumn("offset", F.col("at") - F.col("item_at"))
     zipped = F.transform(F.arrays_zip(F.col("item_values").alias("i"), F.col("values").alias("d")), lambda p, k: F.struct((F.col("item_at") + k).alias("at"), p["i"].alias("i"), p["d"].alias("d")))
     # one item at one place of one document, both forms together: at most two rows for each of the item's windows
     lined = joined.withColumn("pairs", F.filter(zipped, lambda p: p["i"] != 0)).groupBy("key", "item", "offset").agg(
@@ -236,19 +241,17 @@ def matches(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str
 
 def row_key(id_col: str = "doc_id", text: str = "text"):
     """A 64-bit key of a row's id and text: rows that agree in both get the same decision anyway."""
-    return F.xxhash64(F.col(id_col), F.coalesce(F.col(text), F.lit("")))
+    return F.xxhash64(column(id_col), F.coalesce(column(text), F.lit("")))
 
 
 def contaminated_documents(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """One row for each document: whether it holds a benchmark item, how many, the items, the best share of an item's windows."""
-    keyed = docs.select(id_col, text).withColumn("_key", row_key(id_col, text))
-    hits = matches(keyed, benchmark, text).groupBy("key").agg(
-        F.array_sort(F.collect_set("item")).alias("items"), F.max(F.col("windows") / F.col("item_windows")).alias("share"), F.max("exact").alias("exact")
-    )
-    hits = staged(hits.withColumnRenamed("key", "_key"), "contaminated")
-    rows = keyed.select(id_col, "_key").join(hits, "_key", "left")
+    keyed = docs.select(column(id_col).alias("id"), column(text).alias("text"), row_key(id_col, text).alias("key"))
+    hits = matches(keyed, benchmark).groupBy("key").agg(F.array_sort(F.collect_set("item")).alias("items"), F.max(F.col("windows") / F.col("item_windows")).alias("share"), F.max("exact").alias("exact"))
+    hits = staged(hits, "contaminated")
+    rows = keyed.select("id", "key").join(hits, "key", "left")
     return rows.select(
-        id_col,
+        F.col("id").alias(id_col),
         F.col("items").isNotNull().alias("contaminated"),
         F.coalesce(F.array_size("items"), F.lit(0)).cast("long").alias("n_items"),
         F.array_join("items", ",").alias("items"),
@@ -259,6 +262,6 @@ def contaminated_documents(docs: DataFrame, benchmark: DataFrame, id_col: str =
 
 def decontaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` without the rows that hold a benchmark item; clean rows do not shuffle."""
-    keyed = docs.withColumn("_key", row_key(id_col, text))
-    hits = staged(matches(keyed, benchmark, text).select(F.col("key").alias("_key")).distinct(), "contaminated")
-    return without_keys(keyed, hits, "_key").select(*docs.columns)
+    hits = matches(docs.select(column(text).alias("text"), row_key(id_col, text).alias("key")), benchmark)
+    hits = staged(hits.select("key").distinct(), "contaminated")
+    return unpacked(without_keys(packed(docs, key=row_key(id_col, text)), hits, "key"), docs.columns)

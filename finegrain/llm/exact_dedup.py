@@ -7,7 +7,7 @@ are tested against: a document that misses it passes straight through, the other
 false positive costs a shuffled row, never a wrong result.
 
 The only thing that the filter itself moves is a slot's number and count, some 16 bytes a document (pass 1), and no text. The tables
-follow the number of rows, eight slots each, up to ``MOST_SLOT_BITS``: 2**20 broadcast words at most. Beyond some 10**7 rows the
+follow the number of rows, eight slots each, up to 2**26 slots: 2**20 broadcast words at most. Beyond some 10**7 rows the
 hashes' table fills and narrow rows of id and hash shuffle instead; documents still pass unless their slot holds a repeated text.
 
 Defined results: a null text counts as empty, so all null and empty texts are equal. Of equal texts the row with the
@@ -20,12 +20,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.filters import bit_words, slot_bits_for, slot_of, tested
 from finegrain.llm.rows import column, packed, unpacked
 from finegrain.operators.skew import join_group_facts
 from finegrain.sources.staging import staged
 
-#: log2 of the slots of a bit table, at least and at most.
-LEAST_SLOT_BITS, MOST_SLOT_BITS = 12, 26
 OWN = ("text_sha256", "keep_id", "group_size", "kept")
 
 
@@ -39,34 +38,14 @@ def fingerprint(text: str = "text") -> Column:
     return F.sha2(F.encode(normalised(text), "UTF-8"), 256)
 
 
-def slot_bits_for(rows: int) -> int:
-    """log2 of the slots of a table for so many keys: eight slots a key, within the bounds."""
-    return min(MOST_SLOT_BITS, max(LEAST_SLOT_BITS, (8 * max(rows, 1) - 1).bit_length()))
-
-
 def _slot(sha: str, function: int, slot_bits: int) -> Column:
     """The slot of a hash under one of the filter's functions: its own 15 hexadecimal digits of the SHA-256."""
-    digits = F.conv(F.substring(sha, 1 + 15 * function, 15), 16, 10).cast("long")
-    return F.pmod(digits, F.lit(1 << slot_bits))
-
+    return slot_of(F.conv(F.substring(sha, 1 + 15 * function, 15), 16, 10).cast("long"), slot_bits)
 
-def bit_words(slots: DataFrame) -> DataFrame:
-    """``(word, bits)`` with the bits of all ``slot`` values set: at most a 64th as many rows as there are slots."""
-    return slots.groupBy(F.shiftrightunsigned("slot", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot & 63L as int))")).alias("bits"))
 
-
-def repeated_words(rows: DataFrame, sha: str, function: int, slot_bits: int) -> DataFrame:
+def repeated_words(rows: DataFrame, function: int, slot_bits: int) -> DataFrame:
     """The words of the slots that two rows or more fall into."""
-    return bit_words(rows.select(_slot(sha, function, slot_bits).alias("slot")).groupBy("slot").count().filter("count > 1"))
-
-
-def tested(rows: DataFrame, sha: str, function: int, slot_bits: int, words: DataFrame) -> DataFrame:
-    """``rows`` with ``maybe``: false where the table proves that the hash is not in it."""
-    # 2**(slot_bits - 6) rows at most, whatever the size of the input
-    slot = _slot(sha, function, slot_bits)
-    met = rows.withColumn("slot", slot).withColumn("word", F.shiftrightunsigned("slot", 6)).join(F.broadcast(words), "word", "left")
-    hit = F.coalesce(F.expr("(shiftrightunsigned(bits, cast(slot & 63L as int)) & 1L) = 1L"), F.lit(False))
-    return met.withColumn("maybe", hit).drop("slot", "word", "bits")
+    return bit_words(rows.select(_slot("sha", function, slot_bits).alias("slot")).groupBy("slot").count().filter("count > 1"))
 
 
 def repeated_groups(hashes: DataFrame, slot_bits: int) -> DataFrame:
@@ -74,7 +53,7 @@ def repeated_groups(hashes: DataFrame, slot_bits: int) -> DataFrame:
     null, the least id and how many rows have it."""
     maybe = hashes
     for function in range(2):
-        maybe = tested(maybe, "sha", function, slot_bits, repeated_words(maybe, "sha", function, slot_bits)).filter("maybe").drop("maybe")
+        maybe = tested(maybe, _slot("sha", function, slot_bits), repeated_words(maybe, function, slot_bits)).filter("maybe").drop("maybe")
     # equal texts of one id first, so that neither step meets all rows of a frequent text
     by_id = maybe.groupBy("sha", "id").agg(F.count("*").alias("n"))
     groups = by_id.groupBy("sha").agg(F.sum("n").alias("size"), F.min(F.struct(F.col("id").isNull().alias("none"), "id", "n")).alias("first"))
@@ -88,9 +67,8 @@ def mark_copies(rows: DataFrame, groups: DataFrame, total: int) -> DataFrame:
     Nothing here depends on where a row was read: of rows that agree in text and id, which only repeated ids have, the one
     that stays is chosen among rows written down for that.
     """
-    found = groups.count()
-    bits = slot_bits_for(found)
-    marked = tested(rows, "sha", 0, bits, bit_words(groups.select(_slot("sha", 0, bits).alias("slot"))))
+    bits = slot_bits_for(groups.count())
+    marked = tested(rows, _slot("sha", 0, bits), bit_words(groups.select(_slot("sha", 0, bits).alias("slot"))))
     facts = [F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept")]
     single = marked.filter("not maybe").drop("maybe").select("*", *facts)
     # the salt decides only which task meets a row

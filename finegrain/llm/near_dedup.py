@@ -1,8 +1,8 @@
 """Near-duplicate detection: improved consistent weighted sampling over TF-IDF shingles and least hashes of plain ones, banded and verified.
 
-1. Document counts of words, in a table of hashed slots of fixed size, give word weights; a shingle of five words weighs its
-   count in the text times the mean inverse document frequency of its words. (A table of the shingles themselves would be as
-   large as the corpus.)
+1. Document counts of words, the lesser of two hashed slots in tables of fixed size, give word weights; a shingle of five words weighs
+   its count in the text times the mean inverse document frequency of its words. (A table of the shingles themselves would be
+   as large as the corpus.)
 2. Texts with the same words are one node. Every text gets ``BANDS * ROWS`` consistent weighted samples, and as many least hashes of
    its plain shingle set; the samples of a band make one key. So both kinds of link (step 4) have bands that meet at their rate.
 3. Nodes that share a band key are candidates. Small groups are compared whole. In a larger group every node is compared with the
@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 
 from finegrain.llm.batches import in_batches
 from finegrain.llm.filters import in_table, key_table, without_keys
+from finegrain.llm.rows import column, packed, unpacked
 from finegrain.llm.textkernel import blocks, mix, words_of
 from finegrain.operators.components import connected_components
 from finegrain.operators.skew import join_group_facts
@@ -37,9 +38,9 @@ from finegrain.sources.staging import staged
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 11, 4
-#: log2 of the slots of the word weights' table and of the samples' random numbers. Weights are kept in sixteenths up to 16: in
-#: corpora of more than some 10^6 documents the rarest words weigh alike.
-WORD_BITS, DRAW_BITS = 18, 14
+#: log2 of the slots of each of the two tables of word counts and of the samples' random numbers. Weights are kept in eighths up to 32,
+#: which the rarest word of 10^13 documents does not reach.
+WORD_BITS, DRAW_BITS = 19, 14
 #: Groups up to this size are compared whole, pair by pair; what hubs leave of larger ones, in blocks of about so many nodes.
 SMALL_GROUP, BLOCK_NODES = 12, 64
 _HASH_BITS, _WEIGHT_BITS = 44, 8
@@ -71,36 +72,41 @@ def node_keys(words, offsets: np.ndarray) -> np.ndarray:
     return keys if n else np.zeros(0, np.uint64)
 
 
-def _slots(h: np.ndarray) -> np.ndarray:
-    return (h & np.uint64((1 << WORD_BITS) - 1)).astype(np.int64)
+def _slots(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The slots of words in either table, the second table's after the first's."""
+    low = np.uint64((1 << WORD_BITS) - 1)
+    return (h & low).astype(np.int64), ((h >> np.uint64(WORD_BITS)) & low).astype(np.int64) + (1 << WORD_BITS)
 
 
 def word_document_counts(docs: DataFrame, text: str = "text") -> np.ndarray:
     """Documents that hold a word of each slot, over all documents; the last entry is the number of documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((1 << WORD_BITS) + 1, np.int64)
+        total = np.zeros((2 << WORD_BITS) + 1, np.int64)
         for batch in batches:
             for _, data, offsets in text_blocks(batch.column(0)):
                 w = words_of(data, offsets)
-                key = (w.text_of_words().astype(np.uint64) << np.uint64(WORD_BITS)) | (w.hashes & np.uint64((1 << WORD_BITS) - 1))
+                # each word once a text: sorted by text, then by the bits that its slots are made of
+                bits = np.uint64(2 * WORD_BITS)
+                key = (w.text_of_words().astype(np.uint64) << bits) | (w.hashes & ((np.uint64(1) << bits) - np.uint64(1)))
                 key.sort()
                 new = np.ones(len(key), bool)
                 new[1:] = key[1:] != key[:-1]
-                total[:-1] += np.bincount(_slots(key[new]), minlength=1 << WORD_BITS)
+                for slots in _slots(key[new]):
+                    total += np.bincount(slots, minlength=len(total))
                 total[-1] += len(offsets) - 1
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["slot", "n"])
 
     # a fixed number of slots, whatever the corpus
-    summed = docs.select(F.col(text).alias("text")).transform(in_batches, run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
-    counts = np.zeros((1 << WORD_BITS) + 1, np.int64)
+    summed = docs.select(column(text).alias("text")).transform(in_batches, run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    counts = np.zeros((2 << WORD_BITS) + 1, np.int64)
     counts[summed["slot"].to_numpy(np.int64)] = summed["n"].to_numpy(np.int64)
     return counts
 
 
 def word_weights(counts: np.ndarray) -> np.ndarray:
-    """Smoothed inverse document frequency of each slot, 1 at least."""
+    """Smoothed inverse document frequency of each slot, 1 at least; a word has the greater of its two slots'."""
     return (1 + np.log((counts[-1] + 1) / (counts[:-1] + 1.0)).clip(0)).astype(np.float32)
 
 
@@ -110,7 +116,7 @@ def shingles(words, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nda
     n = len(h)
     if not n:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.float32)
-    idf = weights[_slots(h)]
+    idf = np.maximum(*(weights[slots] for slots in _slots(h)))
     of = words.text_of_words()
     short = counts < SHINGLE
     m = max(0, n - SHINGLE + 1)
@@ -129,13 +135,13 @@ def shingles(words, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nda
         text = np.concatenate([text, few])
         hashes = np.concatenate([hashes, whole])
         mean = np.concatenate([mean, [(sums[first[i + 1]] - sums[first[i]]) / counts[i] for i in few]])
-    level = np.clip(np.rint(mean * 16), 1, (1 << _WEIGHT_BITS) - 1).astype(np.uint64)
+    level = np.clip(np.rint(mean * 8), 1, (1 << _WEIGHT_BITS) - 1).astype(np.uint64)
     key = (text.astype(np.uint64) << np.uint64(_HASH_BITS + _WEIGHT_BITS)) | ((hashes >> np.uint64(64 - _HASH_BITS)) << np.uint64(_WEIGHT_BITS)) | level
     key.sort()
     at = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     count = np.diff(np.append(at, len(key)))
     key = key[at]
-    weight = (key & np.uint64((1 << _WEIGHT_BITS) - 1)).astype(np.float32) / 16 * count
+    weight = (key & np.uint64((1 << _WEIGHT_BITS) - 1)).astype(np.float32) / 8 * count
     return (key >> np.uint64(_HASH_BITS + _WEIGHT_BITS)).astype(np.int64), (key >> np.uint64(_WEIGHT_BITS)) & np.uint64((1 << _HASH_BITS) - 1), weight.astype(np.float32)
 
 
@@ -213,19 +219,19 @@ def sketches(docs: DataFrame, weights: np.ndarray, id_col: str, text: str) -> Da
                 part = batch.slice(row, n)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(node_keys(w, offsets).view(np.int64)), *bands], names=["id", "key", "node", *names])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), row_key(id_col, text).alias("key"), F.col(text).alias("text"))
+    rows = docs.select(column(id_col).cast("long").alias("id"), row_key(id_col, text).alias("key"), column(text).alias("text"))
     return rows.transform(in_batches, run, "id long, key long, node long, " + ", ".join(f"{b} long" for b in names))
 
 
 def row_key(id_col: str, text: str):
     """A 64-bit key of a row's id and text: rows that agree in both share their decision."""
-    return F.xxhash64(F.col(id_col), F.coalesce(F.col(text), F.lit("")))
+    return F.xxhash64(column(id_col), F.coalesce(column(text), F.lit("")))
 
 
 def candidate_shingles(docs: DataFrame, chosen: DataFrame, weights: np.ndarray, id_col: str, text: str) -> DataFrame:
-    """``(node, hashes, weights)`` of the nodes in ``chosen`` (id of one text of the node, node), packed as binary.
+    """``(node, hashes, weights)`` of the nodes in ``chosen`` (a table: id of one text of the node, node), packed as binary.
 
-    The texts are read where they lie; a bit table of fixed size made of ``chosen`` lets few others through.
+    The texts are read where they lie; a bit table made of ``chosen`` lets few others through.
     """
     spark = docs.sparkSession
     mark = F.col("node").bitwiseXOR(F.shiftleft(F.coalesce("id", F.lit(0)), 4))
@@ -249,9 +255,9 @@ def candidate_shingles(docs: DataFrame, chosen: DataFrame, weights: np.ndarray,
                 masses = [light[a:b].tobytes() for a, b in zip(lo, hi, strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(nodes[hit]), pa.array(packed, pa.binary()), pa.array(masses, pa.binary())], names=["node", "hashes", "weights"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).alias("text"))
-    packed = rows.transform(in_batches, run, "node long, hashes binary, weights binary")
-    return packed.join(chosen.select("node"), "node", "left_semi").dropDuplicates(["node"])
+    rows = docs.select(column(id_col).cast("long").alias("id"), column(text).alias("text"))
+    found = rows.transform(in_batches, run, "node long, hashes binary, weights binary")
+    return found.join(chosen.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
 def similarity(ha: np.ndarray, wa: np.ndarray, hb: np.ndarray, wb: np.ndarray) -> tuple[float, float]:
@@ -265,11 +271,14 @@ def similarity(ha: np.ndarray, wa: np.ndarray, hb: np.ndarray, wb: np.ndarray) -
     return both / (float(wa.sum(dtype=np.float64)) + float(wb.sum(dtype=np.float64)) - both), n / (len(ha) + len(hb) - n)
 
 
-def verified(pairs: DataFrame, packed: DataFrame, least: float = SIMILARITY) -> DataFrame:
-    """The links among ``pairs`` (a, b) of nodes."""
-    left = packed.select(F.col("node").alias("a"), F.col("hashes").alias("ha"), F.col("weights").alias("wa"))
-    right = packed.select(F.col("node").alias("b"), F.col("hashes").alias("hb"), F.col("weights").alias("wb"))
-    joined = pairs.join(left, "a").join(right, "b").select("a", "b", "ha", "wa", "hb", "wb")
+def verified(pairs: DataFrame, lists: DataFrame, least: float = SIMILARITY) -> DataFrame:
+    """The links among ``pairs`` (a, b) of nodes; both are tables. A node of very many pairs, a hub, goes out to many tasks."""
+    total, joined = pairs.count(), pairs
+    for side, other in (("a", "b"), ("b", "a")):
+        own = lists.select(F.col("node").alias(side), F.col("hashes").alias(f"h{side}"), F.col("weights").alias(f"w{side}"))
+        met = own.join(pairs.groupBy(side).agg(F.count("*").alias("n")), side)
+        joined = join_group_facts(joined, met, side, "n", total, other, "inner").drop("n")
+    joined = joined.select("a", "b", "ha", "wa", "hb", "wb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         view = lambda x, kind: np.frombuffer(x.as_buffer(), kind)
@@ -296,15 +305,16 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text: str = "text") ->
     nodes = rows.groupBy("node").agg(F.min("id").alias("id"), *(F.first(b).alias(b) for b in names))
     banded = nodes.select("node", "id", F.posexplode(F.array(*names)).alias("band", "value")).filter("value is not null")
     banded = banded.select("node", "id", F.xxhash64("band", "value").alias("group"))
-    groups = banded.groupBy("group").agg(F.count("*").alias("size")).filter("size > 1")
-    members = staged(banded.join(groups, "group"), "members")
-    chosen = members.select("id", "node").distinct()
-    packed = staged(candidate_shingles(docs, chosen, weights, id_col, text), "shingles")
-    component = _linked(members, packed)
+    banded = staged(banded, "bands")
+    groups = staged(banded.groupBy("group").agg(F.count("*").alias("size")).filter("size > 1"), "groups")
+    members = staged(join_group_facts(banded, groups, "group", "size", banded.count(), "node", "inner"), "members")
+    chosen = staged(members.select("id", "node").distinct(), "candidates")
+    lists = staged(candidate_shingles(docs, chosen, weights, id_col, text), "shingles")
+    component = _linked(members, lists)
     return staged(rows.select("id", "key", "node").join(component, "node", "left").select("id", "key", F.coalesce("component", "node").alias("component")), "classes")
 
 
-def _linked(members: DataFrame, packed: DataFrame) -> DataFrame:
+def _linked(members: DataFrame, lists: DataFrame) -> DataFrame:
     """``(node, component)`` of the nodes that a verified link joins to another."""
     # small groups: at most SMALL_GROUP * (SMALL_GROUP - 1) / 2 pairs each
     small = members.filter(F.col("size") <= SMALL_GROUP).groupBy("group").agg(F.array_sort(F.collect_list("node")).alias("all"))
@@ -312,37 +322,46 @@ def _linked(members: DataFrame, packed: DataFrame) -> DataFrame:
     pairs = small.select(F.explode(both).alias("p")).select("p.x", "p.y")
     # large groups: every node meets its group's hub, the node that shares its groups with most others
     large = members.filter(F.col("size") > SMALL_GROUP).select("group", "node", "size")
+    total = members.count()
     shared = large.groupBy("node").agg(F.sum("size").alias("shared"))
-    hubs = large.join(shared, "node").groupBy("group").agg(F.max(F.struct("shared", "node")).alias("hub")).select("group", F.col("hub.node").alias("y"))
-    met = large.select("group", F.col("node").alias("x")).join(hubs, "group").select("x", "y")
-    links = staged(verified(_ordered(pairs.unionByName(met)), packed).select("a", "b"), "links")
+    hubs = large.join(shared, "node").groupBy("group").agg(F.max(F.struct("shared", "node")).alias("hub"), F.max("size").alias("size"))
+    hubs = staged(hubs.select("group", F.col("hub.node").alias("y"), "size"), "hubs")
+    met = join_group_facts(large.select("group", F.col("node").alias("x")), hubs, "group", "size", total, "x", "inner").select("x", "y")
+    links = staged(verified(staged(_ordered(pairs.unionByName(met)), "pairs"), lists).select("a", "b"), "links")
     state = connected_components(links)
     joined = large.join(state, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    apart = joined.groupBy("group").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo != hi").select("group")
-    still = staged(joined.join(apart, "group", "left_semi"), "open-groups")
+    apart = joined.groupBy("group").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.max("size").alias("rows")).filter("lo != hi").select("group", "rows")
+    still = staged(join_group_facts(joined, staged(apart, "open-groups"), "group", "rows", total, "node", "inner").drop("rows"), "open-members")
     if not still.limit(1).count():
         return state
-    rest = staged(_block_links(still, packed), "links")
+    rest = staged(_block_links(still, lists), "links")
     return connected_components(links.unionByName(rest))
 
 
-def _block_links(open_members: DataFrame, packed: DataFrame) -> DataFrame:
+def _block_links(open_members: DataFrame, lists: DataFrame) -> DataFrame:
     """Links between the components of groups that the hubs have left apart.
 
     A group's nodes outside its largest component are compared with all its nodes, block against block: a row is a pair of
-    blocks, whose similarities are one product of matrices, and only links that join components come out.
+    blocks, whose similarities are one product of matrices, and only links that join components come out. Pairs of
+    blocks, not groups, are what is dealt out to tasks.
     """
+    total = open_members.count()
     sizes = open_members.groupBy("group", "component").agg(F.count("*").alias("n"))
-    largest = sizes.groupBy("group").agg(F.max(F.struct("n", "component")).alias("top")).select("group", F.col("top.component").alias("main"))
-    sided = open_members.join(largest, "group").withColumn("inner", F.col("component") == F.col("main"))
-    counts = sided.groupBy("group", "inner").agg(F.count("*").alias("side"))
-    placed = sided.join(counts, ["group", "inner"]).withColumn("block", F.pmod(F.xxhash64("node"), F.ceil(F.col("side") / F.lit(BLOCK_NODES))))
-    filled = placed.select("group", "inner", "block", "node", "component").join(packed, "node")
-    blocks_of = filled.groupBy("group", "inner", "block").agg(F.collect_list(F.struct("node", "component", "hashes", "weights")).alias("nodes"))
-    blocks_of = staged(blocks_of, "blocks")
+    largest = sizes.groupBy("group").agg(F.max(F.struct("n", "component")).alias("top"), F.sum("n").alias("rows")).select("group", F.col("top.component").alias("main"), "rows")
+    sided = join_group_facts(open_members, staged(largest, "main-components"), "group", "rows", total, "node", "inner").drop("rows").withColumn("inner", F.col("component") == F.col("main"))
+    counts = sided.groupBy("group", "inner").agg(F.count("*").alias("side")).withColumn("blocks", F.ceil(F.col("side") / F.lit(BLOCK_NODES)))
+    keyed = lambda df: df.withColumn("sided", F.xxhash64("group", "inner"))
+    facts = staged(keyed(counts).select("sided", "side", "blocks"), "block-counts")
+    placed = join_group_facts(keyed(sided), facts, "sided", "side", total, "node", "inner").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")))
+    filled = placed.select("group", "inner", "block", "node", "component").join(lists, "node")
+    blocks_of = staged(filled.groupBy("group", "inner", "block").agg(F.collect_list(F.struct("node", "component", "hashes", "weights")).alias("nodes")), "blocks")
+    # every block outside meets all inside and those outside from its own on
+    at = blocks_of.filter("not inner").select("group", F.col("block").alias("i"))
+    sides = counts.select("group", "inner", "blocks")
+    meets = at.join(sides, "group").select("group", "i", "inner", F.explode(F.sequence(F.when(F.col("inner"), F.lit(0)).otherwise(F.col("i")), F.col("blocks") - 1)).alias("j"))
     left = blocks_of.filter("not inner").select("group", F.col("block").alias("i"), F.col("nodes").alias("a"))
     right = blocks_of.select("group", "inner", F.col("block").alias("j"), F.col("nodes").alias("b"))
-    met = left.join(right, "group").filter("inner or i <= j").select("a", "b")
+    met = meets.join(left, ["group", "i"]).join(right, ["group", "inner", "j"]).select("a", "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -442,6 +461,6 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
 
 def without_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with one document of each class; rows that cannot be among the dropped ones do not shuffle."""
-    dropped = staged(marked_rows(docs, id_col, text).filter("not kept").select(F.col("key").alias("_key")).distinct(), "dropped")
-    keyed = docs.withColumn("_key", row_key(id_col, text))
-    return without_keys(keyed, dropped, "_key").select(*docs.columns)
+    dropped = staged(marked_rows(docs, id_col, text).filter("not kept").select("key", "id").distinct(), "dropped")
+    keyed = packed(docs, key=row_key(id_col, text), id=column(id_col).cast("long"))
+    return unpacked(without_keys(keyed, dropped, "key", "id"), docs.columns)
