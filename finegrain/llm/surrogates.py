@@ -1,29 +1,38 @@
 """Personal data: detected entities get keyed surrogates of the same type, gender, script and format.
 
-Detection is one pattern per type. An entity is its type and canonical value (lower-case address, bare digits, name part), so
-every mention of it, in whatever format, gets the same surrogate everywhere. The surrogate is drawn from a keyed hash
-of type, value and attempt. Two checks follow over all entities of the table: no surrogate may be a real value of the same type, and no
-two entities may share one; those that fail draw again until none does. So distinct people stay distinct and mentions stay
-together. Surrogates are then written in the mention's own format: its separators, its letter case, its check digit, its title.
+Detection is one pattern per type; card numbers must have an issuer's prefix and a valid check digit as well. Persons are found by a
+title, by a known given name before a family name, by words that introduce a name ("my name is", "Dear ...,") and before a mail address in
+brackets. An entity is its type and canonical value (lower-case address, bare digits, name part), so every mention of it, in
+whatever format, gets the same surrogate everywhere. A given name has the gender that its mentions agree on, by the name itself or its
+title; where they say nothing or disagree, it gets a name of either gender.
+
+The surrogate is drawn from a keyed hash of type, value and attempt. Three checks follow over all entities of the table: no surrogate
+may be a real value of the same type, none may contain the value that it stands for, and no two entities may share one; those that
+fail draw again, from a space that grows with every attempt. Entities that still fail after ``MOST_DRAWS`` are an error: no original is ever
+written out. So distinct people stay distinct and mentions stay together. Surrogates are then written in the mention's own
+format: its separators, its letter case, its check digit, its title.
 
 Everything is DataFrame functions. Only entities shuffle, and of the texts only those that hold one.
 
 Defined results: null stays null and empty stays empty. Texts without an entity pass unchanged. Rows that agree in id and text
-share their result. Extra columns pass through.
+share their result. Extra columns pass through under any names; ``n_entities`` and ``entity_kinds`` replace input columns of these names.
 """
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.llm.filters import split_by_keys
+from finegrain.llm.rows import column, packed
 from finegrain.operators.skew import join_group_facts
 from finegrain.sources.staging import staged
 
 KEY = "surrogate-key"
-#: Draws after which a value that still collides gets its attempt's number written out instead (never seen in practice).
-MOST_DRAWS = 40
+#: Draws after which entities that still collide are an error.
+MOST_DRAWS = 24
 
 # Given names by gender and script, for detection with those below and as surrogates.
 GIVEN = {
@@ -31,7 +40,15 @@ GIVEN = {
     ("male", "latin"): ("Michael", "William", "Robert", "Thomas", "Alexander", "Christopher", "Frederick", "Wolfgang", "Philippe", "Jacques", "Carlos", "Miguel", "Francisco", "Matthew", "Joseph", "Klaus"),
     ("female", "cyrillic"): ("Мария", "Ольга", "Татьяна", "Екатерина", "Наталья", "Светлана", "Ирина", "Людмила"),
     ("male", "cyrillic"): ("Александр", "Дмитрий", "Сергей", "Владимир", "Николай", "Михаил", "Андрей", "Павел"),
+    ("female", "greek"): ("Μαρία", "Ελένη", "Κατερίνα", "Σοφία", "Βασιλική", "Δήμητρα", "Αγγελική", "Γεωργία"),
+    ("male", "greek"): ("Γιώργος", "Νίκος", "Δημήτρης", "Κώστας", "Παναγιώτης", "Βασίλης", "Χρήστος", "Αθανάσιος"),
 }
+# Endings of drawn given names by gender and script.
+ENDINGS = {
+    ("female", "latin"): ("a", "ia", "ina", "elle"), ("male", "latin"): ("o", "us", "an", "er"), ("any", "latin"): ("e", "is", "in", "y"),
+    ("female", "cyrillic"): ("а", "ия", "ина", "на"), ("male", "cyrillic"): ("ий", "ан", "ор", "ей"), ("any", "cyrillic"): ("я", "и", "е", "о"),
+    ("female", "greek"): ("α", "ια", "η", "ινα"), ("male", "greek"): ("ος", "ης", "ας", "ις"), ("any", "greek"): ("ω", "ι", "ε", "υ"),
+}
 # Further given names that are detected and never drawn as surrogates. Names that are common words as well are left out.
 DETECTED = {
     ("female", "latin"): (
@@ -73,7 +90,10 @@ TITLES = {"Mr": "male", "Mrs": "female", "Ms": "female", "Miss": "female", "Herr
 SYLLABLES = {
     "latin": ("bar", "ben", "cal", "dor", "fel", "gar", "hol", "jen", "kas", "lin", "mar", "nor", "pel", "quin", "ros", "sel", "tor", "ul", "ven", "wal", "yar", "zel", "bri", "cro", "dra", "fro", "gri", "kra", "pla", "sta", "tru", "wen"),
     "cyrillic": ("бел", "вор", "гор", "дан", "зел", "кол", "лан", "мир", "нов", "пет", "рос", "сол", "тар", "фед", "хар", "чер"),
+    "greek": ("βασ", "γορ", "δελ", "ζαν", "θερ", "καλ", "λαμ", "μαν", "νικ", "παν", "ροδ", "σταμ", "ταρ", "φιλ", "χαρ", "ψαρ"),
 }
+# Words before which two or three capitalised words are a person.
+CUES = ("my name is", "My name is", "his name is", "her name is", "is called", "Name:", "Author:", "Contact:", "Signed,", "Sincerely,", "Regards,", "je m'appelle", "Je m'appelle", "ich heiße", "Ich heiße", "mein Name ist", "Mein Name ist", "me llamo", "Me llamo", "mi nombre es", "Mi nombre es", "меня зовут", "Меня зовут", "με λένε", "Με λένε")
 
 _NAME = r"\p{Lu}\p{Ll}+"
 _KNOWN = {n: gender for table in (DETECTED, GIVEN) for (gender, _), names in table.items() for n in names}
@@ -84,17 +104,20 @@ _TITLE_ALL = "|".join(sorted(TITLES, key=len, reverse=True))
 _GROUPED = r"(?<![\d+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{3}\)|\d{3})[ .-]\d{3}[ .-]\d{4}(?!\d)"
 _ABROAD = r"(?<![\p{L}\d+])\+(?:[ ./()-]{0,2}\d){7,15}(?!\d)"
 _COUNTRY = r"^\+[ (]{0,2}(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|\d{3})"
-#: Patterns by type, in order of precedence.
+_CUED = f"(?={_NAME} {_NAME})(?:(?<=(?:{'|'.join(CUES)})[ \\n])|(?<=Dear )(?={_NAME}(?: {_NAME}){{1,2}},)|(?={_NAME} {_NAME} ?[<(][\\p{{L}}\\p{{N}}._%+-]{{1,64}}@)){_NAME}(?: {_NAME}){{1,2}}"
+#: Patterns by type, in order of precedence. No group repeats without a bound: the engine recurses for each turn of a group.
 PATTERNS = {
-    "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@(?:[\p{L}\p{N}-]++\.)+\p{L}{2,}",
+    "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]{1,256}+@(?:[\p{L}\p{N}-]{1,63}+\.){1,126}\p{L}{2,}",
     "secret": r"(?<![\p{L}\p{N}])(?i:password|passwd|pwd|token|secret|api[_-]?key)\s{0,3}[=:]\s{0,3}\"?[A-Za-z0-9+/_-]{8,}+\"?",
     "access_key": r"(?<![A-Za-z0-9])A[KS]IA[A-Z0-9]{16}(?![A-Za-z0-9])",
     "ip": r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\d|\.\d)",
     "phone": rf"{_GROUPED}|{_ABROAD}",
     "card": r"(?<![\p{L}\d])(?:\d{4}[ -]\d{4}[ -]\d{4}[ -]\d{4}|\d{13,19})(?![\p{L}\d])",
-    "person": rf"(?<!\p{{L}})(?:(?:{_TITLE_ALL})\.? (?:{_NAME} )?{_NAME}|(?={_NAME} {_NAME})(?:(?:{_GIVEN_ALL}) ){{1,3}}{_NAME})(?!\p{{L}})",
+    "person": rf"(?<!\p{{L}})(?:(?:{_TITLE_ALL})\.? (?:{_NAME} )?{_NAME}|(?={_NAME} {_NAME})(?:(?:{_GIVEN_ALL}) ){{1,3}}{_NAME}|{_CUED})(?!\p{{L}})",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
+#: Numbers that issuers give out, by prefix and length.
+_ISSUED = r"^(?:4(?:\d{12}|\d{15}|\d{18})|5[1-5]\d{14}|2[2-7]\d{14}|3[47]\d{13}|3(?:0[0-5]|[689]\d)\d{11,16}|35\d{14}|6(?:011|4[4-9]\d|5\d\d|2\d\d)\d{12,15}|(?:50|5[6-9]|6\d)\d{11,17})$"
 #: Shapes one of which every entity holds: a cheap test before the patterns.
 TELLING = r"[@=:]|\d{3}|\+[ (]{0,2}\d|\d\.\d|A[KS]IA|\p{Lu}\p{Ll}+\.? \p{Lu}"
 
@@ -104,86 +127,94 @@ def _digest(kind: Column, value: Column, attempt: Column, key: str) -> Column:
     return F.sha2(F.encode(F.concat_ws("\u0001", F.lit(key), kind, value, attempt.cast("string")), "UTF-8"), 512)
 
 
-def _draw(digest: Column, at: Column, below: Column | int) -> Column:
+# Surrogates are SQL text: one expression of many small steps, put together here and parsed once.
+
+
+def _draw(digest: str, at: str, below: int) -> str:
     """The digest's ``at``-th number (four digits each, 32 of them, then again), modulo ``below``."""
-    digits = F.substring(digest, F.pmod(at, F.lit(32)) * 4 + 1, F.lit(4))
-    return F.pmod(F.conv(digits, 16, 10).cast("long") + F.floor(at / 32).cast("long") * 7, F.lit(below) if isinstance(below, int) else below)
+    return f"cast(pmod(cast(conv(substring({digest}, pmod({at}, 32) * 4 + 1, 4), 16, 10) as bigint) + cast(floor(({at}) / 32) as bigint) * 7, {below}) as int)"
+
+
+def _letter(letters: str, digest: str, at: str) -> str:
+    return f"substring('{letters}', {_draw(digest, at, len(letters))} + 1, 1)"
 
 
-def _alike(text: Column, digest: Column, hexadecimal: Column | None = None) -> Column:
+def _word(words, digest: str, at: str) -> str:
+    return f"element_at(split('{' '.join(words)}', ' '), {_draw(digest, at, len(words))} + 1)"
+
+
+def _alike(text: str, digest: str, hexadecimal: bool = False) -> str:
     """Every character replaced by one of its own kind: digit, lower or upper letter of its script; others stay."""
-    alphabets = [("[0-9]", "0123456789"), ("[a-z]", "abcdefghijklmnopqrstuvwxyz"), ("[A-Z]", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), (r"\p{IsCyrillic}", "абвгдежзиклмнопрстуфхцчшэюя"), (r"\p{Lu}", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), (r"\p{L}", "abcdefghijklmnopqrstuvwxyz")]
+    cyrillic, greek = "абвгдежзиклмнопрстуфхцчшэюя", "αβγδεζηθικλμνξοπρστυφχψω"
+    alphabets = [
+        (r"[0-9]", "0123456789"), (r"[a-z]", "abcdefghijklmnopqrstuvwxyz"), (r"[A-Z]", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"),
+        (r"[\p{IsCyrillic}&&\p{Lu}]", cyrillic.upper()), (r"\p{IsCyrillic}", cyrillic), (r"[\p{IsGreek}&&\p{Lu}]", greek.upper()), (r"\p{IsGreek}", greek),
+        (r"\p{Lu}", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), (r"\p{L}", "abcdefghijklmnopqrstuvwxyz"),
+    ]
+    cases = f"when c rlike '[a-f]' then {_letter('abcdef', digest, 'i')} " if hexadecimal else ""
+    cases += " ".join(f"when c rlike r'{pattern}' then {_letter(letters, digest, 'i')}" for pattern, letters in alphabets)
+    return f"array_join(transform(split({text}, ''), (c, i) -> case {cases} else c end), '')"
 
-    def one(c: Column, i: Column) -> Column:
-        out = F.when(F.lit(False), c)
-        if hexadecimal is not None:
-            out = out.when(hexadecimal & c.rlike("[a-f]"), F.substring(F.lit("abcdef"), (_draw(digest, i, 6) + 1).cast("int"), F.lit(1)))
-        for pattern, letters in alphabets:
-            out = out.when(c.rlike(pattern), F.substring(F.lit(letters), (_draw(digest, i, len(letters)) + 1).cast("int"), F.lit(1)))
-        return out.otherwise(c)
 
-    return F.array_join(F.transform(F.split(text, ""), one), "")
+def _more(digest: str, count: str, letters: str) -> str:
+    """``count`` further letters, none where it is not positive."""
+    return f"if({count} > 0, array_join(transform(sequence(1, greatest({count}, 1)), k -> {_letter(letters, digest, 'k + 24')}), ''), '')"
 
 
-def _name_like(value: Column, digest: Column) -> Column:
-    """A family name of the same script: three syllables, or more words' worth where the value is long."""
-    cyrillic = value.rlike(r"\p{IsCyrillic}")
+def _syllables(script: str, digest: str, count: str) -> str:
+    return f"array_join(transform(sequence(1, {count}), k -> {_word(SYLLABLES[script], digest, 'k')}), '')"
 
-    def built(script: str) -> Column:
-        table = F.array(*map(F.lit, SYLLABLES[script]))
-        return F.initcap(F.concat(*(F.element_at(table, (_draw(digest, F.lit(k), len(SYLLABLES[script])) + 1).cast("int")) for k in range(4))))
 
-    return F.when(cyrillic, built("cyrillic")).otherwise(built("latin"))
+def _script_sql(value: str) -> str:
+    return f"case when {value} rlike r'\\p{{IsCyrillic}}' then 'cyrillic' when {value} rlike r'\\p{{IsGreek}}' then 'greek' else 'latin' end"
 
 
-def _given_like(kind: Column, digest: Column, attempt: Column) -> Column:
-    """Given names of the gender and script that ``kind`` names: two, and three where many draws have collided."""
-    out = F.when(F.lit(False), F.lit(""))
-    for (gender, script), names in GIVEN.items():
-        table = F.array(*map(F.lit, names))
-        one = F.element_at(table, (_draw(digest, F.lit(0), len(names)) + 1).cast("int"))
-        two = F.element_at(table, (_draw(digest, F.lit(1), len(names)) + 1).cast("int"))
-        three = F.element_at(table, (_draw(digest, F.lit(2), len(names)) + 1).cast("int"))
-        out = out.when(kind == f"given:{gender}:{script}", F.concat_ws("-", one, two, F.when(attempt >= 8, three)))
-    return out
-
-
-def surrogate(kind: Column, value: Column, attempt: Column, key: str = KEY) -> Column:
-    """The canonical surrogate of a canonical value."""
-    d = _digest(kind, value, attempt, key)
-    local, domain = F.substring_index(value, "@", 1), F.substring_index(value, "@", -1)
-    reserved = domain.rlike(r"(^|\.)example\.(com|org|net)$")
-    address = F.concat(_alike(local, d), F.lit("@"), F.when(reserved, domain).otherwise(F.concat(_alike(F.substring_index(domain, ".", 1), F.reverse(d)), F.lit(".example.com"))))
-    octets = F.concat_ws(".", *((_draw(d, F.lit(k), 254) + 1).cast("string") for k in range(4)))
-    # telephone: no leading 0 or 1
-    phone = F.concat((_draw(d, F.lit(31), 8) + 2).cast("string"), F.substring(_alike(value, d), F.lit(2), F.lit(40)))
-    card = F.concat(F.substring(value, 1, 1), F.substring(_alike(value, d), F.lit(2), F.lit(40)))
-    secret = _alike(value, d, hexadecimal=value.rlike("^[0-9a-f]+$"))
-    aws = F.concat(F.substring(value, 1, 4), F.substring(_alike(value, d), F.lit(5), F.lit(40)))
-    return (
-        F.when(kind == "email", address)
-        .when(kind == "ip", octets)
-        .when(kind == "phone", phone)
-        .when(kind == "card", _with_check_digit(card, value))
-        .when(kind == "secret", secret)
-        .when(kind == "access_key", aws)
-        .when(kind.startswith("given:"), _given_like(kind, d, attempt))
-        .otherwise(_name_like(value, d))
-    )
+def _name_like(value: str, digest: str, attempt: str) -> str:
+    """A family name of the same script: four syllables, and one more for every attempt."""
+    return f"case {_script_sql(value)} " + " ".join(f"when '{script}' then initcap({_syllables(script, digest, f'{attempt} + 4')})" for script in SYLLABLES) + " end"
+
+
+def _given_like(kind: str, digest: str, attempt: str) -> str:
+    """A given name of the gender and script that ``kind`` names: a listed one, and after the first attempt a drawn one behind it."""
+    cases = []
+    for (gender, script), endings in ENDINGS.items():
+        listed = _word(GIVEN.get((gender, script)) or GIVEN["female", script] + GIVEN["male", script], digest, "0")
+        drawn = f"initcap(concat({_syllables(script, digest, f'{attempt} + 1')}, {_word(endings, digest, '31')}))"
+        cases.append(f"when 'given:{gender}:{script}' then if({attempt} = 0, {listed}, concat({listed}, '-', {drawn}))")
+    return f"case {kind} {' '.join(cases)} end"
 
 
-def _luhn(number: Column) -> Column:
+def _luhn(number: str) -> str:
     """The Luhn sum of a string of digits, modulo 10."""
-    digits = F.transform(F.reverse(F.split(number, "")), lambda c, i: F.when(i % 2 == 1, F.pmod(c.cast("int") * 2, F.lit(10)) + F.floor(c.cast("int") * 2 / 10).cast("int")).otherwise(c.cast("int")))
-    return F.pmod(F.aggregate(digits, F.lit(0), lambda a, x: a + x), F.lit(10))
+    twice = "cast(c as int) * 2"
+    return f"pmod(aggregate(transform(reverse(split({number}, '')), (c, i) -> if(i % 2 = 1, {twice} % 10 + cast(floor({twice} / 10) as int), cast(c as int))), 0, (a, x) -> a + x), 10)"
 
 
-def _with_check_digit(number: Column, model: Column) -> Column:
-    """``number`` with its last digit set so that it passes the check where ``model`` does, and fails where it fails."""
-    head = F.substring(number, F.lit(1), F.length(number) - 1)
-    short = F.pmod(F.lit(10) - _luhn(F.concat(head, F.lit("0"))), F.lit(10))
-    last = F.when(_luhn(model) == 0, short).otherwise(F.pmod(short + 1 + F.pmod(F.crc32(F.encode(head, "UTF-8")), F.lit(9)), F.lit(10)))
-    return F.concat(head, last.cast("string"))
+def _with_check_digit(head: str, model: str) -> str:
+    """``head`` with the digit behind it that makes it a valid card number, as ``model`` is (or no valid one where it is none)."""
+    short = f"pmod(10 - {_luhn(f'concat({head}, 0)')}, 10)"
+    other = f"pmod({short} + 1 + pmod(crc32(encode({head}, 'UTF-8')), 9), 10)"
+    return f"concat({head}, cast(if({_luhn(model)} = 0, {short}, {other}) as string))"
+
+
+def surrogate_sql(kind: str = "kind", value: str = "value", attempt: str = "attempt", digest: str = "digest") -> str:
+    """The canonical surrogate of a canonical value, from its digest (a column that is there: every character draws from it). Names and
+    addresses get longer with the attempt, other values after some."""
+    lower, d = "abcdefghijklmnopqrstuvwxyz", digest
+    domain = f"substring_index({value}, '@', -1)"
+    host = f"concat({_alike(f"substring_index({domain}, '.', 1)", f'reverse({d})')}, '.example.com')"
+    address = f"concat({_alike(f"substring_index({value}, '@', 1)", d)}, {_more(d, attempt, lower)}, '@', if({domain} rlike '(^|[.])example[.](com|org|net)$', {domain}, {host}))"
+    octets = f"concat_ws('.', {', '.join(f'cast({_draw(d, str(k), 254)} + 1 as string)' for k in range(4))})"
+    # telephone: no leading 0 or 1
+    phone = f"concat(cast({_draw(d, '31', 8)} + 2 as string), substring({_alike(value, d)}, 2), {_more(d, f'{attempt} - 4', '0123456789')})"
+    card = _with_check_digit(f"concat(substring({value}, 1, 1), substring({_alike(value, d)}, 2, length({value}) - 2))", value)
+    # what holds for the whole value is asked outside the loop over its characters
+    secret = f"concat(if({value} rlike '^[0-9a-f]+$', {_alike(value, d, True)}, {_alike(value, d)}), {_more(d, f'{attempt} - 4', '0123456789')})"
+    key = f"concat(substring({value}, 1, 4), substring({_alike(value, d)}, 5))"
+    return (
+        f"case when {kind} = 'email' then {address} when {kind} = 'ip' then {octets} when {kind} = 'phone' then {phone} when {kind} = 'card' then {card} "
+        f"when {kind} = 'secret' then {secret} when {kind} = 'access_key' then {key} when {kind} like 'given:%' then {_given_like(kind, d, attempt)} else {_name_like(value, d, attempt)} end"
+    )
 
 
 def mentions(text: Column) -> Column:
@@ -192,16 +223,20 @@ def mentions(text: Column) -> Column:
     return F.coalesce(found, F.array().cast("array<string>"))
 
 
-def _kind(surface: Column) -> Column:
+def _kind() -> Column:
+    """The type of the mention ``surface``; ``none`` for digits that are no card number."""
+    surface, digits = F.col("surface"), "regexp_replace(surface, '[^0-9]', '')"
     out = F.when(F.lit(False), F.lit(""))
     for kind, pattern in PATTERNS.items():
-        out = out.when(surface.rlike(f"^(?:{pattern})$"), F.lit(kind))
-    return out.otherwise("person")
+        value = F.when(F.expr(digits).rlike(_ISSUED) & (F.expr(_luhn(digits)) == 0), "card").otherwise("none") if kind == "card" else F.lit(kind)
+        out = out.when(surface.rlike(f"^(?:{pattern})$"), value)
+    return out.otherwise("person")  # what only its surroundings make a person
 
 
 def _parts(kind: Column, surface: Column) -> Column:
-    """The entities of a mention: an array of (kind, canonical value, as written)."""
-    entity = lambda k, v, w: F.struct(k.alias("kind"), v.alias("value"), w.alias("written"))
+    """The entities of a mention: an array of (kind, canonical value, gender where the mention tells it)."""
+    entity = lambda k, v, g: F.struct(k.alias("kind"), v.alias("value"), g.alias("gender"))
+    nothing = F.lit(None).cast("string")
     value = (
         F.when(kind == "email", F.lower(surface))
         .when(kind == "secret", F.regexp_extract(surface, r"[=:]\s*\"?([^\"]+)\"?$", 1))
@@ -213,21 +248,21 @@ def _parts(kind: Column, surface: Column) -> Column:
     title = F.regexp_extract(surface, rf"^({_TITLE_ALL})\.? ", 1)
     words = F.split(F.regexp_replace(surface, rf"^(?:{_TITLE_ALL})\.? ", ""), " ")
     titles = F.create_map(*(F.lit(x) for kv in TITLES.items() for x in kv))
-    known = F.create_map(*(F.lit(x) for named in _KNOWN.items() for x in named))
+    known = F.from_json(F.lit(json.dumps(_KNOWN)), "map<string, string>")
 
     def name(w: Column, i: Column) -> Column:
-        gender = F.coalesce(F.try_element_at(known, w), F.nullif(F.try_element_at(titles, title), F.lit("")), F.lit("female"))
-        script = F.when(w.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
-        given = (i == 0) & ((F.size(words) > 1) | F.try_element_at(known, w).isNotNull())
-        return entity(F.when(given, F.concat_ws(":", F.lit("given"), gender, script)).otherwise("family"), w, w)
+        told = F.try_element_at(known, w)
+        gender = F.coalesce(told, F.nullif(F.try_element_at(titles, title), F.lit("")))
+        given = F.when(F.size(words) == 1, told.isNotNull()).otherwise((i < F.size(words) - 1) & ((i == 0) | told.isNotNull()))
+        return entity(F.when(given, "given").otherwise("family"), w, F.when(given, gender))
 
-    return F.when(kind == "person", F.transform(words, name)).otherwise(F.array(entity(kind, value, surface)))
+    return F.when(kind == "person", F.transform(words, name)).otherwise(F.array(entity(kind, value, nothing)))
 
 
 def _written(kind: Column, surface: Column, value: Column, new: Column) -> Column:
     """A surrogate in the mention's format."""
     digits = F.regexp_replace(surface, r"\D", "")
-    lead = F.length(digits) - F.length(new)  # digits before the value: a country code, kept
+    lead = F.length(digits) - F.length(value)  # digits before the value: a country code, kept
     numbered = F.array_join(
         F.transform(
             F.split(surface, ""),
@@ -238,9 +273,10 @@ def _written(kind: Column, surface: Column, value: Column, new: Column) -> Colum
         ),
         "",
     )
+    longer = F.substring(new, F.length(value) + 1, F.lit(40))  # digits of a longer surrogate
     loud = (F.upper(surface) == surface) & (F.lower(surface) != surface)
     return (
-        F.when(kind.isin("phone", "card"), numbered)
+        F.when(kind.isin("phone", "card"), F.concat(numbered, longer))
         .when(kind == "secret", F.replace(surface, value, new))
         .when((kind == "email") & loud, F.upper(new))
         .otherwise(new)
@@ -251,63 +287,76 @@ def _char_at(text: Column, at: Column) -> Column:
     return F.when(at >= 1, F.substring(text, at, F.lit(1)))
 
 
-def assign_surrogates(entities: DataFrame, key: str = KEY) -> DataFrame:
-    """``(kind, value, new)`` for distinct ``(kind, value)``: distinct, and none of the table's real values of its kind."""
-    real = staged(entities.select("kind", "value").distinct(), "entities")
-    pending = real.withColumn("attempt", F.lit(0))
-    settled = None
-    for draw in range(MOST_DRAWS):
-        last = draw == MOST_DRAWS - 1
-        new = surrogate(F.col("kind"), F.col("value"), F.col("attempt"), key)
-        drawn = pending.withColumn("new", F.concat(new, F.lit("-"), F.col("value")) if last else new)
-        taken = real.select("kind", F.lower("value").alias("_low")).distinct()
-        if settled is not None:
-            taken = taken.unionByName(settled.select("kind", F.lower("new").alias("_low"))).distinct()
-        first = drawn.groupBy("kind", F.lower("new").alias("_low")).agg(F.min("value").alias("_first"))
-        checked = drawn.withColumn("_low", F.lower("new")).join(first, ["kind", "_low"]).join(taken.withColumn("_taken", F.lit(True)), ["kind", "_low"], "left")
-        good = (F.col("_taken").isNull() & (F.col("value") == F.col("_first"))) | F.lit(last)
-        checked = staged(checked.withColumn("_good", F.coalesce(good, F.lit(False))).select("kind", "value", "attempt", "new", "_good"), "draws")
-        done = checked.filter("_good").select("kind", "value", "new")
-        settled = done if settled is None else settled.unionByName(done)
-        pending = checked.filter("not _good").select("kind", "value", (F.col("attempt") + 1).alias("attempt"))
+def assign_surrogates(entities: DataFrame, key: str = KEY, most_draws: int = MOST_DRAWS) -> DataFrame:
+    """``(kind, value, new)`` for distinct ``(kind, value)``: distinct, none a real value of its kind, none with its own value in it.
+
+    A given name's kind is ``given:<gender>:<script>``; given names of all kinds are one kind to the checks.
+    """
+    sort = F.substring_index("kind", ":", 1)
+    digest = _digest(F.col("kind"), F.col("value"), F.col("attempt"), key)
+    real = staged(entities.select("kind", "value").distinct().select("kind", "value", sort.alias("sort"), F.lit(0).alias("attempt")).withColumn("digest", digest), "entities")
+    pending = real
+    taken = real.select("sort", F.lower("value").alias("low")).distinct()
+    settled, new = None, F.expr(surrogate_sql())
+    for _ in range(most_draws):
+        drawn = pending.withColumn("new", new).drop("digest").withColumn("low", F.lower("new"))
+        drawn = staged(drawn.withColumn("own", F.contains("low", F.lower("value"))), "drawn")
+        first = drawn.filter("not own").groupBy("sort", "low").agg(F.min(F.struct("kind", "value")).alias("first"))
+        checked = drawn.join(first, ["sort", "low"], "left").join(taken.withColumn("held", F.lit(True)), ["sort", "low"], "left")
+        good = ~F.col("own") & F.col("held").isNull() & (F.struct("kind", "value") == F.col("first"))
+        checked = checked.withColumn("good", F.coalesce(good, F.lit(False))).select("kind", "value", "sort", (F.col("attempt") + 1).alias("attempt"), "new", "low", "good")
+        checked = staged(checked.withColumn("digest", F.when(~F.col("good"), digest)), "draws")
+        done = checked.filter("good")
+        settled = done.select("kind", "value", "new") if settled is None else settled.unionByName(done.select("kind", "value", "new"))
+        taken = taken.unionByName(done.select("sort", "low"))
+        pending = checked.filter("not good").select("kind", "value", "sort", "attempt", "digest")
         if not pending.limit(1).count():
-            break
-    return settled
+            return settled
+    raise RuntimeError(f"entities of kind {pending.first()['kind']} found no surrogate of their own in {most_draws} draws")
 
 
 def with_surrogates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", key: str = KEY) -> DataFrame:
     """``docs`` with every entity of ``text`` replaced, ``n_entities`` and ``entity_kinds`` (sorted, comma-joined)."""
-    docs = docs.drop("n_entities", "entity_kinds")
-    keyed = docs.withColumn("_key", F.xxhash64(F.col(id_col), F.coalesce(F.col(text), F.lit(""))))
-    found = keyed.select("_key", mentions(F.col(text)).alias("_found"))
-    spots = staged(found.filter(F.size("_found") > 0).dropDuplicates(["_key"]), "mentions")
-    at = spots.select("_key", F.posexplode("_found").alias("at", "surface")).withColumn("type", _kind(F.col("surface")))
-    parts = at.select("_key", "at", "surface", "type", F.posexplode(_parts(F.col("type"), F.col("surface"))).alias("part", "e"))
-    parts = staged(parts.select("_key", "at", "part", "surface", "type", "e.kind", "e.value", "e.written"), "entity-mentions")
-    table = assign_surrogates(parts, key)
-    counted = parts.groupBy("kind", "value").agg(F.count("*").alias("weight"))
-    facts = staged(counted.join(table, ["kind", "value"]).select(F.concat_ws("\u0001", "kind", "value").alias("entity"), "new", "weight"), "surrogates")
+    docs = docs.drop(*(c for c in ("n_entities", "entity_kinds") if c != text))
+    doc_key = F.xxhash64(column(id_col), F.coalesce(column(text), F.lit("")))
+    found = docs.select(doc_key.alias("doc"), mentions(column(text)).alias("found"))
+    spots = staged(found.filter(F.size("found") > 0).dropDuplicates(["doc"]), "mentions")
+    at = staged(spots.select("doc", F.posexplode("found").alias("at", "surface")).withColumn("type", _kind()), "typed-mentions")
+    parts = at.filter("type != 'none'").select("doc", "at", "surface", "type", F.posexplode(_parts(F.col("type"), F.col("surface"))).alias("part", "e"))
+    parts = staged(parts.select("doc", "at", "part", "surface", "type", "e.kind", "e.value", "e.gender"), "entity-mentions")
+    counted = parts.groupBy("kind", "value").agg(F.count("*").alias("weight"), F.min("gender").alias("lo"), F.max("gender").alias("hi"))
+    gender = F.when(F.col("lo") == F.col("hi"), F.col("lo")).otherwise("any")
+    whole_kind = F.when(F.col("kind") == "given", F.concat_ws(":", "kind", gender, F.expr(_script_sql("value")))).otherwise(F.col("kind"))
+    counted = staged(counted.select(F.concat_ws("\u0001", "kind", "value").alias("entity"), whole_kind.alias("kind"), "value", "weight"), "entity-counts")
+    table = assign_surrogates(counted, key)
+    facts = staged(counted.join(table, ["kind", "value"]).select("entity", "new", "weight"), "surrogates")
     rows = parts.withColumn("entity", F.concat_ws("\u0001", "kind", "value"))
-    joined = join_group_facts(rows, facts, "entity", "weight", parts.count(), "_key")
+    joined = join_group_facts(rows, facts, "entity", "weight", parts.count(), "doc")
     written = joined.withColumn("put", F.when(F.col("type") == "person", F.col("new")).otherwise(_written(F.col("type"), F.col("surface"), F.col("value"), F.col("new"))))
     # one document's mentions: as many rows as it has
-    by_mention = written.groupBy("_key", "at").agg(F.first("surface").alias("surface"), F.first("type").alias("type"), F.array_sort(F.collect_list(F.struct("part", "put"))).alias("puts"))
+    by_mention = written.groupBy("doc", "at").agg(F.first("surface").alias("surface"), F.first("type").alias("type"), F.array_sort(F.collect_list(F.struct("part", "put"))).alias("puts"))
     names = F.array_join(F.transform("puts", lambda p: p["put"]), " ")
     whole = F.when(F.col("type") == "person", F.concat(F.regexp_extract("surface", rf"^(?:{_TITLE_ALL})\.? ", 0), names)).otherwise(F.col("puts")[0]["put"])
-    lists = by_mention.select("_key", "at", "type", whole.alias("put")).groupBy("_key").agg(
-        F.array_sort(F.collect_list(F.struct("at", "put"))).alias("_puts"), F.array_join(F.array_sort(F.collect_set("type")), ",").alias("_kinds")
-    )
-    lists = staged(lists, "replacements")
-    # rows without a mention pass straight through
-    plain, maybe = split_by_keys(keyed, lists, "_key")
-    plain = plain.drop("_key").select("*", F.lit(0).cast("long").alias("n_entities"), F.lit("").alias("entity_kinds"))
-    touched = maybe.join(lists, "_key", "left")
-    between = F.split(F.col(text), ANY, -1)
-    pieces = F.transform("_puts", lambda p: p["put"])
-    mixed = F.array_join(F.zip_with(between, pieces, lambda s, p: F.concat(F.coalesce(s, F.lit("")), F.coalesce(p, F.lit("")))), "")
-    touched = (
-        touched.withColumn("n_entities", F.coalesce(F.array_size("_puts"), F.lit(0)).cast("long"))
-        .withColumn("entity_kinds", F.coalesce("_kinds", F.lit("")))
-        .withColumn(text, F.when(F.col("_puts").isNull(), F.col(text)).otherwise(mixed))
+    # what has the shape of an entity and is none stays as it was
+    others = at.filter("type = 'none'").select("doc", "at", F.lit(None).cast("string").alias("type"), F.col("surface").alias("put"))
+    lists = by_mention.select("doc", "at", "type", whole.alias("put")).unionByName(others).groupBy("doc").agg(
+        F.array_sort(F.collect_list(F.struct("at", "put"))).alias("puts"), F.array_join(F.array_sort(F.collect_set("type")), ",").alias("kinds"), F.count("type").alias("n")
     )
-    return plain.unionByName(touched.select(*plain.columns))
+    lists = staged(lists.filter("n > 0"), "replacements")
+    # rows without an entity pass straight through
+    return _rewritten(docs, doc_key, text, lists)
+
+
+def _rewritten(docs: DataFrame, doc_key: Column, text: str, lists: DataFrame) -> DataFrame:
+    """``docs`` with the replacements of ``lists`` in their texts."""
+    own = [c for c in ("n_entities", "entity_kinds") if c != text]
+    facts = {"n_entities": "n", "entity_kinds": "kinds"}
+    plain, maybe = split_by_keys(packed(docs, doc=doc_key), lists, "doc")
+    body = F.col("row").getField(text)
+    plain = plain.select("row", body.alias("body"), F.lit(0).cast("long").alias("n"), F.lit("").alias("kinds"))
+    touched = maybe.join(lists, "doc", "left").withColumn("old", body)
+    pieces = F.transform("puts", lambda p: p["put"])
+    mixed = F.array_join(F.zip_with(F.split("old", F.lit(ANY), -1), pieces, lambda s, p: F.concat(F.coalesce(s, F.lit("")), F.coalesce(p, F.lit("")))), "")
+    touched = touched.select("row", F.when(F.col("puts").isNull(), F.col("old")).otherwise(mixed).alias("body"), F.coalesce("n", F.lit(0)).cast("long").alias("n"), F.coalesce("kinds", F.lit("")).alias("kinds"))
+    columns = [F.col("body").alias(c) if c == text else F.col("row").getField(c).alias(c) for c in docs.columns]
+    return plain.unionByName(touched).select(*columns, *(F.col(facts[c]).alias(c) for c in own))
