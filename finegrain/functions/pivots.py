@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import math
 from collections.abc import Callable, Sequence
 
@@ -80,17 +81,45 @@ def weighted_ranks(keys: Column, b: int, draw: Draw, weights: Sequence[Sequence[
     return F.array_sort(F.array(*out))
 
 
-def pick_pivots(sample: Column, b: int, draw: Draw, policy: str = "mixed") -> Column:
+def weight_table(b: int, policy: str | tuple[str, tuple[float, float]]) -> list[list[list[tuple[int, float]]]]:
+    """For samples of b to 2b keys and each pivot, two neighbouring ranks with their probabilities.
+
+    ``calibrated`` puts every pivot's median at its quantile. ``("mix", (w, v))`` takes the nearer of the two ranks from its own end of the
+    order with probability ``w`` and the next one inwards with ``v``.
+    """
+    if policy == "calibrated":
+        return [calibrated_weights(n, b) for n in range(b, 2 * b + 1)]
+    name, (near, far) = policy
+    if name != "mix" or abs(near + far - 1) > 1e-9 or min(near, far) < 0:
+        raise ValueError(f"no pivot policy {policy!r}")
+    table = []
+    for n in range(b, 2 * b + 1):
+        low = [max(1, j * n // b) for j in range(1, b)]
+        ends = [(i, near) if 2 * j <= b else (n - low[b - j - 1], far) for j, i in enumerate(low, 1)]
+        table.append([[(min(i, n - 1), w), (min(i, n - 1) + 1, 1 - w)] for i, w in ends])
+    return table
+
+
+def pick_pivots(sample: Column, b: int, draw: Draw, policy: str | tuple[str, tuple[float, float]] = "mixed") -> Column:
     """Dispatch by the number of keys in the sample, of which a node keeps 2b at most.
 
-    ``sample`` is in hash order; ``draw(purpose, ...)`` gives the node's 32-bit random numbers. A node without keys has none.
+    ``sample`` is in hash order; ``draw(purpose, ...)`` gives the node's 32-bit random numbers. A node without keys has none. Policies
+    by weights (see :func:`weight_table`) double the keys of a node with fewer than b, as the others do.
     """
     if policy == "full_quantile":
         return F.when(F.size(sample) > 0, full_quantiles(sample, b, draw))
-    if policy == "calibrated":
-        exact = F.when(F.size(sample) == b, weighted_ranks(sample, b, draw, calibrated_weights(b, b)))
-        return exact.otherwise(pick_pivots(sample, b, draw, "mixed"))
     n = F.size(sample)
+    if policy == "calibrated" or isinstance(policy, tuple):
+        table = [[{"i": i, "w": w} for (i, w), _ in row] for row in weight_table(b, policy)]
+        weights = F.from_json(F.lit(json.dumps(table)), "array<array<struct<i: int, w: double>>>")
+        ordered = F.array_sort(sample)
+
+        def ranked(j: Column) -> Column:
+            options = F.get(F.get(weights, n - b), j - 1)
+            return F.element_at(ordered, options["i"] + F.when(fraction(draw("mix", j)) < options["w"], 0).otherwise(1))
+
+        wide = F.array_sort(F.transform(F.sequence(F.lit(1), F.lit(b - 1)), ranked))
+        return F.when(n == 0, F.lit(None)).when(n < b, case_short(sample, b, draw, "mixed")).otherwise(wide)
     return (
         F.when(n == 0, F.lit(None))
         .when(n < b, case_short(sample, b, draw, policy))

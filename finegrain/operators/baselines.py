@@ -50,10 +50,15 @@ def boundaries(placed: DataFrame, nodes: int, reduction_factor: int, per_node: i
 
 def boundary_sort(df: DataFrame, key: KeySpec, nodes: int, reduction_factor: int = 4, per_node: int = 32, seed: int = 7, hash_name: str = "portable") -> DataFrame:
     """Boundary-first sort: boundaries of all buckets first, then every record is routed once and sorted where it arrives."""
+    return global_rank(boundary_run(df, key, nodes, reduction_factor, per_node, seed, hash_name)[1], nodes).drop("_rid")
+
+
+def boundary_run(df: DataFrame, key: KeySpec, nodes: int, reduction_factor: int = 4, per_node: int = 32, seed: int = 7, hash_name: str = "portable") -> tuple[DataFrame, DataFrame]:
+    """The keys as they were placed and as the boundary-first sort routes them."""
     placed = staged(initial_shuffle(keyed_rows(df, key), nodes, seed, "exact", hash_name), "placed")
     cuts = staged(boundaries(placed, nodes, reduction_factor, per_node), "boundaries")
     routed = attach_pivots(placed.withColumn("grp", F.lit(0)), cuts.withColumn("grp", F.lit(0)), 1).withColumn("node", bucket_of("k", "pivots", nodes - 1)).drop("pivots", "grp")
-    return global_rank(routed, nodes).drop("_rid")
+    return placed, staged(routed, "routed")
 
 
 def single_scan_min(df: DataFrame, value: str) -> DataFrame:

@@ -15,10 +15,11 @@ def median_of(values: Column, upper: Column) -> Column:
     return F.get(values, at.cast("int"))
 
 
-def votes(local: DataFrame) -> DataFrame:
-    """``(grp, node, pivots)`` as rows ``(grp, j, idx, p)``; idx counts the group's nodes that have pivots."""
-    dense = (F.row_number().over(Window.partitionBy("grp").orderBy("node")) - 1).cast("int")
-    return local.filter("pivots is not null").withColumn("idx", dense).select("grp", "idx", F.posexplode("pivots").alias("j", "p"))
+def votes(local: DataFrame, width: int) -> DataFrame:
+    """``(grp, node, pivots)`` as rows ``(grp, j, idx, p)``; idx is the node's place in its group of ``width``, known without its neighbours.
+    A node without pivots leaves its place empty."""
+    idx = (F.col("node") - F.col("grp") * F.lit(width)).cast("int")
+    return local.filter("pivots is not null").select("grp", idx.alias("idx"), F.posexplode("pivots").alias("j", "p"))
 
 
 def median_level(rows: DataFrame, fan_in: int, level: int, rule: str = "alternating") -> DataFrame:
@@ -35,7 +36,7 @@ def median_tree(local: DataFrame, nodes: int, fan_in: int, rule: str = "alternat
 
     ``participants`` lets that many nodes of a group vote at most, spread evenly. ``rounds=True`` returns the rows of every round.
     """
-    rows = votes(local)
+    rows = votes(local, nodes)
     if participants and participants < nodes:
         step = -(-nodes // participants)
         rows = rows.filter(F.pmod("idx", F.lit(step)) == 0).withColumn("idx", F.floor(F.col("idx") / step).cast("int"))
@@ -54,7 +55,7 @@ def median_tree(local: DataFrame, nodes: int, fan_in: int, rule: str = "alternat
 
 def exact_median(local: DataFrame) -> DataFrame:
     """Baseline: the lower median of all nodes' pivots, each pivot of a group gathered in one place."""
-    ordered = votes(local).withColumn("at", F.row_number().over(Window.partitionBy("grp", "j").orderBy("p"))).withColumn("n", F.count("*").over(Window.partitionBy("grp", "j")))
+    ordered = votes(local, 0).withColumn("at", F.row_number().over(Window.partitionBy("grp", "j").orderBy("p"))).withColumn("n", F.count("*").over(Window.partitionBy("grp", "j")))
     middle = ordered.filter(F.col("at") == F.floor((F.col("n") + 1) / 2))
     return middle.groupBy("grp").agg(F.array_sort(F.collect_list("p")).alias("pivots"))
 

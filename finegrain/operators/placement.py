@@ -6,18 +6,22 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from finegrain.functions.hashing import HASHES
-from finegrain.operators.ranking import global_row_number
+from finegrain.operators.ranking import hash_row_number
+
+#: Rows that one range of the exact placement is meant to hold.
+RANGE_ROWS = 50_000
 
 
 def initial_shuffle(df: DataFrame, nodes: int, seed: int, how: str = "exact", hash_name: str = "portable") -> DataFrame:
     """Add ``node`` and ``origin_node`` to rows with ``_rid``.
 
-    ``exact``: equal numbers, in hash order (a distributed ranking). ``hash``: by hash alone. ``round_robin``: ``repartition``
+    ``exact``: equal numbers, in hash order (a distributed ranking over as many ranges as the rows need). ``hash``: by hash alone. ``round_robin``: ``repartition``
     and the partition's number, for physical runs.
     """
     h = HASHES[hash_name]
     if how == "exact":
-        ranked = global_row_number(df.withColumn("_h", h(seed, 0, "init", F.col("_rid"))), "_h", ["_rid"], "_rn", 16)
+        ranges = max(8, df.count() // RANGE_ROWS)
+        ranked = hash_row_number(df.withColumn("_h", h(seed, 0, "init", F.col("_rid"))), "_h", ["_rid"], "_rn", ranges)
         out = ranked.withColumn("node", F.pmod("_rn", F.lit(nodes)).cast("int")).drop("_h", "_rn")
     elif how == "hash":
         out = df.withColumn("node", F.pmod(h(seed, 0, "init", F.col("_rid")), F.lit(nodes)).cast("int"))

@@ -49,3 +49,14 @@ def global_row_number(df: DataFrame, key: str, ties: Sequence[str], name: str, b
     )
     # one row per range: bounded by the parameter
     return local.join(F.broadcast(starts), "_range").withColumn(name, F.col("_at") + F.col("_start")).drop("_range", "_at", "_start")
+
+
+def hash_row_number(df: DataFrame, key: str, ties: Sequence[str], name: str, ranges: int, top: int = 1 << 32) -> DataFrame:
+    """As :func:`global_row_number` for a ``key`` that is uniform in ``[0, top)``: its ranges are equal shares, so no pass looks for them."""
+    placed = df.withColumn("_range", F.least(F.floor(F.col(key) * F.lit(ranges / top)), F.lit(ranges - 1)).cast("int"))
+    order = [F.col(key).asc_nulls_first(), *(F.col(c).asc_nulls_first() for c in ties)]
+    local = placed.withColumn("_at", F.row_number().over(Window.partitionBy("_range").orderBy(*order)).cast("long") - 1)
+    sizes = placed.groupBy("_range").agg(F.count("*").alias("_n"))
+    # one row for each range
+    starts = sizes.select("_range", (F.sum("_n").over(Window.orderBy("_range")) - F.col("_n")).alias("_start"))
+    return local.join(F.broadcast(starts), "_range").withColumn(name, F.col("_at") + F.col("_start")).drop("_range", "_at", "_start")

@@ -14,7 +14,7 @@ from collections.abc import Sequence
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from finegrain.functions.hashing import HASHES
@@ -37,7 +37,7 @@ class SortConfig:
     nodes: int
     buckets: int = 16
     fan_in: int = 16
-    policy: str = "mixed"
+    policy: str | tuple[str, tuple[float, float]] = "mixed"
     rule: str = "alternating"
     seed: int = 7
     mode: str = "virtual"
@@ -215,9 +215,42 @@ def _fused_sort(df: DataFrame, key: KeySpec, cfg: SortConfig) -> SortResult:
     return SortResult(global_rank(moved, cfg.nodes, routed), rows, [], cfg)
 
 
+#: Keys of the sample that top-k and selection take their cut points from.
+CUT_SAMPLE = 8192
+
+
+def _cut_points(df: DataFrame, key: KeySpec, rows: int, first: float, last: float, cfg: SortConfig) -> DataFrame:
+    """One row ``(low, high)`` of keys that hold the ranks from ``first`` to ``last`` between them, four deviations of the sample's error
+    apart; null where the end of the order is nearer."""
+    share = min(1.0, CUT_SAMPLE / max(rows, 1))
+    h = HASHES[cfg.hash_name](cfg.seed, 0, "cut", F.col("_rid"))
+    sample = keyed_rows(df, key).filter(h < int(share * 2**32) + 1).agg(F.array_sort(F.collect_list("k")).alias("all"), F.count("*").alias("m"))
+
+    def at(rank: float, side: int) -> Column:
+        q = min(1.0, max(0.0, rank / max(rows, 1)))
+        place = F.lit(q) * F.col("m") + F.lit(float(side)) * (F.sqrt(F.lit(q * (1 - q)) * F.col("m")) * 4 + 4)
+        return F.when((place >= 0) & (place < F.col("m")), F.get("all", F.floor(place).cast("int")))
+
+    return sample.select(at(first, -1).alias("low"), at(last, 1).alias("high"))
+
+
+def _between(df: DataFrame, key: KeySpec, first: int, last: int, cfg: SortConfig) -> tuple[DataFrame, int]:
+    """The keyed rows that can have the ranks ``first`` to ``last``, and how many come before them: nothing else is ever moved."""
+    keys = keyed_rows(df, key)
+    cuts = staged(_cut_points(df, key, df.count(), first, last, cfg), "cut-points")
+    marked = keys.crossJoin(F.broadcast(cuts))  # one row
+    below, inside = F.coalesce(F.col("k") < F.col("low"), F.lit(False)), F.coalesce(F.col("k") <= F.col("high"), F.lit(True))
+    counts = marked.agg(F.count_if(below).alias("before"), F.count_if(~below & inside).alias("kept")).first()
+    if counts["before"] > first or counts["before"] + counts["kept"] <= last:
+        return keys, 0  # the sample was off, or the table ends before: all rows
+    return marked.filter(~below & inside).drop("low", "high"), counts["before"]
+
+
 def top_k(df: DataFrame, key: KeySpec, k: int, cfg: SortConfig) -> DataFrame:
-    """The k least rows with ``rank``: only the buckets that can hold them are carried on at each level."""
-    rows = staged(initial_shuffle(keyed_rows(df, key), cfg.nodes, cfg.seed, cfg.initial, cfg.hash_name), "placed")
+    """The k least rows with ``rank``: a cut point from a sample leaves few rows to sort, and of those only the buckets that can hold them are
+    carried on at each level."""
+    kept, _ = _between(df, key, 0, max(0, k - 1), cfg)
+    rows = staged(initial_shuffle(kept, cfg.nodes, cfg.seed, "hash", cfg.hash_name), "placed")
     for level in range(len(cfg.levels)):
         made = _one_level(rows, level, cfg)
         counts = made.routed.groupBy("grp", "bucket").agg(F.count("*").alias("n"))
@@ -228,10 +261,10 @@ def top_k(df: DataFrame, key: KeySpec, k: int, cfg: SortConfig) -> DataFrame:
 
 
 def select_rank(df: DataFrame, key: KeySpec, rank: int, cfg: SortConfig) -> DataFrame:
-    """The row of one rank (from 0): each level keeps the one bucket that holds it."""
-    rows = staged(initial_shuffle(keyed_rows(df, key), cfg.nodes, cfg.seed, cfg.initial, cfg.hash_name), "placed")
-    skipped = F.lit(0)
-    left = rank
+    """The row of one rank (from 0): two cut points leave the rows around it, and each level keeps the one bucket that holds it."""
+    kept, before_all = _between(df, key, rank, rank, cfg)
+    rows = staged(initial_shuffle(kept, cfg.nodes, cfg.seed, "hash", cfg.hash_name), "placed")
+    left = rank - before_all
     for level in range(len(cfg.levels)):
         made = _one_level(rows, level, cfg)
         counts = made.routed.groupBy("grp", "bucket").agg(F.count("*").alias("n"))
@@ -242,7 +275,7 @@ def select_rank(df: DataFrame, key: KeySpec, rank: int, cfg: SortConfig) -> Data
         left -= hit["_before"]
         rows = made.routed.filter((F.col("grp") == hit["grp"]) & (F.col("bucket") == hit["bucket"])).drop("grp", "bucket", "src")
     out = global_rank(rows, cfg.nodes).filter(F.col("rank") == left)
-    return out.withColumn("rank", (skipped + F.lit(rank)).cast("long")).drop("_rid")
+    return out.withColumn("rank", F.lit(rank).cast("long")).drop("_rid")
 
 
 def plan_levels(rows: int, row_bytes: int, partition_bytes: int = 256 << 20, most_blocks: int = 10**8) -> tuple[int, ...]:

@@ -108,6 +108,36 @@ def simulate(result: SortResult, p: NetworkProfile) -> DataFrame:
     return reduce(DataFrame.unionByName, [*parts, final, values])
 
 
+def simulate_boundary_sort(placed: DataFrame, routed: DataFrame, nodes: int, reduction_factor: int, per_node: int, p: NetworkProfile) -> DataFrame:
+    """Clock of the boundary-first sort: ``(step, node, ready_ns, done_ns)`` of the local sort, every level of pivot sorters, and the final sort.
+
+    Every node sorts its keys and sends its samples; a pivot sorter waits for its ``reduction_factor`` senders, takes their keys one
+    by one, sorts them and sends its own on; the root sends the ``nodes - 1`` boundaries to every node (to all at once only where the network
+    multicasts); keys then go out and are sorted where they arrive.
+    """
+    everyone = placed.sparkSession.range(nodes).select(F.col("id").cast("int").alias("node"))
+    held = everyone.join(placed.groupBy("node").agg(F.count("*").alias("n")), "node", "left").na.fill({"n": 0})
+    local = held.withColumn("ready_ns", F.lit(0.0)).withColumn("done_ns", sort_ns(F.col("n"), p) + F.lit(p.scan_ns) * F.col("n") + F.lit(per_node * p.send_ns))
+    parts = [local.select(F.lit(0).alias("step"), "node", "ready_ns", "done_ns")]
+    state, size, left = local.select("node", "done_ns"), per_node, nodes
+    for step in range(1, depth(nodes, reduction_factor) + 1):
+        hop, left = p.hop(min(nodes, reduction_factor**step)), -(-left // reduction_factor)
+        forward = nodes - 1 if left == 1 else min(nodes - 1, per_node * reduction_factor**step)
+        got = state.groupBy(F.floor(F.col("node") / reduction_factor).cast("int").alias("node")).agg((F.max("done_ns") + F.lit(hop)).alias("ready_ns"), (F.count("*") * size).alias("n"))
+        work = F.lit(p.first_receive_ns) + (F.col("n") - 1) * F.lit(p.next_receive_ns) + sort_ns(F.col("n"), p) + F.lit(forward * p.send_ns)
+        state = got.withColumn("done_ns", F.col("ready_ns") + work)
+        parts.append(state.select(F.lit(step).alias("step"), "node", "ready_ns", "done_ns"))
+        size = forward
+    copies = 1 if p.multicast else nodes
+    told = state.select((F.col("done_ns") + F.lit((nodes - 1) * (copies - 1) * p.send_ns + p.hop(nodes) + p.receive(nodes - 1))).alias("told_ns"))
+    came = routed.groupBy("node").agg(F.count("*").alias("got"))
+    last = held.join(came, "node", "left").na.fill({"got": 0}).crossJoin(F.broadcast(told))  # one row
+    arrive = F.col("told_ns") + F.max(F.col("n") * p.send_ns).over(Window.partitionBy(F.lit(0))) + F.lit(p.hop(nodes)) + F.col("got") * F.lit(p.next_receive_ns)  # a row a node
+    last = last.withColumn("ready_ns", arrive).withColumn("done_ns", F.col("ready_ns") + sort_ns(F.col("got"), p))
+    parts.append(last.select(F.lit(len(parts)).alias("step"), "node", "ready_ns", "done_ns"))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def makespan(clock: DataFrame) -> DataFrame:
     """End of the sort and of the values' shuffle, total idle time, compute to communication."""
     last = clock.agg(F.max("level").alias("m")).first()["m"]
@@ -135,12 +165,18 @@ def waits(clock: DataFrame) -> DataFrame:
     return clock.withColumn("wait_ns", F.col("ready_ns") - F.lag("done_ns").over(over)).select("level", "node", "wait_ns")
 
 
-def reorder_depth(clock: DataFrame, messages: DataFrame) -> DataFrame:
-    """Messages of a level that reach a node before the node's own previous level is done: what a reordering buffer holds."""
+def reorder_depth(clock: DataFrame, messages: DataFrame, p: NetworkProfile) -> DataFrame:
+    """Messages of a level that reach a node before the node is done with that level's own sending: what a reordering buffer holds.
+
+    A message arrives a hop after its sender has sent (inside a leaf or across) and takes a receive. Messages in ``messages`` are sums over
+    a pair of nodes, which share their time; delays of single messages are not in them.
+    """
     times = clock.select("level", "node", "done_ns")
     sent = messages.join(times.select("level", F.col("node").alias("src"), F.col("done_ns").alias("sent_ns")), ["level", "src"])
     own = times.select("level", F.col("node").alias("dst"), F.col("done_ns").alias("busy_ns"))
-    return sent.join(own, ["level", "dst"]).groupBy("level").agg(F.sum(F.when(F.col("sent_ns") < F.col("busy_ns"), F.col("n_msgs")).otherwise(0)).alias("early"), F.sum("n_msgs").alias("n_msgs"))
+    hop = F.when(F.floor(F.col("src") / p.leaf_nodes) == F.floor(F.col("dst") / p.leaf_nodes), F.lit(p.near_ns)).otherwise(F.lit(p.far_ns))
+    early = F.col("sent_ns") + hop + F.lit(p.first_receive_ns) < F.col("busy_ns")
+    return sent.join(own, ["level", "dst"]).groupBy("level").agg(F.sum(F.when(early, F.col("n_msgs")).otherwise(0)).alias("early"), F.sum("n_msgs").alias("n_msgs"))
 
 
 def graph_shape(workers: int, fan_in: int) -> list[tuple[int, int]]:

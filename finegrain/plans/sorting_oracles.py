@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from finegrain.functions.pivots import weight_table
 from finegrain.operators.treemerge import depth
 
 
@@ -63,6 +64,47 @@ def _double(b: int, size: int) -> str:
         SELECT node::INT AS node, ((r - s) // 2 - 1)::INT AS j, value, event_id FROM o WHERE (r - s) % 2 = 0 AND r - s BETWEEN 2 AND {2 * b - 2}"""
 
 
+def _policy_ctes() -> str:
+    """Pivots of all events by policy, from a tenth as many nodes of ten keys: CTE ``piv(policy, j, value, event_id)``.
+
+    Six rounds of medians are enough for a million nodes; a round over one row changes nothing.
+    """
+    parts = [
+        "c AS (SELECT greatest(1, count(*) // 10) AS nodes FROM events)",
+        f"p AS (SELECT event_id, value, (row_number() OVER (ORDER BY {digest(7, 0, 'init', 'event_id')}, event_id::VARCHAR) - 1) % (SELECT nodes FROM c) AS node FROM events)",
+        "o AS (SELECT *, row_number() OVER (PARTITION BY node ORDER BY value, event_id) AS r FROM p)",
+        f"u AS (SELECT *, {digest(7, 0, 'case', 'node')} / 4294967296.0 AS u, {digest(7, 0, 'drop', 'node')} % 10 AS d FROM o)",
+    ]
+    chosen = []
+    for name, shares in (("naive", NAIVE), ("shifted", SHIFTED), ("mixed", MIXED)):
+        keep = f"CASE WHEN u < {shares[0]} THEN r - 1 <> d WHEN u < {shares[0] + shares[1]} THEN r < 10 ELSE r > 1 END"
+        chosen.append(f"SELECT '{name}' AS policy, node, row_number() OVER (PARTITION BY node ORDER BY r) - 1 AS j, value, event_id FROM u WHERE {keep}")
+    for name, policy in (("calibrated", "calibrated"), ("two_point", ("mix", (0.8, 0.2)))):
+        rows = ", ".join(f"({j}, {i}, {w!r}::DOUBLE)" for j, ((i, w), _) in enumerate(weight_table(10, policy)[0], 1))
+        picked = f"SELECT x.node, w.j, w.i + CASE WHEN {digest(7, 0, 'mix', 'x.node', 'w.j')} / 4294967296.0 < w.w THEN 0 ELSE 1 END AS r FROM (SELECT DISTINCT node FROM o) x, (VALUES {rows}) w(j, i, w)"
+        chosen.append(f"SELECT '{name}' AS policy, o.node, row_number() OVER (PARTITION BY o.node ORDER BY o.r) - 1 AS j, o.value, o.event_id FROM ({picked}) q JOIN o ON o.node = q.node AND o.r = q.r")
+    parts.append(f"t0 AS (SELECT policy, j, node AS idx, value, event_id FROM ({' UNION ALL '.join(chosen)}))")
+    for t in range(1, 7):
+        over = "PARTITION BY policy, j, idx // 10"
+        parts.append(
+            f"t{t} AS (SELECT policy, j, idx // 10 AS idx, value, event_id FROM t{t - 1} QUALIFY row_number() OVER ({over} ORDER BY value, event_id) = "
+            f"CASE WHEN (idx // 10 + {t}) % 2 = 1 THEN count(*) OVER ({over}) // 2 + 1 ELSE (count(*) OVER ({over}) - 1) // 2 + 1 END)"
+        )
+    parts.append("piv AS (SELECT policy, (row_number() OVER (PARTITION BY policy ORDER BY value, event_id) - 1)::INT AS j, value, event_id FROM t6)")
+    return "WITH " + ",\n".join(parts)
+
+
+def _profile_sql(policy: tuple[float, float, float], b: int = 8, keys: int = 8, trials: int = 4000, seed: int = 1) -> str:
+    """Median over trials of the pivots of one node with as many uniform keys as buckets, and the bucket sizes that follow."""
+    h = lambda *ids: "('0x'||substr(md5('" + str(seed) + "|'||" + "||'|'||".join(ids) + "),1,8))::BIGINT"
+    low = policy[0] + policy[1]
+    return f"""WITH s AS (SELECT t, i, {h("'key'", 't::VARCHAR', 'i::VARCHAR')} / 4294967296.0::DOUBLE AS x, {h("'case'", 't::VARCHAR')} / 4294967296.0 AS u, {h("'drop'", 't::VARCHAR')} % {b} AS d FROM range({trials}) a(t), range({keys}) c(i)),
+        o AS (SELECT *, row_number() OVER (PARTITION BY t ORDER BY x) AS r FROM s),
+        k AS (SELECT t, x, row_number() OVER (PARTITION BY t ORDER BY r) AS j FROM o WHERE CASE WHEN u < {policy[0]} THEN r - 1 <> d WHEN u < {low} THEN r < {b} ELSE r > 1 END),
+        m AS (SELECT j, quantile_disc(x, 0.5) AS cut FROM k GROUP BY j UNION ALL SELECT 0, 0.0)
+        SELECT j::INT AS bucket, (coalesce(lead(cut) OVER (ORDER BY j), 1.0) - cut) * {b} AS size FROM m"""
+
+
 MIXED, NAIVE, SHIFTED = (0.25, 0.375, 0.375), (1.0, 0.0, 0.0), (0.0, 0.5, 0.5)
 
 
@@ -76,7 +118,7 @@ def oracle_sql() -> dict[str, str]:
         "rbs_rank_lineitem_price": rank_sql("lineitem", f"l_extendedprice, {line}", f"l_extendedprice, {line}"),
         "rbs_rank_lineitem_quantity_ties": rank_sql("lineitem", f"l_quantity, l_extendedprice, {line}", f"l_quantity, l_extendedprice, {line}"),
         "rbs_rank_events_value_desc": rank_sql("events", "value, event_id", "value DESC, event_id"),
-        "rbs_rank_events_ts": rank_sql("events", "event_id", "event_id"),
+        "rbs_rank_events_ts": rank_sql("events", "event_id", "ts, event_id"),
         "rbs_rank_documents_nchars": rank_sql("documents", "n_chars, doc_id", "n_chars, doc_id"),
         "rbs_rank_customer_multi_key": rank_sql("customer", "c_mktsegment, c_acctbal, c_custkey", "c_mktsegment, c_acctbal DESC, c_custkey"),
         "rbs_rank_part_name_desc": rank_sql("part", "p_name, p_partkey", "p_name DESC, p_partkey"),
@@ -131,6 +173,28 @@ def oracle_sql() -> dict[str, str]:
         "udtf_pivots": """WITH o AS (SELECT (event_id // 64)::INT AS node, value, row_number() OVER (PARTITION BY event_id // 64 ORDER BY value) AS r FROM events WHERE event_id < 640)
             SELECT node, 64 AS n, (r // 16 - 1)::INT AS j, value AS pivot FROM o WHERE r IN (16, 32, 48)""",
     }
+    out |= {
+        "policy_pivots": f"{_policy_ctes()} SELECT policy, j, value, event_id FROM piv",
+        "policy_buckets": f"""{_policy_ctes()}, e AS (SELECT q.policy, e.event_id, count(*) FILTER (WHERE q.value < e.value OR (q.value = e.value AND q.event_id <= e.event_id))::INT AS bucket
+            FROM events e, piv q GROUP BY ALL) SELECT policy, bucket, count(*) AS n FROM e GROUP BY ALL""",
+        "bucket_profile_naive": _profile_sql(NAIVE),
+        "bucket_profile_shifted": _profile_sql(SHIFTED),
+        "bucket_profile_mixed": _profile_sql(MIXED),
+        "rbs_messages_measured": f"""SELECT level, phase, sum(n)::BIGINT AS n_msgs, sum(n * size)::BIGINT AS n_bytes FROM ({two},
+            g AS (SELECT 0 AS level, count(DISTINCT node) AS nodes, count(DISTINCT grp) AS grps FROM l0_sample UNION ALL SELECT 1, count(DISTINCT node), count(DISTINCT grp) FROM l1_sample)
+            SELECT -1 AS level, 'initial' AS phase, count(*) AS n, 16 AS size FROM placed UNION ALL SELECT level, 'pivots_up', 7 * nodes, 16 FROM g UNION ALL SELECT level, 'pivots_down', 7 * grps, 16 FROM g
+            UNION ALL SELECT 0, 'keys', count(*), 16 FROM l0_routed UNION ALL SELECT 1, 'keys', count(*), 16 FROM l1_routed UNION ALL SELECT 2, 'payload', count(*), 104 FROM l1_routed) GROUP BY ALL""",
+        "rbs_node_load": f"""{two}, n AS (SELECT 0 AS level, 'sent' AS side, node, count(*) AS n FROM placed GROUP BY node UNION ALL SELECT 0, 'received', node, count(*) FROM l0_routed GROUP BY node
+            UNION ALL SELECT 1, 'sent', node, count(*) FROM l0_routed GROUP BY node UNION ALL SELECT 1, 'received', node, count(*) FROM l1_routed GROUP BY node)
+            SELECT level, side, max(n) AS most, avg(n) AS mean FROM n GROUP BY ALL""",
+    }
+    for name, nodes, rank, trials in (("quantile_smallest_of_9", (25, 100, 400), 1, 60), ("pivot_spread", (16, 64, 256), 5, 80)):
+        parts = [
+            f"""SELECT {n} AS nodes, avg(q) AS mean, stddev_samp(q) AS std FROM (SELECT trial, quantile_cont(q, 0.5) AS q FROM (SELECT node // {n} AS trial, x AS q FROM (SELECT node, ('0x'||substr(md5('3|{n}|'||i||'|'||node),1,8))::BIGINT / 4294967296.0::DOUBLE AS x
+            FROM range({trials * n}) a(node), range(9) b(i)) QUALIFY row_number() OVER (PARTITION BY node ORDER BY x) = {rank}) GROUP BY trial)"""
+            for n in nodes
+        ]
+        out[name] = " UNION ALL ".join(parts)
     ledger = out["rbs_messages"]
     out["rbs_traffic_cube"] = f"SELECT level, phase, sum(n_msgs)::BIGINT AS n_msgs, sum(n_bytes)::BIGINT AS n_bytes FROM ({ledger}) GROUP BY CUBE (level, phase)"
     return out

@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from finegrain.functions.hashing import portable_hash
 from finegrain.functions.keys import KeySpec
-from finegrain.functions.pivots import POLICIES, case_between, case_double, case_equal, case_short
+from finegrain.functions.pivots import POLICIES, case_between, case_double, case_equal, case_short, pick_pivots
 from finegrain.operators import baselines, mediantree, payload, placement
-from finegrain.operators.sorter import SortConfig, recursive_sort, select_rank, top_k
+from finegrain.operators.sorter import SortConfig, attach_pivots, global_rank, keyed_rows, local_sample, recursive_sort, select_rank, top_k
 from finegrain.plans import measures, messages
 from finegrain.plans.profile import PRESETS
 from finegrain.sources.staging import fresh_path, staged
@@ -19,7 +21,7 @@ from finegrain.sources.tables import load
 
 Query = Callable[[SparkSession, str], DataFrame]
 
-ORDERS = KeySpec.of("o_totalprice", "o_orderkey")
+ORDERS, EVENTS = KeySpec.of("o_totalprice", "o_orderkey"), KeySpec.of("value", "event_id")
 LINE_ID = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
 SMALL = SortConfig(64, 8, 16)
 
@@ -33,6 +35,12 @@ def _ranks(table: str, key: KeySpec, cfg: SortConfig, *columns: str) -> Query:
     return query
 
 
+def rbs_rank_events_ts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events by time."""
+    ranked = recursive_sort(load(spark, sf_dir, "events", ["event_id", "ts"]), KeySpec.of("ts", "event_id"), SMALL).df
+    return ranked.select("event_id", "rank")
+
+
 def rbs_payload_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Keys are sorted alone; the texts join them at the end."""
     docs = load(spark, sf_dir, "documents", ["doc_id", "n_chars", "lang", "text"])
@@ -73,17 +81,56 @@ def rbs_final_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _level(spark, sf_dir, SortConfig(16, 16, 16), 0).routed.groupBy("node").agg(F.count("*").alias("n"))
 
 
+#: Policies by name; the two-point mixture is the published one.
+ALL_POLICIES = {**{p: p for p in POLICIES}, "calibrated": "calibrated", "two_point": ("mix", (0.8, 0.2))}
+
+
 def rbs_skew(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Final skew by pivot policy."""
+    """Final skew by pivot policy where it matters: about as many keys a node as buckets (1,000 nodes of ten keys at sf0.01)."""
     out = None
-    orders = load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"])
-    for policy in (*POLICIES, "full_quantile"):
-        ranked = recursive_sort(orders, ORDERS, SortConfig(64, 8, 16, policy=policy)).df
-        row = measures.skew(ranked, 64).withColumn("policy", F.lit(policy))
+    events = load(spark, sf_dir, "events", ["event_id", "value"])
+    nodes = 10 ** max(1, round(math.log10(max(events.count(), 1))) - 1)
+    for name, policy in (*ALL_POLICIES.items(), ("full_quantile", "full_quantile")):
+        ranked = recursive_sort(events, EVENTS, SortConfig(nodes, 10, 10, policy=policy)).df
+        row = measures.skew(ranked, nodes).withColumn("policy", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
 
 
+def _ten_a_node(spark: SparkSession, sf_dir: str):
+    """Events on a tenth as many nodes, ten keys each, in hash order: ``(node, sample)``, and all keys ``k``."""
+    keys = keyed_rows(load(spark, sf_dir, "events", ["event_id", "value"]), EVENTS)
+    nodes = max(1, keys.count() // 10)
+    placed = staged(placement.initial_shuffle(keys, nodes, 7), "placed")
+    cfg = SortConfig(nodes, radices=(nodes,)) if nodes > 1 else SortConfig(1)
+    sample = local_sample(placed.withColumn("grp", F.lit(0)), 0, cfg, 10)
+    return placed, staged(sample, "samples"), nodes
+
+
+def _policy_pivots(sample: DataFrame, nodes: int, policy) -> DataFrame:
+    draw = lambda purpose, *more: portable_hash(7, 0, purpose, F.col("node"), *more)
+    local = sample.select("grp", "node", pick_pivots(F.col("keys"), 10, draw, policy).alias("pivots"))
+    return mediantree.median_tree(local, nodes, 10)
+
+
+def policy_pivots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The nine pivots of all events by policy, from nodes of ten keys and trees of medians with fan-in ten."""
+    _, sample, nodes = _ten_a_node(spark, sf_dir)
+    parts = [_policy_pivots(sample, nodes, policy).select(F.lit(name).alias("policy"), F.posexplode("pivots").alias("j", "p")) for name, policy in ALL_POLICIES.items()]
+    return reduce(DataFrame.unionByName, parts).select("policy", "j", F.col("p.c0_0").alias("value"), F.col("p.r0").alias("event_id"))
+
+
+def policy_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events in each of the ten buckets that a policy's pivots make."""
+    placed, sample, nodes = _ten_a_node(spark, sf_dir)
+    parts = []
+    for name, policy in ALL_POLICIES.items():
+        cuts = staged(_policy_pivots(sample, nodes, policy), "policy-pivots")
+        bucketed = attach_pivots(placed.withColumn("grp", F.lit(0)), cuts, 1).select(placement.bucket_of("k", "pivots", 9).alias("bucket"))
+        parts.append(bucketed.groupBy("bucket").agg(F.count("*").alias("n")).withColumn("policy", F.lit(name)))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def rbs_messages(spark: SparkSession, sf_dir: str) -> DataFrame:
     keys = load(spark, sf_dir, "orders", ["o_orderkey"]).count()
     return messages.planned_ledger(spark, 64, keys, (8, 8), PRESETS["simulated"])
@@ -137,8 +184,6 @@ def bfs_reduction_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 def bfs_boundaries(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The root's boundaries of 64 buckets from 64 nodes, one round of pivot sorters."""
     events = load(spark, sf_dir, "events", ["event_id", "value"]).filter("event_id < 4096")
-    from finegrain.operators.sorter import keyed_rows
-
     placed = placement.initial_shuffle(keyed_rows(events, KeySpec.of("value", "event_id")), 64, 7)
     cuts = baselines.boundaries(placed, 64, 64, 8)
     return cuts.select(F.posexplode("pivots").alias("j", "p")).select("j", F.col("p.c0_0").alias("value"), F.col("p.r0").alias("event_id"))
@@ -147,8 +192,6 @@ def bfs_boundaries(spark: SparkSession, sf_dir: str) -> DataFrame:
 def builtin_sort_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Spark's range-partitioned sort; ranks by partition offsets as for the other sorts."""
     orders = baselines.builtin_sort(load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"]), "o_totalprice", "o_orderkey")
-    from finegrain.operators.sorter import global_rank
-
     placed = orders.withColumn("node", F.spark_partition_id()).withColumn("k", F.struct("o_totalprice", "o_orderkey"))
     return global_rank(staged(placed, "ranges"), 4096).select("o_orderkey", "o_totalprice", "rank")
 
@@ -203,7 +246,8 @@ def exact_median_pivots(spark: SparkSession, sf_dir: str) -> DataFrame:
 def median_tree_vs_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rank distance, among all keys, of the tree's pivots from the exact medians."""
     orders = load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"])
-    ranks = orders.select("o_orderkey", F.percent_rank().over(Window.orderBy("o_totalprice", "o_orderkey")).alias("q"))
+    n = orders.count()
+    ranks = recursive_sort(orders, ORDERS, SMALL).df.select("o_orderkey", (F.col("rank") / F.lit(max(n - 1, 1))).alias("q"))
     made = recursive_sort(orders, ORDERS, SortConfig(64, 64, 4, policy="full_quantile")).levels[0]
     tree = made.pivots.select(F.posexplode("pivots").alias("j", "p")).select("j", F.col("p.r0").alias("o_orderkey")).join(ranks, "o_orderkey").select("j", F.col("q").alias("tree_q"))
     exact = mediantree.exact_median(made.local).select(F.posexplode("pivots").alias("j", "p")).select("j", F.col("p.r0").alias("o_orderkey")).join(ranks, "o_orderkey").select("j", F.col("q").alias("exact_q"))
@@ -278,7 +322,7 @@ def queries() -> dict[str, Query]:
         "rbs_rank_lineitem_price": _ranks("lineitem", KeySpec.of("l_extendedprice", LINE_ID), SortConfig(4096, 16, 16)),
         "rbs_rank_lineitem_quantity_ties": _ranks("lineitem", KeySpec.of("l_quantity", ["l_extendedprice", *LINE_ID]), SortConfig(256, 16, 16)),
         "rbs_rank_events_value_desc": _ranks("events", KeySpec.of("-value", "event_id"), SMALL),
-        "rbs_rank_events_ts": _ranks("events", KeySpec.of("event_id", "event_id"), SMALL),
+        "rbs_rank_events_ts": rbs_rank_events_ts,
         "rbs_rank_documents_nchars": _ranks("documents", KeySpec.of("n_chars", "doc_id"), SortConfig(16, 4, 4)),
         "rbs_rank_customer_multi_key": _ranks("customer", KeySpec.of(["c_mktsegment", "-c_acctbal"], "c_custkey"), SortConfig(16, 4, 4)),
         "rbs_rank_part_name_desc": _ranks("part", KeySpec.of(["-p_name"], "p_partkey"), SortConfig(16, 4, 4)),
@@ -312,7 +356,7 @@ def queries() -> dict[str, Query]:
     for f in (
         rbs_payload_documents, rbs_initial_shuffle, rbs_level0_local_pivots, rbs_level0_median_tree, rbs_level0_route, rbs_level1_route, rbs_final_counts, rbs_skew, rbs_messages,
         rbs_messages_measured, rbs_traffic_cube, rbs_group_isolation, rbs_verify, rbs_node_load, bfs_rank_events, bfs_reduction_sweep, bfs_boundaries, builtin_sort_orders, single_sort_part, single_scan_min,
-        global_random_pivots, proportional_nodes, exact_median_pivots, median_tree_vs_exact, quantile_smallest_of_9, top_k_lineitem, select_rank_lineitem, global_quantiles, range_lookup, sql_functions_route, udtf_pivots,
+        policy_pivots, policy_buckets, global_random_pivots, proportional_nodes, exact_median_pivots, median_tree_vs_exact, quantile_smallest_of_9, top_k_lineitem, select_rank_lineitem, global_quantiles, range_lookup, sql_functions_route, udtf_pivots,
     ):
         out[f.__name__] = f
     return out
