@@ -8,13 +8,15 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from finegrain.functions.hashing import fast_hash
 from finegrain.functions.keys import KeySpec
 from finegrain.functions.pivots import expected_buckets, median_quantile
 from finegrain.functions.udfs import median_element
 from finegrain.operators import apps, baselines, microtasks
-from finegrain.operators.mediantree import median_tree
+from finegrain.operators.mediantree import best_fan_in, median_tree
+from finegrain.operators.ranking import hash_row_number
 from finegrain.operators.sorter import SortConfig, recursive_sort
-from finegrain.operators.treemerge import tree_merge
+from finegrain.operators.treemerge import depth, tree_merge
 from finegrain.plans import costmodel, measures, messages
 from finegrain.plans.profile import PRESETS, NetworkProfile
 from finegrain.sources.staging import staged
@@ -25,6 +27,8 @@ Query = Callable[[SparkSession, str], DataFrame]
 PUBLISHED_TREE, SIMULATED = PRESETS["tree_merge_published"], PRESETS["simulated"]
 EVENT_KEY = KeySpec.of("value", "event_id")
 ORDER_KEY = KeySpec.of("o_totalprice", "o_orderkey")
+SIZED_KEY = KeySpec.of("price", "rid")
+LINE_ID = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
 
 
 def _events(spark: SparkSession, sf_dir: str, n: int, *columns: str) -> DataFrame:
@@ -109,9 +113,12 @@ def _clock_row(result, profile: NetworkProfile, **facts) -> DataFrame:
 
 
 def cost_tail_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Modelled time of 256 nodes with 32 keys by the delay of 1 % of messages."""
-    result = recursive_sort(_events(spark, sf_dir, 8192), EVENT_KEY, SortConfig(256, 16, 16))
-    return _union([_clock_row(result, SIMULATED.with_(tail_ns=float(ns)), tail_ns=ns) for ns in (0, 1000, 2000, 4000)])
+    """Modelled time of 256 nodes with 32 keys by the delay of 1 % of messages, for 16 and for 8 buckets (the text and the caption differ)."""
+    parts = []
+    for buckets, radices in ((16, (16, 16)), (8, (8, 8, 4))):
+        result = recursive_sort(_events(spark, sf_dir, 8192), EVENT_KEY, SortConfig(256, fan_in=16, radices=radices))
+        parts += [_clock_row(result, SIMULATED.with_(tail_ns=float(ns)), buckets=buckets, tail_ns=ns) for ns in (0, 1000, 2000, 4000)]
+    return _union(parts)
 
 
 def cost_switch_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -123,9 +130,19 @@ def cost_switch_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _union(parts)
 
 
+def _sized(spark: SparkSession, sf_dir: str, keys: int) -> DataFrame:
+    """So many keys ``(k, rid)``: prices of line items, as many copies of the table as they need, the first by a hash of the copy and the
+    row. Copies of a price differ in their record id alone."""
+    lines = load(spark, sf_dir, "lineitem", [*LINE_ID, "l_extendedprice"])
+    copies = max(1, -(-keys // max(1, lines.count())))
+    spread = lines.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(copies)))).select(F.col("l_extendedprice").alias("price"), F.concat_ws(".", "l_extendedprice", *LINE_ID, "copy").alias("rid"))
+    numbered = hash_row_number(spread.withColumn("h", fast_hash(F.col("rid"))), "h", ["rid", "price"], "at", max(8, keys // 50_000))
+    return staged(numbered.filter(F.col("at") < keys).select("price", "rid"), "sized-keys")
+
+
 def cost_multicast_clock(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Modelled time with and without multicast."""
-    result = recursive_sort(load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"]), ORDER_KEY, SortConfig(256, 16, 16))
+    """Modelled time of 131,072 keys on 4,096 nodes with and without multicast."""
+    result = recursive_sort(_sized(spark, sf_dir, 131072), SIZED_KEY, SortConfig(4096, 16, 16, hash_name="fast"))
     return _union([_clock_row(result, SIMULATED.with_(multicast=m), multicast=m) for m in (True, False)])
 
 
@@ -141,23 +158,22 @@ def cost_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def cost_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Modelled time and skew by number of keys on 256 nodes (4 to 32 keys a node where the table has them)."""
-    orders = load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"])
+    """Modelled time and skew of 4,096 nodes by number of keys: 16,384 (4 a node) to 262,144 (64 a node)."""
     parts = []
-    for per_node in (4, 8, 16, 32):
-        result = recursive_sort(orders.filter(F.col("o_orderkey") < 256 * per_node), ORDER_KEY, SortConfig(256, 16, 16))
-        parts.append(_clock_row(result, SIMULATED, per_node=per_node).crossJoin(F.broadcast(measures.skew(result.df, 256).select("most", "skew"))))
+    for per_node in (4, 16, 64):
+        result = recursive_sort(_sized(spark, sf_dir, 4096 * per_node), SIZED_KEY, SortConfig(4096, 16, 16, hash_name="fast"))
+        parts.append(_clock_row(result, SIMULATED, per_node=per_node).crossJoin(F.broadcast(measures.skew(result.df, 4096).select("most", "skew"))))
     return _union(parts)
 
 
 def skew_by_visibility(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Final skew by keys a node, with capped samples and with full quantiles."""
-    orders = load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"])
+    """Final skew of 4,096 nodes by keys a node, with capped samples and with full quantiles."""
     parts = []
-    for per_node in (4, 32, 58):
+    for per_node in (4, 64):
+        keys = _sized(spark, sf_dir, 4096 * per_node)
         for policy in ("mixed", "full_quantile"):
-            ranked = recursive_sort(orders.filter(F.col("o_orderkey") < 256 * per_node), ORDER_KEY, SortConfig(256, 16, 16, policy=policy)).df
-            parts.append(measures.skew(ranked, 256).withColumn("per_node", F.lit(per_node)).withColumn("policy", F.lit(policy)))
+            ranked = recursive_sort(keys, SIZED_KEY, SortConfig(4096, 16, 16, policy=policy, hash_name="fast")).df
+            parts.append(measures.skew(ranked, 4096).withColumn("per_node", F.lit(per_node)).withColumn("policy", F.lit(policy)))
     return _union(parts)
 
 
@@ -180,6 +196,14 @@ def flagship_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
     return row.withColumn("records_per_ms_core", F.lit(float(keys)) / (F.col("sort_ns") / 1e6) / F.lit(4096))
 
 
+def flagship_full(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The published flagship: 1,048,576 keys on 65,536 nodes, 16 a node, 16 buckets and fan-in; modelled time, idle time and keys per
+    millisecond and core."""
+    result = recursive_sort(_sized(spark, sf_dir, 1 << 20), SIZED_KEY, SortConfig(1 << 16, 16, 16, hash_name="fast"))
+    row = costmodel.makespan(staged(costmodel.simulate(result, SIMULATED), "clock"))
+    return row.withColumn("records_per_ms_core", F.lit(float(1 << 20)) / (F.col("sort_ns") / 1e6) / F.lit(1 << 16))
+
+
 def idle_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
     result = recursive_sort(_events(spark, sf_dir, 4096), EVENT_KEY, SortConfig(256, 4, 8))
     clock = staged(costmodel.simulate(result, SIMULATED), "clock")
@@ -189,19 +213,45 @@ def idle_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
 def reorder_buffer(spark: SparkSession, sf_dir: str) -> DataFrame:
     result = recursive_sort(_events(spark, sf_dir, 4096), EVENT_KEY, SortConfig(256, 4, 8))
     clock = staged(costmodel.simulate(result, SIMULATED), "clock")
-    return costmodel.reorder_depth(clock, messages.key_messages(result))
+    return costmodel.reorder_depth(clock, messages.key_messages(result), SIMULATED)
+
+
+#: The baseline sends its boundaries to every node one by one.
+BASELINE_NET = SIMULATED.with_(multicast=False)
+
+
+def _boundary_clock(keys: DataFrame, nodes: int, factor: int, per_node: int, facts: dict) -> DataFrame:
+    placed, routed = baselines.boundary_run(keys, EVENT_KEY, nodes, factor, per_node)
+    clock = costmodel.simulate_boundary_sort(placed, routed, nodes, factor, per_node, BASELINE_NET)
+    last = depth(nodes, factor) + 1
+    pivots = F.max(F.when(F.col("step") == last - 1, F.col("done_ns"))).alias("pivots_ns")
+    return clock.agg(F.max("done_ns").alias("sort_ns"), pivots).select(*(F.lit(v).alias(k) for k, v in facts.items()), "sort_ns", "pivots_ns")
 
 
 def bfs_cores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pivot-sorter messages of the boundary-first sort by number of nodes: they grow with it, those of a level here do not."""
-    rows = []
-    for nodes in (64, 128, 256):
-        keys, left, sent = 16 * nodes, nodes, 0
-        while left > 1:
-            sent += left * min(nodes - 1, 32)
-            left = -(-left // 4)
-        rows.append((nodes, keys, sent + nodes * (nodes - 1)))
-    return spark.createDataFrame(rows, "nodes int, keys int, boundary_msgs long")
+    """Modelled time of the boundary-first sort by number of nodes, 16 keys a node, fan-in 4: boundaries grow with the nodes."""
+    return _union([_boundary_clock(_events(spark, sf_dir, 16 * nodes), nodes, 4, 16, {"nodes": nodes, "keys": 16 * nodes}) for nodes in (64, 128, 256)])
+
+
+def bfs_reduction_clock(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Modelled time of the boundary-first sort of 4,096 keys on 128 nodes by reduction factor: each pivot sorter's load grows with it."""
+    return _union([_boundary_clock(_events(spark, sf_dir, 4096), 128, factor, 32, {"reduction_factor": factor}) for factor in (2, 4, 8, 16, 32, 64)])
+
+
+def rbs_against_bfs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Modelled time of both sorts on the same keys, 16 a node, and the speed-up."""
+    parts = []
+    for nodes, radices in ((64, (8, 8)), (128, (8, 16)), (256, (16, 16))):
+        keys = staged(_events(spark, sf_dir, 16 * nodes), "events")
+        ours = _clock_row(recursive_sort(keys, EVENT_KEY, SortConfig(nodes, fan_in=8, radices=radices)), SIMULATED).select(F.col("sort_ns").alias("rbs_ns"))
+        parts.append(_boundary_clock(keys, nodes, 4, 16, {"nodes": nodes}).select("nodes", F.col("sort_ns").alias("bfs_ns")).crossJoin(F.broadcast(ours)))
+    return _union(parts).withColumn("speedup", F.col("bfs_ns") / F.col("rbs_ns"))
+
+
+def median_tree_tuned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fan-in of the median tree with the least modelled latency, by nodes and hop."""
+    rows = [(nodes, hop, best_fan_in(nodes, float(hop))) for nodes in (64, 256, 4096, 65536) for hop in (100, 349, 961)]
+    return spark.createDataFrame(rows, "nodes int, hop_ns int, fan_in int")
 
 
 def throughput_table(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -344,7 +394,7 @@ def queries() -> dict[str, Query]:
     out["tree_max"] = _tree(8, "max")
     for f in (
         tree_count, tree_sum, tree_bit_or, tree_distinct_sketch, tree_min_by_type, tree_partials_level1, map_reduce_length, cost_tree_merge, best_tree, cost_receive_send, graph_shape, cost_multicast, cost_tail_latency,
-        cost_switch_latency, cost_multicast_clock, cost_buckets, cost_keys, skew_by_visibility, flagship_breakdown, flagship_throughput, idle_breakdown, reorder_buffer, bfs_cores, throughput_table, repeated_runs,
+        cost_switch_latency, cost_multicast_clock, cost_buckets, cost_keys, skew_by_visibility, flagship_breakdown, flagship_throughput, flagship_full, idle_breakdown, reorder_buffer, bfs_cores, bfs_reduction_clock, rbs_against_bfs, median_tree_tuned, throughput_table, repeated_runs,
         distribution_independence, skew_by_distribution, expected_bucket_law, pivot_spread, min_scan_sizes, local_sort_sizes, local_sort_small, scan_words, loopback, kv_get_put, set_intersect_postings,
         boolean_search_documents, zorder_embeddings, bounding_leaves, median_tree_three_rounds, cost_host_stacks, scan_bytes, granularity, udaf_median,
     ):
@@ -352,6 +402,19 @@ def queries() -> dict[str, Query]:
     return out
 
 
+def _bucket_law_sql() -> str:
+    """Quantiles by bisection of the binomial sums, and the bucket sizes between them."""
+    cdf = lambda n, i, q: f"list_sum(list_transform(range({i}, {n} + 1), lambda k: (factorial({n}::INT) / factorial(k::INT) / factorial(({n} - k)::INT))::DOUBLE * pow({q}, k) * pow(1 - {q}, {n} - k)))"
+    mid = "(lo + hi) / 2"
+    below = f"(w * {cdf('n', 'i', mid)} + (1 - w) * {cdf('n', '(i + 1)', mid)}) < 0.5"
+    return f"""WITH RECURSIVE m(policy, j, n, i, w) AS (SELECT p, j, 8, j, (a * (8 - j) / 8.0 + l)::DOUBLE FROM (VALUES ('naive', 1.0, 0.0), ('shifted', 0.0, 0.5), ('mixed', 0.25, 0.375)) t(p, a, l), range(1, 8) r(j)
+            UNION ALL VALUES ('smallest of 9', 1, 9, 1, 1.0::DOUBLE), ('0.8 and 0.2 of 9', 1, 9, 1, 0.8::DOUBLE)),
+        b(policy, j, n, i, w, lo, hi, step) AS (SELECT *, 0.0::DOUBLE, 1.0::DOUBLE, 0 FROM m UNION ALL
+            SELECT policy, j, n, i, w, CASE WHEN {below} THEN {mid} ELSE lo END, CASE WHEN {below} THEN hi ELSE {mid} END, step + 1 FROM b WHERE step < 60),
+        q AS (SELECT policy, j, n, (lo + hi) / 2 AS q FROM b WHERE step = 60 UNION ALL SELECT DISTINCT policy, 0, 8, 0.0 FROM m WHERE n = 8)
+        SELECT policy, j::INT AS bucket, (coalesce(lead(q) OVER (PARTITION BY policy ORDER BY j), 1.0) - q) * 8 AS size FROM q WHERE n = 8 UNION ALL SELECT policy, 0, q FROM q WHERE n = 9"""
+
+
 def _morton_sql() -> str:
     cell = lambda i: f"greatest(0, least(255, floor((embedding[{i + 1}]::DOUBLE + 4.0) / 8.0 * 256)))::BIGINT"
     bits = " + ".join(f"(((c{d} >> {bit}) & 1) << {bit * 3 + d})" for bit in range(8) for d in range(3))
@@ -384,6 +447,18 @@ def oracle_sql() -> dict[str, str]:
             l(fan_in, left_, depth, ns) AS (SELECT fan_in, 64, 0, 128 * 2.2::DOUBLE FROM f UNION ALL
               SELECT fan_in, ceil(left_ / fan_in)::INT, depth + 1, ns + 185 + 8 + (least(fan_in, left_) - 1) * 6.22::DOUBLE FROM l WHERE left_ > 1)
             SELECT fan_in, depth, round(ns, 3) AS ns FROM l WHERE left_ = 1 UNION ALL SELECT 1, 63, round(128 * 2.2::DOUBLE + 63 * 193, 3)""",
+        "best_tree": """WITH RECURSIVE g(workers, fan_in) AS (SELECT pow(2, i)::INT, f FROM range(11) a(i), (VALUES (1), (2), (4), (8), (16), (32), (64)) b(f) WHERE f <= greatest(1, pow(2, i))),
+            l(workers, fan_in, left_, ns) AS (SELECT workers, fan_in, CASE WHEN fan_in = 1 THEN 1 ELSE workers END, 8192.0::DOUBLE / workers * 2.2::DOUBLE + CASE WHEN fan_in = 1 THEN (workers - 1) * 193.0::DOUBLE ELSE 0 END FROM g UNION ALL
+              SELECT workers, fan_in, ceil(left_ / fan_in)::INT, ns + 185 + 8 + (least(fan_in, left_) - 1) * 6.22::DOUBLE FROM l WHERE left_ > 1)
+            SELECT workers, fan_in, ns FROM l WHERE left_ = 1 ORDER BY ns LIMIT 1""",
+        "cost_host_stacks": """WITH RECURSIVE p(profile, hop_ns) AS (VALUES ('simulated', 349.0::DOUBLE), ('tree_merge_published', 185.0::DOUBLE), ('software_stack', 850.0::DOUBLE), ('integrated_nic', 100.0::DOUBLE), ('register_nic', 69.0::DOUBLE)),
+            l(profile, hop_ns, fan_in, left_, ns) AS (SELECT profile, hop_ns, f, 64, 128 * 2.2::DOUBLE FROM p, (VALUES (2), (4), (8), (16), (32), (64)) b(f) UNION ALL
+              SELECT profile, hop_ns, fan_in, ceil(left_ / fan_in)::INT, ns + hop_ns + 8 + (least(fan_in, left_) - 1) * 6.22::DOUBLE FROM l WHERE left_ > 1)
+            SELECT profile, hop_ns, fan_in, round(ns, 3) AS ns FROM l WHERE left_ = 1 QUALIFY row_number() OVER (PARTITION BY profile ORDER BY ns, fan_in) = 1""",
+        "median_tree_tuned": """WITH RECURSIVE g(nodes, hop_ns, fan_in) AS (SELECT n, h, f FROM (VALUES (64), (256), (4096), (65536)) a(n), (VALUES (100), (349), (961)) b(h), range(2, 65) c(f)),
+            l(nodes, hop_ns, fan_in, left_, levels) AS (SELECT *, nodes, 0 FROM g UNION ALL SELECT nodes, hop_ns, fan_in, ceil(left_ / fan_in)::INT, levels + 1 FROM l WHERE left_ > 1)
+            SELECT nodes, hop_ns, fan_in::INT AS fan_in FROM l WHERE left_ = 1 QUALIFY row_number() OVER (PARTITION BY nodes, hop_ns ORDER BY levels * (hop_ns + 8 + (least(fan_in, nodes) - 1) * 6.22::DOUBLE), fan_in) = 1""",
+        "expected_bucket_law": _bucket_law_sql(),
         "cost_receive_send": """SELECT m::INT AS messages, b AS bytes, greatest(8.0::DOUBLE + (m - 1) * 6.22::DOUBLE, m * b * 8.0::DOUBLE / 200) AS receive_ns, greatest(m * 4.0::DOUBLE, m * b * 8.0::DOUBLE / 200) AS send_ns
             FROM range(1, 65) t(m), (VALUES (16), (32), (64), (128), (256)) v(b)""",
         "graph_shape": """WITH RECURSIVE l(fan_in, level, tasks) AS (SELECT v, 0, 64 FROM (VALUES (2), (4), (8), (16), (64)) f(v) UNION ALL SELECT fan_in, level + 1, ceil(tasks / fan_in)::INT FROM l WHERE tasks > 1) SELECT * FROM l""",
