@@ -60,9 +60,9 @@ def without_keys(rows: DataFrame, keys: DataFrame, key: str, *more: str) -> Data
 def key_table(keys: DataFrame, key: str) -> np.ndarray:
     """The table of a column of 64-bit keys as bytes on the driver: ``2**(MOST_ARRAY_BITS - 3)`` at most, whatever the number of keys."""
     bits = slot_bits_for(keys.count(), MOST_ARRAY_BITS)
-    found = bit_words(keys.select(slot_of(key, bits).alias("slot"))).toPandas()
+    found = bit_words(keys.select(slot_of(key, bits).alias("slot"))).toArrow()
     words = np.zeros(1 << (bits - 6), np.uint64)
-    words[found["word"].to_numpy(np.int64)] = found["bits"].to_numpy(np.int64).view(np.uint64)
+    words[found["word"].to_numpy()] = found["bits"].to_numpy().view(np.uint64)
     return words.view(np.uint8)
 
 

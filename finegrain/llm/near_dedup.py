@@ -40,7 +40,7 @@ SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 11, 4
 #: log2 of the slots of each of the two tables of word counts and of the samples' random numbers. Weights are kept in eighths up to 32,
 #: which the rarest word of 10^13 documents does not reach.
-WORD_BITS, DRAW_BITS = 19, 14
+WORD_BITS, DRAW_BITS = 18, 14
 #: Groups up to this size are compared whole, pair by pair; what hubs leave of larger ones, in blocks of about so many nodes.
 SMALL_GROUP, BLOCK_NODES = 12, 64
 _HASH_BITS, _WEIGHT_BITS = 44, 8
@@ -99,9 +99,9 @@ def word_document_counts(docs: DataFrame, text: str = "text") -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["slot", "n"])
 
     # a fixed number of slots, whatever the corpus
-    summed = docs.select(column(text).alias("text")).transform(in_batches, run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    summed = docs.select(column(text).alias("text")).transform(in_batches, run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
     counts = np.zeros((2 << WORD_BITS) + 1, np.int64)
-    counts[summed["slot"].to_numpy(np.int64)] = summed["n"].to_numpy(np.int64)
+    counts[summed["slot"].to_numpy()] = summed["n"].to_numpy()
     return counts
 
 
