@@ -5,14 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from finegrain.sources.staging import staged
+from finegrain.sources.staging import drop_staged, staged
 
 
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", most_rounds: int = 60) -> DataFrame:
     """``(node, component)`` for every node of ``edges``; the component is its least node.
 
     Every round hooks each component's label to the least label next to it and then halves the label chains; the state is
-    staged each round, so a lost executor costs one round. Labels of a round are aggregated before they
+    staged each round, so a lost executor costs one round, and the round before is deleted. Labels of a round are aggregated before they
     shuffle, so a node with very many neighbours is no hot key.
     """
     both = edges.select(F.col(a).alias("node"), F.col(b).alias("other")).filter("node != other")
@@ -33,6 +33,8 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", most_roun
         jumped = hooked.join(jump, "label", "left").select("node", "was", F.least("label", F.coalesce("next", "label")).alias("component"))
         fresh = staged(jumped, "labels")
         changed = fresh.filter("component != was").limit(1).count()
+        drop_staged(edges.sparkSession, state)
+        drop_staged(edges.sparkSession, hooked)
         state = fresh.select("node", "component")
         if not changed:
             return state

@@ -21,6 +21,12 @@ def local_sort(df: DataFrame, value: str, position: str, keys: int = 40) -> Data
     return tasks(df, position, keys).groupBy("task").agg(F.array_sort(F.collect_list(value)).alias("keys"))
 
 
+def sort_runs(df: DataFrame, value: str, position: str, sizes: list[int], runs: int = 10) -> DataFrame:
+    """``(size, run, keys)``: for every size the first ``runs`` tasks of so many rows, each sorted on its own."""
+    wide = df.withColumn("size", F.explode(F.array(*map(F.lit, sizes)))).withColumn("run", F.floor(F.col(position) / F.col("size")).cast("int"))
+    return wide.filter(F.col("run") < runs).groupBy("size", "run").agg(F.array_sort(F.collect_list(value)).alias("keys"))
+
+
 def loopback(spark: SparkSession, messages: int = 118, workers: int = 64) -> DataFrame:
     """A ledger of messages that workers send to themselves."""
     return spark.range(workers).select(F.col("id").cast("int").alias("src"), F.col("id").cast("int").alias("dst"), F.lit(messages).cast("long").alias("n_msgs"), F.lit(16 * messages).cast("long").alias("n_bytes"))
@@ -37,7 +43,8 @@ def kv_put(store: DataFrame, updates: DataFrame, key: str) -> DataFrame:
 
 
 def postings(docs: DataFrame, id_col: str, text: str) -> DataFrame:
-    """``(word, ids)``: sorted id lists of lower-cased words; a word in very many documents stays one row an id (see ``word_ids``)."""
+    """``(word, ids)``: sorted id lists of lower-cased words. A list is one value: for words in very many documents use the rows of
+    ``word_ids``, as :func:`intersect_sets` does."""
     return word_ids(docs, id_col, text).groupBy("word").agg(F.array_sort(F.collect_list("id")).alias("ids"))
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -12,6 +13,7 @@ from finegrain.functions.keys import KeySpec
 from finegrain.operators import relational
 from finegrain.operators.sorter import SortConfig
 from finegrain.sources import records
+from finegrain.sources.bucketed import write_bucketed
 from finegrain.sources.staging import fresh_path
 from finegrain.sources.tables import load
 from finegrain.streaming import merges
@@ -278,6 +280,15 @@ def stream_sorted_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.schema("event_id long, value double, rank long, batch int").parquet(out)
 
 
+def sink_bucketed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines and revenue of every order from two tables bucketed by the order: joined and summed without an exchange."""
+    name, path = f"fg_{uuid.uuid4().hex}", fresh_path(spark, "bucketed")
+    orders = write_bucketed(load(spark, sf_dir, "orders", ["o_orderkey", "o_orderpriority"]), f"{name}_o", f"{path}/orders", ["o_orderkey"], 8)
+    lines = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_quantity"]).withColumnRenamed("l_orderkey", "o_orderkey")
+    lines = write_bucketed(lines, f"{name}_l", f"{path}/lines", ["o_orderkey"], 8)
+    return orders.hint("merge").join(lines, "o_orderkey").groupBy("o_orderkey", "o_orderpriority").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("quantity"))
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {f"scan_{kind}": _scan_as(kind) for kind in ("csv", "json", "orc", "parquet")}
     out |= {"join_left": _outer("left"), "join_right": _outer("right"), "join_full": _outer("full")}
@@ -289,7 +300,7 @@ def queries() -> dict[str, Query]:
         "stream_static_join": lambda s, d: _streamed(lambda e: merges.joined_static(e, s.range(75).withColumnRenamed("id", "user_id").withColumn("known", F.lit(1)), "user_id"), "append")(s, d).select("event_id", "known"),
     }
     for f in (
-        scan_pruned, scan_text, stream_session_min, scan_record_source, join_broadcast, join_merge, join_shuffle_hash, join_semi, join_anti, join_parameter_grid, join_self, join_range_buckets, join_range_dealt, join_salted, join_as_of, join_interval,
+        sink_bucketed, scan_pruned, scan_text, stream_session_min, scan_record_source, join_broadcast, join_merge, join_shuffle_hash, join_semi, join_anti, join_parameter_grid, join_self, join_range_buckets, join_range_dealt, join_salted, join_as_of, join_interval,
         agg_basic, agg_median, agg_spread, agg_rollup, agg_cube, agg_grouping_sets, agg_histogram, agg_distinct, agg_approx_distinct, agg_lists, win_numbering, win_distribution, win_offsets, win_frames,
         set_union, set_intersect, set_intersect_all, set_except, set_except_all, sort_limit_offset, fn_strings, fn_dates, fn_math, fn_arrays, fn_json, stream_running_min, stream_sorted_batches,
     ):
@@ -304,6 +315,7 @@ def oracle_sql() -> dict[str, str]:
     segment = "SELECT o_orderkey, c_mktsegment FROM orders JOIN customer ON o_custkey = c_custkey"
     out = {f"scan_{kind}": customers for kind in ("csv", "json", "orc", "parquet")}
     out |= {
+        "sink_bucketed": "SELECT o_orderkey, o_orderpriority, count(*) AS n, sum(l_quantity) AS quantity FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL",
         "scan_pruned": "SELECT l_orderkey, l_quantity, l_returnflag FROM lineitem WHERE l_quantity > 45 AND l_returnflag IN ('A', 'R')",
         "scan_text": "SELECT r_name FROM region",
         "stream_session_min": """WITH g AS (SELECT *, sum(CASE WHEN epoch_us(ts) - lag_us < 21600000000 THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM (SELECT *, lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) AS lag_us FROM events))

@@ -310,6 +310,13 @@ def local_sort_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.range(3, 11).select(F.pow(F.lit(2), F.col("id")).cast("int").alias("keys")).withColumn("sort_ns", costmodel.sort_ns(F.col("keys"), SIMULATED))
 
 
+def local_sort_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Local sorts of 8 to 1,024 keys, ten tasks of each size: what each sorted, and the modelled time."""
+    runs = microtasks.sort_runs(load(spark, sf_dir, "events", ["event_id", "value"]), "value", "event_id", [2**i for i in range(3, 11)])
+    n = F.size("keys")
+    return runs.select("size", "run", n.alias("keys"), F.get("keys", F.lit(0)).alias("least"), F.get("keys", F.floor(n / 2).cast("int")).alias("mid"), F.get("keys", n - 1).alias("most"), costmodel.sort_ns(n, SIMULATED).alias("sort_ns"))
+
+
 def local_sort_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     parts = load(spark, sf_dir, "part", ["p_partkey", "p_retailprice"]).filter("p_partkey < 2000")
     tasks = microtasks.local_sort(parts, "p_retailprice", "p_partkey", 40)
@@ -395,7 +402,7 @@ def queries() -> dict[str, Query]:
     for f in (
         tree_count, tree_sum, tree_bit_or, tree_distinct_sketch, tree_min_by_type, tree_partials_level1, map_reduce_length, cost_tree_merge, best_tree, cost_receive_send, graph_shape, cost_multicast, cost_tail_latency,
         cost_switch_latency, cost_multicast_clock, cost_buckets, cost_keys, skew_by_visibility, flagship_breakdown, flagship_throughput, flagship_full, idle_breakdown, reorder_buffer, bfs_cores, bfs_reduction_clock, rbs_against_bfs, median_tree_tuned, throughput_table, repeated_runs,
-        distribution_independence, skew_by_distribution, expected_bucket_law, pivot_spread, min_scan_sizes, local_sort_sizes, local_sort_small, scan_words, loopback, kv_get_put, set_intersect_postings,
+        distribution_independence, skew_by_distribution, expected_bucket_law, pivot_spread, min_scan_sizes, local_sort_sizes, local_sort_runs, local_sort_small, scan_words, loopback, kv_get_put, set_intersect_postings,
         boolean_search_documents, zorder_embeddings, bounding_leaves, median_tree_three_rounds, cost_host_stacks, scan_bytes, granularity, udaf_median,
     ):
         out[f.__name__] = f
@@ -473,6 +480,9 @@ def oracle_sql() -> dict[str, str]:
         "distribution_independence": "SELECT 0 AS moved, count(*) AS rows FROM orders",
         "min_scan_sizes": "SELECT pow(2, i)::INT AS n, (SELECT min(value) FROM events WHERE event_id < pow(2, i)) AS least, pow(2, i) * 2.2::DOUBLE AS scan_ns FROM range(6, 14) t(i)",
         "local_sort_sizes": "SELECT pow(2, i)::INT AS keys, 2.93::DOUBLE * pow(2, i) * log2(pow(2, i)) AS sort_ns FROM range(3, 11) t(i)",
+        "local_sort_runs": """WITH r AS (SELECT s AS size, (event_id // s)::INT AS run, value, row_number() OVER (PARTITION BY s, event_id // s ORDER BY value) - 1 AS at_, count(*) OVER (PARTITION BY s, event_id // s) AS n
+            FROM events, (VALUES (8), (16), (32), (64), (128), (256), (512), (1024)) v(s) WHERE event_id // s < 10)
+            SELECT size, run, max(n)::INT AS keys, min(value) AS least, max(value) FILTER (WHERE at_ = n // 2) AS mid, max(value) AS most, CASE WHEN max(n) > 1 THEN 2.93::DOUBLE * max(n) * log2(max(n)) ELSE 0.0 END AS sort_ns FROM r GROUP BY size, run""",
         "local_sort_small": "SELECT p_partkey // 40 AS task, (row_number() OVER (PARTITION BY p_partkey // 40 ORDER BY p_retailprice) - 1)::INT AS at, p_retailprice AS price FROM part WHERE p_partkey < 2000".replace(" AS at", ' AS "at"'),
         "scan_words": "SELECT event_id // 1024 AS task, sum(round(value * 100)::BIGINT)::BIGINT AS total, min(round(value * 100)::BIGINT) AS least, count(*) AS n FROM events GROUP BY 1",
         "loopback": "SELECT i::INT AS src, i::INT AS dst, 118 AS n_msgs, 16 * 118 AS n_bytes FROM range(64) t(i)",

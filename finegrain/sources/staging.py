@@ -13,12 +13,15 @@ _LOCAL: list[str] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; a temporary folder of our own only where it is unset (tests, local mode)."""
+    """The session's ``spark.checkpoint.dir``. Where it is unset, a temporary folder of our own in local mode; on a cluster an error, as
+    executors would not share it."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         current = spark.sparkContext.getCheckpointDir()
         if current:
             return current.rstrip("/")
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         folder = tempfile.mkdtemp(prefix="finegrain-")
         _LOCAL.append(folder)
         spark.sparkContext.setCheckpointDir(folder)

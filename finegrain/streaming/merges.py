@@ -79,10 +79,14 @@ def sorted_batches(events: DataFrame, key: KeySpec, cfg: SortConfig, sink: Calla
 
 
 def drained(df: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Run a stream over all that is there into an in-memory table (tests and demonstrations)."""
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).start()
-    try:
-        query.processAllAvailable()
-    finally:
-        query.stop()
-    return df.sparkSession.table(name)
+    """Run a stream over all that is there into Parquet files beside its checkpoint and read them back: every batch its own folder, which
+    a batch that runs again overwrites; in ``complete`` mode the last batch alone."""
+    spark, out, seen = df.sparkSession, f"{checkpoint}-{name}", []
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/{number}")
+        seen.append(number)
+
+    df.writeStream.foreachBatch(each).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    paths = [f"{out}/{n}" for n in (seen[-1:] if mode == "complete" else dict.fromkeys(seen))]
+    return spark.read.schema(df.schema).parquet(*paths) if paths else spark.createDataFrame([], df.schema)
