@@ -60,3 +60,29 @@ def test_two_values_may_become_one(spark):
     assert found(spark, item, item.replace("3", "4").replace("5", "4")) == [True]
     half = "Take 1 2 3 4 5 6 then say how many there are"
     assert found(spark, half, half, half.replace("3", "4"), half.replace("many", "few")) == [True, True, False]
+
+
+def test_recall_of_reparameterised_items(spark):
+    """Of 150 items with numbers, units and names, given other ones throughout, nine in ten or more are found; texts of other words are not."""
+    import random
+
+    rng = random.Random(7)
+    words = [f"{a}{b}" for a in ("bra", "cel", "dom", "fin", "gor", "hal", "jut", "kem", "lor", "mip") for b in ("ta", "ren", "sil", "vo", "nak", "dul", "pes", "gim", "wor", "bex")]
+    names, units = ["Alice", "Robert", "Selma", "Tarik", "Ines"], ["apples", "kg", "miles", "hours", "dollars"]
+    items, docs = [], []
+    for i in range(150):
+        text, values = [], [str(rng.randint(2, 9)), f"{rng.randint(1, 9)},{rng.randint(100, 999)}", rng.choice(names), rng.choice(units)]
+        other = [str(rng.randint(20, 99)), f"{rng.randint(1, 9)},{rng.randint(100, 999)}", rng.choice([n for n in names if n != values[2]]), rng.choice(["kg", "miles", "hours"]) if values[3] in ("kg", "miles", "hours") else values[3]]
+        for k in range(rng.randint(14, 40)):
+            text.append(rng.choice(words))
+            if k % 5 == 2:
+                text.append("\0" + str(rng.randrange(4)))
+        fill = lambda v, t=text: " ".join(v[int(w[1:])] if w[0] == "\0" else w for w in t)
+        items.append((i, fill(values)))
+        around = [" ".join(rng.choice(words) for _ in range(30)) for _ in range(2)]
+        docs += [(i, f"{around[0]}. {fill(other)}. {around[1]}"), (1000 + i, f"{around[1]} {' '.join(rng.choice(words) for _ in text)} {values[0]} {values[3]} {around[0]}")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = {r["doc_id"]: r for r in contamination.contaminated_documents(spark.createDataFrame(docs, "doc_id long, text string"), bench).collect()}
+    hit = sum(str(i) in got[i]["items"].split(",") for i in range(150))
+    assert hit >= 135, hit
+    assert not any(got[1000 + i]["contaminated"] for i in range(150))
