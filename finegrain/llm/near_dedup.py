@@ -43,6 +43,8 @@ BANDS, ROWS = 11, 4
 WORD_BITS, DRAW_BITS = 18, 14
 #: Groups up to this size are compared whole, pair by pair; what hubs leave of larger ones, in blocks of about so many nodes.
 SMALL_GROUP, BLOCK_NODES = 12, 64
+#: Blocks outside the largest component that one task meets with its group, the most such shares, and the most groups that are broadcast.
+SHARE_BLOCKS, MOST_SHARES, MOST_BROADCAST = 8, 64, 100_000
 _HASH_BITS, _WEIGHT_BITS = 44, 8
 _MOST_TEXTS = 1 << (64 - _HASH_BITS - _WEIGHT_BITS)
 _STEP = np.uint64(0xA0761D6478BD642F)
@@ -342,8 +344,8 @@ def _block_links(open_members: DataFrame, lists: DataFrame) -> DataFrame:
     """Links between the components of groups that the hubs have left apart.
 
     A group's nodes outside its largest component are compared with all its nodes, block against block: a row is a pair of
-    blocks, whose similarities are one product of matrices, and only links that join components come out. Pairs of
-    blocks, not groups, are what is dealt out to tasks.
+    blocks, whose similarities are one product of matrices, and only links that join components come out. Shares of a
+    group, not groups, are what is dealt out to tasks.
     """
     total = open_members.count()
     sizes = open_members.groupBy("group", "component").agg(F.count("*").alias("n"))
@@ -355,13 +357,13 @@ def _block_links(open_members: DataFrame, lists: DataFrame) -> DataFrame:
     placed = join_group_facts(keyed(sided), facts, "sided", "side", total, "node", "inner").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")))
     filled = placed.select("group", "inner", "block", "node", "component").join(lists, "node")
     blocks_of = staged(filled.groupBy("group", "inner", "block").agg(F.collect_list(F.struct("node", "component", "hashes", "weights")).alias("nodes")), "blocks")
-    # every block outside meets all inside and those outside from its own on
-    at = blocks_of.filter("not inner").select("group", F.col("block").alias("i"))
-    sides = counts.select("group", "inner", "blocks")
-    meets = at.join(sides, "group").select("group", "i", "inner", F.explode(F.sequence(F.when(F.col("inner"), F.lit(0)).otherwise(F.col("i")), F.col("blocks") - 1)).alias("j"))
-    left = blocks_of.filter("not inner").select("group", F.col("block").alias("i"), F.col("nodes").alias("a"))
-    right = blocks_of.select("group", "inner", F.col("block").alias("j"), F.col("nodes").alias("b"))
-    met = meets.join(left, ["group", "i"]).join(right, ["group", "inner", "j"]).select("a", "b")
+    # every block outside meets all blocks inside and those outside from its own on; the blocks outside are dealt out in shares of
+    # SHARE_BLOCKS or more, and only as many times do the group's blocks go out again
+    shares = counts.filter("not inner").select("group", F.least(F.lit(MOST_SHARES), F.ceil(F.col("blocks") / F.lit(SHARE_BLOCKS))).alias("shares"))
+    dealt = blocks_of.join(F.broadcast(shares) if shares.count() <= MOST_BROADCAST else shares, "group")
+    left = dealt.filter("not inner").select("group", F.pmod("block", F.col("shares")).alias("share"), F.col("block").alias("i"), F.col("nodes").alias("a"))
+    right = dealt.select("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("shares") - 1)).alias("share"), "inner", F.col("block").alias("j"), F.col("nodes").alias("b"))
+    met = left.join(right, ["group", "share"]).filter("inner or i <= j").select("a", "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
