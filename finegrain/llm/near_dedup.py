@@ -309,7 +309,8 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text: str = "text") ->
     banded = banded.select("node", "id", F.xxhash64("band", "value").alias("group"))
     banded = staged(banded, "bands")
     groups = staged(banded.groupBy("group").agg(F.count("*").alias("size")).filter("size > 1"), "groups")
-    members = staged(join_group_facts(banded, groups, "group", "size", banded.count(), "node", "inner"), "members")
+    # narrow rows, most of which meet no group: a skewed key is left to the adaptive join
+    members = staged(banded.join(groups, "group"), "members")
     chosen = staged(members.select("id", "node").distinct(), "candidates")
     lists = staged(candidate_shingles(docs, chosen, weights, id_col, text), "shingles")
     component = _linked(members, lists)
