@@ -82,3 +82,22 @@ def test_bucketed_tables_join_in_place(spark):
     assert "Exchange" not in joined._jdf.queryExecution().executedPlan().toString() and joined.count() == 500
     spark.sql("DROP TABLE fg_test_a")
     spark.sql("DROP TABLE fg_test_b")
+
+
+def test_pivots_of_all_keys_sort_a_node_once(spark):
+    draw = lambda purpose, *more: portable_hash(1, purpose, *more)
+    keys = F.transform(F.sequence(F.lit(1), F.lit(100)), lambda i: F.pmod(i * 37, F.lit(101)))
+    plan = spark.range(1).select(pivots.full_quantiles(keys, 10, draw).alias("p"))._jdf.queryExecution().analyzed().toString()
+    inner = plan[plan.index("sequence(1, 9") :]  # what runs for every pivot
+    assert "array_sort(transform" not in inner and "sort_array" not in inner and "sort_array(transform" in plan
+
+
+def test_first_pivots_and_ranks_without_a_sort(spark):
+    df = spark.range(3000).select("id", F.pmod(F.xxhash64("id"), F.lit(700)).alias("v")).checkpoint()
+    key, cfg = KeySpec.of("v", "id"), SortConfig(16, 16, 4, policy="full_quantile")
+    local, group = sorter.first_pivots(df, key, cfg)
+    made = sorter.recursive_sort(df, key, cfg)
+    assert local.exceptAll(made.levels[0].local.select(*local.columns)).count() == 0 and group.collect() == made.levels[0].pivots.collect()
+    wanted = made.df.filter("rank % 97 = 5 or rank in (0, 2999)").select("k", "rank")
+    assert sorted((r["k"]["r0"], r["rank"]) for r in sorter.ranks_of(df, key, wanted.select("k").unionByName(wanted.select("k"))).collect()) == sorted((r["k"]["r0"], r["rank"]) for r in wanted.collect())
+    assert sorter.ranks_of(df, key, wanted.select("k").limit(0)).count() == 0
