@@ -84,6 +84,12 @@ def test_bucketed_tables_join_in_place(spark):
     spark.sql("DROP TABLE fg_test_b")
 
 
+def test_places_of_many_boundaries_beyond_32_bits(spark):
+    rows = spark.range(1).select(F.sequence(F.lit(1), F.lit(50_000)).alias("all"))
+    got = rows.select(baselines._spaced("all", 50_000).alias("p")).first()["p"]
+    assert len(got) == 50_000 and got[0] == 1 and got[-1] == 50_000
+
+
 def test_pivots_of_all_keys_sort_a_node_once(spark):
     draw = lambda purpose, *more: portable_hash(1, purpose, *more)
     keys = F.transform(F.sequence(F.lit(1), F.lit(100)), lambda i: F.pmod(i * 37, F.lit(101)))
