@@ -90,6 +90,15 @@ def test_places_of_many_boundaries_beyond_32_bits(spark):
     assert len(got) == 50_000 and got[0] == 1 and got[-1] == 50_000
 
 
+@pytest.mark.parametrize("count", [1, 1024, 1025, 5000, 5041])
+def test_cuts_in_two_steps(spark, count, monkeypatch):
+    monkeypatch.setattr(baselines, "FEW_CUTS", 64)
+    cuts = spark.range(1).select(F.transform(F.sequence(F.lit(1), F.lit(count)), lambda i: F.struct((i * 2).alias("v"))).alias("pivots"))
+    rows = spark.range(0, 2 * count + 5).select(F.struct(F.col("id").cast("int").alias("v")).alias("k"), F.lit(0).alias("node"))
+    got = {r["k"]["v"]: r["bucket"] for r in baselines.cut_rows(rows, cuts, count).collect()}
+    assert got == {v: min(count, v // 2) for v in range(2 * count + 5)}
+
+
 def test_pivots_of_all_keys_sort_a_node_once(spark):
     draw = lambda purpose, *more: portable_hash(1, purpose, *more)
     keys = F.transform(F.sequence(F.lit(1), F.lit(100)), lambda i: F.pmod(i * 37, F.lit(101)))
