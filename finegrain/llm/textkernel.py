@@ -166,8 +166,9 @@ class SpanTable:
         # hash, first id, number of ids, first byte, number of bytes with the mark
         nothing = (np.zeros(0, np.uint64), *(np.zeros(0, np.int32) for _ in range(4)))
         self._known, self._new = nothing, nothing
-        self._flat, self._used = np.zeros(1 << 16, np.uint32), 0
-        self._bytes, self._filled = np.zeros(1 << 18, np.uint8), 0
+        # zeros cost no memory until they are written, and arrays of full size are not copied to grow
+        self._flat, self._used = np.zeros(self._most_bytes // 4, np.uint32), 0
+        self._bytes, self._filled = np.zeros(self._most_bytes, np.uint8), 0
 
     @staticmethod
     def _merged(a: tuple, b: tuple) -> tuple:
@@ -222,9 +223,14 @@ class SpanTable:
             sizes = np.asarray(sizes, np.int64)
             start[other], size[other] = base + sum(map(len, more)) + np.cumsum(sizes) - sizes, sizes
             more.append(ids)
-        flat = np.concatenate([self._flat[:base], *more]) if more else self._flat
         ends_of = np.cumsum(size)
-        out = flat[np.repeat(start - (ends_of - size), size) + np.arange(int(ends_of[-1]) if len(ends_of) else 0)]
+        place = np.repeat(start - (ends_of - size), size) + np.arange(int(ends_of[-1]) if len(ends_of) else 0)
+        if more:  # the table itself is not copied
+            fresh_ids, beyond = np.concatenate(more), place >= base
+            out = np.empty(len(place), np.uint32)
+            out[~beyond], out[beyond] = self._flat[place[~beyond]], fresh_ids[place[beyond] - base]
+        else:
+            out = self._flat[place]
         if len(new):
             self._keep(data, starts, lengths, tags, *fresh)
         return out, size

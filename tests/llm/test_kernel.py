@@ -64,3 +64,28 @@ def test_hashes_and_comparisons():
         edited[(ends - 1) if at else (ends - size)] ^= 1
         assert not equal_spans(data, ends - size, edited, ends - size, size).any()
     assert textkernel.hash_word("é") != textkernel.hash_word("e")
+
+
+def test_lookup_does_not_copy_the_table():
+    import tracemalloc
+
+    table = textkernel.SpanTable(lambda spans: (np.arange(len(spans), dtype=np.uint32), np.ones(len(spans), np.int64)))
+    table._flat, table._used = np.zeros(1 << 22, np.uint32), (1 << 22) - 8  # 16 MB of ids
+    data = np.frombuffer(b"abcabc", np.uint8)
+    starts, ends = np.array([0, 1, 3, 5]), np.array([1, 3, 4, 6])
+    tracemalloc.start()
+    try:
+        ids, sizes = table.lookup(data, starts, ends, hash_spans(data, starts, ends), lambda i: i)
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert sizes.tolist() == [1, 1, 1, 1] and ids[0] == ids[2] and len(set(ids.tolist())) == 3
+    assert peak < 1 << 20
+
+
+def test_partitions_give_memory_back(monkeypatch):
+    from finegrain.llm import batches
+
+    seen = []
+    monkeypatch.setattr(batches, "release", lambda: seen.append(1))
+    assert list(batches.releasing(lambda rows: (r + 1 for r in rows))(iter([1, 2]))) == [2, 3] and seen == [1]
