@@ -9,8 +9,8 @@ Training: word counts of all training texts; then passes of Baum-Welch over the
 where every partition adds up its expected counts and Spark sums the partitions. Long texts are worked on as windows side by side, each of
 which begins ``HALO`` tokens before and ends ``HALO`` tokens after the tokens and transitions that it counts, so that both recursions
 have settled on what the text says there: every token and every transition of a text counts once, those across borders as well.
-Scoring: the forward recursion over the whole text, scaled at every step; long texts run as windows whose state-to-state
-matrices are chained, which gives the same number.
+Scoring: the forward recursion over the whole text, scaled at every step; the rest of texts longer than most beside them runs as
+windows whose state-to-state matrices are chained, which gives the same number.
 
 Words are known by a 64-bit hash (:mod:`textkernel`): words of up to eight bytes and equal length never share one, others with a
 chance of 2**-64 a pair.
@@ -40,6 +40,10 @@ DELTA = 0.1
 TOP_WORDS, FORM_CLASSES, STATES, WINDOW, PASSES = 1500, 512, 8, 64, 6
 #: Tokens that a training window counts, and those before and after it that its recursions run in over.
 TRAIN_WINDOW, HALO = 256, 32
+#: Tokens whose emission counts are added up at once, while they are in the cache.
+TOGETHER = 1 << 13
+#: Texts that are scored side by side as long as so many go on.
+ABREAST = 32
 #: A word is in the broadcast head when it has this share of all training tokens: at most 2**20 words, whatever the corpus.
 HEAD_SHARE = 2.0**-20
 #: Tasks that the texts of one rare or unseen word are dealt over.
@@ -165,9 +169,12 @@ def expected_counts(model: HiddenMarkov, symbols: np.ndarray, lengths: np.ndarra
     """Baum-Welch's E step over the sequences: start, transition and emission counts, and the log-likelihood.
 
     A window counts its tokens and the transitions into them; its recursions begin ``halo`` tokens earlier and end ``halo`` later, where
-    the text has so many.
+    the text has so many. Arrays are states by tokens, the tokens step by step: a step's windows lie side by side, the longest first.
     """
-    states = len(model.start)
+    states, classes = len(model.start), len(model.emit)
+    start, trans, emit = np.zeros(states), np.zeros((states, states)), np.zeros((classes, states))
+    if not len(lengths):
+        return start, trans, emit, 0.0
     text, first, size = window_table(lengths, window)
     ends = np.cumsum(lengths)
     before = np.minimum(halo, first - (ends - lengths)[text])
@@ -177,43 +184,48 @@ def expected_counts(model: HiddenMarkov, symbols: np.ndarray, lengths: np.ndarra
     hi = lo + size
     order = np.argsort(-span, kind="stable")
     begin, span, lo, hi = begin[order], span[order], lo[order], hi[order]
-    head = (begin == (ends - lengths)[text][order]) if len(text) else np.zeros(0, bool)
-    steps = int(span.max()) if len(span) else 0
-    live = [int(np.searchsorted(-span, -t, "left")) for t in range(steps)]  # windows longer than t
-    stationary = _stationary(model.step)
-    alphas, scales, symbols_at = [], [], []
-    a, likelihood = None, 0.0
-    for t in range(steps):
-        n = live[t]
-        s = symbols[begin[:n] + t]
-        e = model.emit[s]
-        a = np.where(head[:n, None], model.start, stationary) * e if t == 0 else (a[:n] @ model.step) * e
-        c = a.sum(1, keepdims=True)
-        a = a / c
-        alphas.append(a)
-        scales.append(c)
-        symbols_at.append(s)
-        counted = (lo[:n] <= t) & (t < hi[:n])
-        likelihood += float(np.log(c[counted, 0]).sum())
-    start, trans, emit = np.zeros(states), np.zeros((states, states)), np.zeros_like(model.emit)
-    b = None
-    for t in reversed(range(steps)):
+    head = begin == (ends - lengths)[text][order]
+    steps = int(span[0])
+    live = np.searchsorted(-span, -np.arange(steps), "left")  # windows longer than t
+    at = np.concatenate([[0], np.cumsum(live)]).tolist()
+    live = live.tolist()
+    # between these steps all windows count, whichever are live
+    late, early = int(lo.max()), int(hi[hi < span].min(initial=steps))
+    emits, turned = np.ascontiguousarray(model.emit.T), np.ascontiguousarray(model.step.T)
+    drawn, scales, alphas = np.empty(at[-1], np.int64), np.empty(at[-1]), np.empty((states, at[-1]))
+    for t, n in enumerate(live):
+        here = slice(at[t], at[t + 1])
+        np.take(symbols, begin[:n] + t, out=drawn[here], mode="clip")
+        a = np.where(head, model.start[:, None], _stationary(model.step)[:, None]) if t == 0 else turned @ alphas[:, at[t - 1] : at[t - 1] + n]
+        a *= np.take(emits, drawn[here], axis=1)
+        c = a.sum(0, out=scales[here])
+        np.multiply(a, 1 / c, out=alphas[:, here])
+    # the draws' symbols, those that count nowhere as one class more
+    kept = drawn.copy()
+    for t, n in enumerate(live):
+        if not late <= t < early:
+            kept[at[t] : at[t + 1]][(t < lo[:n]) | (t >= hi[:n])] = classes
+    likelihood = float(np.log(scales)[kept < classes].sum())
+    # the alphas become the states' shares: scaled so, their sum is one at every token
+    beta, done = np.ones((states, live[-1])), at[-1]
+    for t in range(steps - 1, -1, -1):
         n = live[t]
-        beta = np.ones((n, states))
-        if b is not None and len(b):
-            m = len(b)
-            e = model.emit[symbols_at[t + 1]] * b / scales[t + 1]
-            into = (lo[:m] <= t + 1) & (t + 1 < hi[:m])
-            trans += (alphas[t][:m] * into[:, None]).T @ e
-            beta[:m] = e @ model.step.T
-        gamma = alphas[t] * beta
-        gamma /= gamma.sum(1, keepdims=True)
-        gamma *= ((lo[:n] <= t) & (t < hi[:n]))[:, None]
-        for k in range(states):
-            emit[:, k] += np.bincount(symbols_at[t], gamma[:, k], minlength=len(emit))
-        if t == 0:
-            start += gamma[head[:n]].sum(0)
-        b = beta
+        if t + 1 < steps:
+            m, then = live[t + 1], slice(at[t + 1], at[t + 2])
+            back = np.take(emits, drawn[then], axis=1)
+            back *= beta
+            back *= 1 / scales[then]
+            beta = np.ones((states, n))
+            np.matmul(model.step, back, out=beta[:, :m])
+            if not late <= t + 1 < early:
+                back *= (lo[:m] <= t + 1) & (t + 1 < hi[:m])
+            trans += alphas[:, at[t] : at[t] + m] @ back.T
+        alphas[:, at[t] : at[t + 1]] *= beta
+        if done - at[t] >= TOGETHER or t == 0:
+            for k in range(states):
+                emit[:, k] += np.bincount(kept[at[t] : done], alphas[k, at[t] : done], minlength=classes + 1)[:classes]
+            done = at[t]
+    start += alphas[:, : live[0]][:, head].sum(1)
     return start, trans * model.step, emit, likelihood
 
 
@@ -234,40 +246,60 @@ def updated(start: np.ndarray, trans: np.ndarray, emit: np.ndarray) -> HiddenMar
 def forward_log10(model: HiddenMarkov, symbols: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Exact log10 likelihood of every sequence (each of one symbol at least).
 
-    Windows run side by side from each state; the scaled state-to-state matrices are then chained along each text.
+    Texts run side by side while ``ABREAST`` of them go on. The rest of longer ones is cut into windows that run side by side from each
+    state; the scaled state-to-state matrices are then chained along each text.
     """
+    states, out = len(model.start), np.zeros(len(lengths))
+    if not len(lengths):
+        return out
+    order = np.argsort(-lengths, kind="stable")
+    size, begin = lengths[order], (np.cumsum(lengths) - lengths)[order]
+    steps = int(min(size[0], max(WINDOW, size[min(len(size), ABREAST) - 1])))
+    live = np.searchsorted(-size, -np.arange(steps), "left").tolist()  # texts longer than t
+    emit, turned = np.ascontiguousarray(model.emit.T), np.ascontiguousarray(model.step.T)
+    logs, state = np.zeros(len(lengths)), np.empty((states, len(lengths)))
+    for t, n in enumerate(live):
+        a = np.repeat(model.start[:, None], n, axis=1) if t == 0 else turned @ state[:, :n]
+        a *= np.take(emit, np.take(symbols, begin[:n] + t), axis=1)
+        c = a.sum(0)
+        np.multiply(a, 1 / c, out=state[:, :n])
+        logs[:n] += np.log(c)
+    far = int(np.searchsorted(-size, -steps, "left"))  # texts that go on
+    if far:
+        logs[:far] += _chained(model, symbols, begin[:far] + steps, size[:far] - steps, state[:, :far].T.copy())
+    out[order] = logs
+    return out / np.log(10)
+
+
+def _chained(model: HiddenMarkov, symbols: np.ndarray, begin: np.ndarray, lengths: np.ndarray, state: np.ndarray) -> np.ndarray:
+    """Log-likelihoods of so many symbols from ``begin`` on, each after its ``state``; windows side by side, then chained."""
     states = len(model.start)
     text, first, size = window_table(lengths)
+    first += (begin - (np.cumsum(lengths) - lengths))[text]
     order = np.argsort(-size, kind="stable")
     n = len(text)
-    steps = int(size.max()) if n else 0
     matrices, logs = np.empty((n, states, states)), np.zeros(n)
     short, begin = size[order], first[order]
-    leads = np.concatenate([[True], text[1:] != text[:-1]]) if n else np.zeros(0, bool)
     m = matrices[order]
-    for t in range(steps):
+    for t in range(int(size.max())):
         live = int(np.searchsorted(-short, -t, "left"))
         e = model.emit[symbols[begin[:live] + t]]
-        if t:
-            block = (m[:live].reshape(-1, states) @ model.step).reshape(live, states, states) * e[:, None, :]
-        else:  # a text's first token follows the start probabilities, whatever stands before
-            block = np.where(leads[order][:, None, None], model.start[None, None, :], model.step[None]) * e[:, None, :]
+        block = ((m[:live].reshape(-1, states) @ model.step).reshape(live, states, states) if t else model.step[None]) * e[:, None, :]
         c = block.max(axis=(1, 2))
         m[:live] = block / c[:, None, None]
         logs[order[:live]] += np.log(c)
     matrices[order] = m
-    head = np.flatnonzero(leads)
+    head = np.flatnonzero(np.concatenate([[True], text[1:] != text[:-1]]))
     pieces = np.diff(np.append(head, n))
     out = np.zeros(len(lengths))
-    state = np.full((len(lengths), states), 1 / states)
-    for k in range(int(pieces.max()) if len(pieces) else 0):
+    for k in range(int(pieces.max())):
         on = np.flatnonzero(pieces > k)
         at = head[on] + k
         state[on] = np.einsum("ni,nij->nj", state[on], matrices[at])
         c = state[on].sum(1)
         state[on] /= c[:, None]
         out[on] += np.log(c) + logs[at]
-    return out / np.log(10)
+    return out
 
 
 def _encode(texts: DataFrame, vocabulary: Vocabulary) -> DataFrame:
@@ -365,7 +397,7 @@ def _likelihoods(encoded: DataFrame, model: HiddenMarkov) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = np.zeros(len(batch))
-            for lo, hi, symbols, lengths in _symbol_blocks(batch.column(0), 1 << 17):
+            for lo, hi, symbols, lengths in _symbol_blocks(batch.column(0), 1 << 20):
                 out[lo:hi] = forward_log10(shared.value, symbols, lengths)
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(1, len(batch.schema))), pa.array(out)], names=[*batch.schema.names[1:], "forward"])
 
